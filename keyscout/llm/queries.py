@@ -2,11 +2,24 @@
 
 from __future__ import annotations
 
+import hashlib
 from collections.abc import Callable
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
+from keyscout.llm.lines import apply_keep_bitmaps, line_keep_bitmaps
 from keyscout.llm.neardup import minhash_near_duplicates
+from keyscout.llm.packing import pack_documents
+from keyscout.llm.topk import exact_top_k
+
+
+def tokenizer_path(name: str) -> str:
+    """Place of a public tokenizer's file on this machine (the same on every machine of the cluster)."""
+    import public_tokenizers
+
+    return str(public_tokenizers.path(name))
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -17,5 +30,30 @@ def op1_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return minhash_near_duplicates(_table(spark, sf_dir, "documents"), percent=85)
 
 
+def op2_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pack_documents(_table(spark, sf_dir, "documents"), tokenizer_path("word_bpe_49k.json"))
+
+
+def op5_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _table(spark, sf_dir, "documents").select("doc_id", "text")
+
+    def digests(batches):
+        for batch in batches:
+            texts = batch.column(1).to_pylist()
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), batch.column(3), pa.array([hashlib.sha256(t.encode()).hexdigest() for t in texts], pa.string())], names=["doc_id", "n_lines", "n_dropped", "kept_sha256"])
+
+    return apply_keep_bitmaps(docs, line_keep_bitmaps(docs)).mapInArrow(digests, "doc_id long, n_lines long, n_dropped long, kept_sha256 string")
+
+
+def op10_exact_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
+    vectors = _table(spark, sf_dir, "embeddings")
+    return exact_top_k(vectors, vectors.where(F.col("vec_id") % 100 == 0), k=10)
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op1_minhash_near_dedup": op1_minhash_near_dedup}
+    return {
+        "op1_minhash_near_dedup": op1_minhash_near_dedup,
+        "op2_best_fit_packing": op2_best_fit_packing,
+        "op5_line_dedup": op5_line_dedup,
+        "op10_exact_top_k": op10_exact_top_k,
+    }
