@@ -101,6 +101,18 @@ def _sets(width: int):
     return work
 
 
+def _meets(x: np.ndarray, y: np.ndarray, percent: int) -> bool:
+    """100 * |x & y| >= percent * |x | y| of two sorted sets."""
+    if 100 * min(len(x), len(y)) < percent * max(len(x), len(y)):
+        return False
+    if len(x) > len(y):
+        x, y = y, x
+    at = np.searchsorted(y, x)
+    at[at == len(y)] = 0
+    both = int((y[at] == x).sum())
+    return 100 * both >= percent * (len(x) + len(y) - both)
+
+
 def _verify(percent: int):
     """Keep the pairs whose full sets meet the bound: 100 * intersection >= percent * union."""
     schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
@@ -110,15 +122,7 @@ def _verify(percent: int):
             keep = np.zeros(batch.num_rows, bool)
             left, right = batch.column(2), batch.column(3)
             for i in range(batch.num_rows):
-                x, y = np.frombuffer(left[i].as_buffer(), U), np.frombuffer(right[i].as_buffer(), U)
-                if 100 * min(len(x), len(y)) < percent * max(len(x), len(y)):
-                    continue
-                if len(x) > len(y):
-                    x, y = y, x
-                at = np.searchsorted(y, x)
-                at[at == len(y)] = 0
-                both = int((y[at] == x).sum())
-                keep[i] = 100 * both >= percent * (len(x) + len(y) - both)
+                keep[i] = _meets(np.frombuffer(left[i].as_buffer(), U), np.frombuffer(right[i].as_buffer(), U), percent)
             if keep.any():
                 mask = pa.array(keep)
                 yield pa.RecordBatch.from_arrays([batch.column(0).filter(mask), batch.column(1).filter(mask)], schema=schema)
@@ -126,40 +130,58 @@ def _verify(percent: int):
     return work
 
 
-def _tile_pairs(percent: int):
+#: candidate pairs per member from which a tile is dense
+DENSE = 4
+_TILE_ROWS = "a long, b long, key long, ti int, tj int, band int, side int"
+
+
+def _tile_pairs(percent: int, exact: bool):
     """Pairs of different components in one tile whose signatures leave the bound possible.
 
     A pair shows up in the tile of the first band it agrees on, and only there.  The
-    signature test allows five standard deviations, so a true link passes it.
+    signature test allows five standard deviations, so a true link passes it.  A tile
+    with few such pairs gives the pairs; a dense one gives its members instead (b is
+    null), to be searched again with their full sets at hand (``exact``), where only
+    confirmed links come out.
     """
-    schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
+    schema = pa.schema([(n, pa.int64() if t == "long" else pa.int32()) for n, t in (x.split() for x in _TILE_ROWS.split(", "))])
     share = percent / 100
     least = int(VALUES * (share - 5 * (share * (1 - share) / VALUES) ** 0.5))
 
-    def tile(rows: pa.Table) -> tuple[list[np.ndarray], list[np.ndarray]]:
+    def tile(rows: pa.Table) -> list[pa.RecordBatch]:
         ids = rows.column("doc_id").to_numpy()
         order = np.argsort(ids, kind="stable")
         ids = ids[order]
         side = rows.column("side").to_numpy()[order]
-        two = bool(rows.column("ti")[0].as_py() != rows.column("tj")[0].as_py())
+        key, ti, tj, band = (rows.column(c)[0].as_py() for c in ("key", "ti", "tj", "band"))
         component, size = rows.column("component").to_numpy()[order], rows.column("n_shingles").to_numpy()[order]
-        band = rows.column("band")[0].as_py()
         keys = np.array(rows.column("bands").combine_chunks().flatten().to_numpy()).reshape(-1, BANDS)[order]
         marks = np.frombuffer(b"".join(rows.column("signature").to_pylist()), np.uint16).reshape(-1, VALUES)[order]
+        items = [np.frombuffer(x.as_buffer(), U) for x in rows.column("items").combine_chunks()] if exact else []
+        items = [items[i] for i in order] if exact else []
         a, b = [], []
         for i in range(len(ids) - 1):
             rest = np.flatnonzero(component[i + 1 :] != component[i]) + i + 1
-            if two:
+            if ti != tj:
                 rest = rest[side[rest] != side[i]]
             rest = rest[100 * np.minimum(size[rest], size[i]) >= percent * np.maximum(size[rest], size[i])]
             if len(rest):
                 rest = rest[(marks[rest] == marks[i]).sum(1) >= least]
             if len(rest) and band:
                 rest = rest[~(keys[rest, :band] == keys[i, :band]).any(1)]
+            if exact:
+                rest = rest[[_meets(items[i], items[j], percent) for j in rest]] if len(rest) else rest
             if len(rest):
-                a.append(np.full(len(rest), ids[i]))
-                b.append(ids[rest])
-        return a, b
+                a.append(np.full(len(rest), i))
+                b.append(rest)
+        if not a:
+            return []
+        a, b = np.concatenate(a), np.concatenate(b)
+        if not exact and len(a) > DENSE * len(ids):
+            a = np.unique(np.r_[a, b])
+            place = [pa.array(np.full(len(a), v), t) for v, t in ((key, pa.int64()), (ti, pa.int32()), (tj, pa.int32()), (band, pa.int32()))]
+            return [pa.RecordBatch.from_arrays([pa.array(ids[a]), pa.nulls(len(a), pa.int64()), *place, pa.array(side[a])], schema=schema)]
+        return [pa.RecordBatch.from_arrays([pa.array(ids[a]), pa.array(ids[b]), *(pa.nulls(len(a), f.type) for f in list(schema)[2:])], schema=schema)]
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[pa.RecordBatch] = []
@@ -167,10 +189,9 @@ def _tile_pairs(percent: int):
 
         def flush():
             if held:
-                a, b = tile(pa.Table.from_batches(held))
+                found = tile(pa.Table.from_batches(held))
                 held.clear()
-                if a:
-                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(a)), pa.array(np.concatenate(b))], schema=schema)
+                yield from found
 
         for batch in batches:
             key = np.stack([batch.column(batch.schema.get_field_index(c)).to_numpy() for c in ("key", "ti", "tj")], 1)
@@ -224,10 +245,17 @@ def minhash_near_duplicates(documents: DataFrame, percent: int = 80, width: int
     rows = at.join(mixed, "key").select("doc_id", "band", "key", "tiles", F.pmod(F.xxhash64("doc_id"), F.col("tiles")).cast("int").alias("side"))
     other = F.explode(F.sequence(F.lit(0), F.col("tiles") - 1)).alias("other")
     rows = rows.select("doc_id", "band", "key", "side", other).select("doc_id", "band", "key", "side", F.least("side", "other").alias("ti"), F.greatest("side", "other").alias("tj"))
-    rows = rows.join(placed, "doc_id").select("key", "ti", "tj", "band", "side", "doc_id", "component", "n_shingles", "bands", "signature")
-    tiles = rows.repartition("key", "ti", "tj").sortWithinPartitions("key", "ti", "tj")
-    rest = tiles.mapInArrow(_tile_pairs(percent), "a long, b long").join(star, ["a", "b"], "left_anti").distinct()
-    more = confirmed(rest)
+    columns = ["key", "ti", "tj", "band", "side", "doc_id", "component", "n_shingles", "bands", "signature"]
+
+    def searched(rows: DataFrame, exact: bool) -> DataFrame:
+        tiles = rows.repartition("key", "ti", "tj").sortWithinPartitions("key", "ti", "tj")
+        return durable(tiles.mapInArrow(_tile_pairs(percent, exact), _TILE_ROWS))
+
+    first = searched(rows.join(placed, "doc_id").select(columns), False)
+    rest = first.where("b is not null").select("a", "b").join(star, ["a", "b"], "left_anti").distinct()
+    dense = first.where("b is null").select(F.col("a").alias("doc_id"), "key", "ti", "tj", "band", "side")
+    dense = searched(dense.join(placed, "doc_id").join(sets, "doc_id").select(*columns, "items"), True).select("a", "b")
+    more = durable(confirmed(rest).unionByName(dense))
     if more.limit(1).count():
         # the first components stand for their links: only new links between them are added
         root = labels.select(F.col("node"), "component")

@@ -69,7 +69,7 @@ def test_large_near_copy_group_needs_the_tiles(spark):
     """Variants of one text that mostly miss the bound with one another but all meet it with the last."""
     words = [f"w{i}" for i in range(400)]
     rows = []
-    for i in range(600):
+    for i in range(320):
         w = list(words)
         for k in range(5):
             w[(i * 7 + k * 83) % 400] = f"x{i}_{k}"
