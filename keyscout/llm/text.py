@@ -73,11 +73,11 @@ def chunks(batch: pa.RecordBatch, column: str = "text", limit: int = 1 << 20) ->
 class Words:
     """Words of a chunk: byte spans, owner text, and a 64-bit hash of each."""
 
-    def __init__(self, column: pa.Array, hashes: bool = True):
-        raw, self.offsets = string_buffers(column)
+    def __init__(self, column: pa.Array | tuple[np.ndarray, np.ndarray], hashes: bool = True, blanks: np.ndarray = _SPACE):
+        raw, self.offsets = column if isinstance(column, tuple) else string_buffers(column)
         self.bytes = _LOWER[raw]
         self.n_texts = len(self.offsets) - 1
-        blank = _SPACE[raw]
+        blank = blanks[raw]
         n = len(raw)
         first = np.zeros(n + 1, bool)
         first[self.offsets] = True  # a text's first byte never continues a word of the text before
@@ -97,8 +97,17 @@ class Words:
         with np.errstate(over="ignore"):
             total = np.zeros(n + 1, U)
             np.cumsum((self.bytes.astype(U) + U(1)) * _power("up", n), out=total[1:])
-            value = (total[self.end] - total[self.start]) * _power("down", n + 1)[self.start]
-            return mix(value + (self.end - self.start).astype(U) * U(0xD6E8FEB86659FD93))
+            self._total = total
+            return self._span_hash(self.end)
+
+    def _span_hash(self, end: np.ndarray) -> np.ndarray:
+        with np.errstate(over="ignore"):
+            value = (self._total[end] - self._total[self.start]) * _power("down", len(self._total))[self.start]
+            return mix(value + (end - self.start).astype(U) * U(0xD6E8FEB86659FD93))
+
+    def prefix_hash(self, size: int) -> np.ndarray:
+        """Hash of each word's first ``size`` bytes (of the whole word where it is shorter)."""
+        return self._span_hash(np.minimum(self.start + size, self.end))
 
     def strings(self) -> list[bytes]:
         data = self.bytes.tobytes()
