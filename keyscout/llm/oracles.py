@@ -41,5 +41,24 @@ SELECT query_id, rank, vec_id, score FROM ranked WHERE rank <= 10
 """
 
 
+VECTOR_DEDUP = """
+WITH RECURSIVE good AS MATERIALIZED (
+  SELECT vec_id, CAST(embedding AS DOUBLE[]) AS e FROM embeddings
+  WHERE embedding IS NOT NULL AND len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0
+    AND len(list_filter(embedding, lambda x: x <> 0)) > 0),
+links AS MATERIALIZED (
+  SELECT a.vec_id AS a, b.vec_id AS b FROM good a JOIN good b ON a.vec_id <> b.vec_id
+  WHERE list_cosine_similarity(a.e, b.e) >= 0.95),
+reach AS (
+  SELECT vec_id AS node, vec_id AS top FROM embeddings
+  UNION
+  SELECT links.b, reach.top FROM reach JOIN links ON links.a = reach.node),
+component AS (SELECT node, min(top) AS component_id FROM reach GROUP BY node),
+counts AS (SELECT a, count(*) AS n FROM links GROUP BY a)
+SELECT vec_id, CAST(coalesce(n, 0) AS BIGINT) AS n_links, component_id, vec_id = component_id AS kept
+FROM embeddings JOIN component ON vec_id = node LEFT JOIN counts ON a = vec_id
+"""
+
+
 def oracle_sql() -> dict[str, str]:
-    return {"op5_line_dedup": LINE_DEDUP, "op10_exact_top_k": TOP_K}
+    return {"op5_line_dedup": LINE_DEDUP, "op9_embedding_near_dedup": VECTOR_DEDUP, "op10_exact_top_k": TOP_K}

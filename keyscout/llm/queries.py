@@ -17,6 +17,7 @@ from keyscout.llm.packing import pack_documents
 from keyscout.llm.quality import score_quality, train_quality_vote
 from keyscout.llm.topk import exact_top_k
 from keyscout.llm.toxicity import score_toxicity, train_toxicity
+from keyscout.llm.vectors import near_duplicate_vectors
 
 
 def tokenizer_path(name: str) -> str:
@@ -66,6 +67,10 @@ def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scored.select("doc_id", F.coalesce(fold("doc_id", 3) == 1, F.lit(False)).alias("held_out"), "score", (F.col("score") >= 0.7).cast("int").alias("predicted"))
 
 
+def op9_embedding_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_duplicate_vectors(_table(spark, sf_dir, "embeddings"), least=0.95)
+
+
 def op10_exact_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
     vectors = _table(spark, sf_dir, "embeddings")
     return exact_top_k(vectors, vectors.where(F.col("vec_id") % 100 == 0), k=10)
@@ -79,5 +84,6 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op5_line_dedup": op5_line_dedup,
         "op7_quality_vote": op7_quality_vote,
         "op8_toxicity": op8_toxicity,
+        "op9_embedding_near_dedup": op9_embedding_near_dedup,
         "op10_exact_top_k": op10_exact_top_k,
     }
