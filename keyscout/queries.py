@@ -3,17 +3,424 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from functools import partial
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
+
+from keyscout.functions import masks as M
+from keyscout.operators import baselines, discover, evidence, measures, prepare, profile, validate
+from keyscout.operators.discover import DiscoveryOptions, DiscoveryResult, discover_keys
+from keyscout.plans import hitting, oracle
+from keyscout.sources import tables
+
+Query = Callable[[SparkSession, str], DataFrame]
+
+#: literal edges of the running example, columns counted from 1 (fixed values)
+RUNNING_EDGES = [{2}, {7}, {8}, {1, 3}, {1, 4}, {1, 6}, {3, 5}, {4, 5}]
+RUNNING_EXTRA, RUNNING_COLUMNS = {1, 5}, 8
+
+
+def _bits(columns: set[int]) -> int:
+    return sum(1 << (c - 1) for c in columns)
+
+
+def _keys(result: DiscoveryResult, spark: SparkSession) -> DataFrame:
+    return result.keys_df(spark).select("key", "n_columns")
+
+
+def _source(name: str, spark: SparkSession, sf_dir: str) -> DataFrame:
+    return tables.sf_table(spark, sf_dir, name)
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
-    raise NotImplementedError
+    """(table, key, n_columns, how, round) of part and lineitem."""
+    parts = [discover_keys(_source(t, spark, sf_dir)).keys_df(spark).withColumn("table", F.lit(t)) for t in ("part", "lineitem")]
+    return parts[0].unionByName(parts[1]).select("table", "key", "n_columns", "how", "round")
+
+
+def keys_of(name: str, finder: Callable[..., DiscoveryResult], spark: SparkSession, sf_dir: str, **options) -> DataFrame:
+    df = _source(name, spark, sf_dir)
+    return _keys(finder(df, DiscoveryOptions(**options)) if options or finder is discover_keys else finder(df), spark)
+
+
+def prefix_keys(name: str, k: int, spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _keys(discover_keys(prepare.project_prefix(_source(name, spark, sf_dir), k), DiscoveryOptions(on_duplicates="dedup")), spark)
+
+
+def wide_prefix_keys(k: int, spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _keys(discover_keys(prepare.project_prefix(tables.wide16(spark, sf_dir), k)), spark)
+
+
+def stats_of(name: str, spark: SparkSession, sf_dir: str) -> DataFrame:
+    return profile.column_stats(_source(name, spark, sf_dir))
+
+
+def types_of(name: str, spark: SparkSession, sf_dir: str, factor: float = 3.0) -> DataFrame:
+    df = _source(name, spark, sf_dir)
+    return profile.classify_columns(profile.column_stats(df), profile.pair_budget(df.count(), factor))
+
+
+def masks_of(name: str, column: str, spark: SparkSession, sf_dir: str, **how) -> DataFrame:
+    relation = prepare.encode_columns(_source(name, spark, sf_dir))
+    return evidence.pair_masks_for_column(relation, relation.names.index(column), **how)
+
+
+def budgets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(table, n_rows, budget) at factor 3."""
+    counts = [(t, _source(t, spark, sf_dir).count()) for t in oracle.TABLES]
+    return spark.createDataFrame([(t, n, profile.pair_budget(n)) for t, n in counts], "table string, n_rows long, budget long")
+
+
+def mask_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(col, masks, pairs) of lineitem's columns within the budget."""
+    relation = prepare.encode_columns(_source("lineitem", spark, sf_dir))
+    stats = profile.relation_stats(relation)
+    covered = M.bits(profile.covered_mask(stats, profile.pair_budget(relation.n)))
+    found = evidence.covered_pair_masks(relation, covered, ownership=False).groupBy("col_ix").agg(F.count("*").alias("masks"), F.sum("pairs").alias("pairs"))
+    return found.select(F.element_at(F.array(*[F.lit(c) for c in relation.names]), F.col("col_ix") + 1).alias("col"), "masks", "pairs")
+
+
+def minimal_masks_of(name: str, spark: SparkSession, sf_dir: str) -> DataFrame:
+    """mask: final minimal difference masks, the same however they were found."""
+    return discover_keys(_source(name, spark, sf_dir)).edges_df(spark)
+
+
+def all_masks_of(name: str, spark: SparkSession, sf_dir: str) -> DataFrame:
+    return baselines.all_pair_masks(prepare.encode_columns(_source(name, spark, sf_dir)))
+
+
+def minimized_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Minimal masks of the pairs that agree on o_custkey, by anti join."""
+    return M.minimize_df(masks_of("orders", "o_custkey", spark, sf_dir))
+
+
+def running_example(extra: bool, spark: SparkSession, sf_dir: str) -> DataFrame:
+    edges = [_bits(e) for e in RUNNING_EDGES] + [_bits(RUNNING_EXTRA)] * extra
+    return spark.createDataFrame([(k,) for k in hitting.minimal_hitting_sets(edges, RUNNING_COLUMNS)], "key_mask long")
+
+
+def running_example_distributed(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return hitting.minimal_hitting_sets_df(spark, [_bits(e) for e in RUNNING_EDGES] + [_bits(RUNNING_EXTRA)], RUNNING_COLUMNS)
+
+
+def hitting_sets_sql(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from keyscout.functions import sqlfunctions
+
+    sqlfunctions.register(spark)
+    edges = ", ".join(str(_bits(e)) for e in RUNNING_EDGES)
+    return spark.sql(f"SELECT * FROM minimal_hitting_sets(array({edges}), {RUNNING_COLUMNS})")
+
+
+def conflicts(name: str, columns: list[str], spark: SparkSession, sf_dir: str) -> DataFrame:
+    return validate.conflict_groups(_source(name, spark, sf_dir), columns)
+
+
+def conflict_rows_of(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Orders that collide on customer and date."""
+    relation = prepare.encode_columns(_source("orders", spark, sf_dir))
+    rows = validate.conflict_rows(relation, M.mask_of(["o_custkey", "o_orderdate"], relation.names))
+    return rows.select(*[F.col(c).alias(n) for c, n in zip(relation.columns, relation.names)])
+
+
+def conflict_masks_of(spark: SparkSession, sf_dir: str) -> DataFrame:
+    relation = prepare.encode_columns(_source("orders", spark, sf_dir))
+    return validate.conflict_pair_masks(relation, M.mask_of(["o_custkey", "o_orderdate"], relation.names))
+
+
+def explained(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Why customer and status are no key of orders: rows of the five largest groups."""
+    return discover.why_not_key(_source("orders", spark, sf_dir), ["o_custkey", "o_orderstatus"])
+
+
+def key_questions(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(columns, is_key, is_minimal) for some column sets of orders."""
+    df = _source("orders", spark, sf_dir)
+    asked = [["o_orderkey"], ["o_orderkey", "o_custkey"], ["o_custkey"], ["o_custkey", "o_orderstatus"]]
+    return spark.createDataFrame([(",".join(c), discover.is_key(df, c), discover.is_minimal_key(df, c)) for c in asked], "columns string, is_key boolean, is_minimal boolean")
+
+
+def filtered_keys(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Keys of the urgent orders only."""
+    return _keys(discover_keys(_source("orders", spark, sf_dir).where("o_orderpriority = '1-URGENT'")), spark)
+
+
+def _outer(spark: SparkSession, sf_dir: str) -> DataFrame:
+    c, o = _source("customer", spark, sf_dir), _source("orders", spark, sf_dir).where("o_orderstatus = 'P' AND o_orderpriority = '1-URGENT'")
+    return c.join(o, c.c_custkey == o.o_custkey, "left").select("c_custkey", "c_nationkey", "c_mktsegment", "o_orderkey", "o_orderstatus", "o_orderpriority")
+
+
+def null_keys(policy: str, spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _keys(discover_keys(_outer(spark, sf_dir), DiscoveryOptions(null_policy=policy)), spark)
+
+
+def fallback_keys(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Keys of five low-cardinality columns, none within the usual budget."""
+    return _keys(discover_keys(_source("lineitem", spark, sf_dir).select("l_suppkey", "l_linenumber", "l_quantity", "l_discount", "l_tax"), DiscoveryOptions(on_duplicates="dedup")), spark)
+
+
+def wide_keys(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _keys(discover_keys(tables.wide16(spark, sf_dir)), spark)
+
+
+def embedding_keys(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """66 columns: masks of two words."""
+    return _keys(discover_keys(tables.embedding_columns(spark, sf_dir)), spark)
+
+
+def maximal_non_keys_of(name: str, spark: SparkSession, sf_dir: str) -> DataFrame:
+    r = discover_keys(_source(name, spark, sf_dir))
+    return spark.createDataFrame([(",".join(M.mask_columns(v, r.names)), v.bit_count()) for v in r.maximal_non_keys()], "non_key string, n_columns int")
+
+
+def ranked(spark: SparkSession, sf_dir: str) -> DataFrame:
+    df = _source("orders", spark, sf_dir)
+    return discover.rank_keys(discover_keys(df), df)
+
+
+def drift(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Keys of all customers against keys of the building segment's."""
+    df = _source("customer", spark, sf_dir)
+    return discover.key_diff(discover_keys(df), discover_keys(df.where("c_mktsegment = 'BUILDING'")), spark)
+
+
+def prefix_rollup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(n_columns, longest, is_key): the longest conflict group of every column prefix of part."""
+    df = _source("part", spark, sf_dir)
+    rolled = df.rollup(*df.columns).agg(F.count("*").alias("n"), F.grouping_id().alias("g"))
+    m = len(df.columns)
+    return rolled.groupBy((F.lit(m) - F.bit_count("g")).cast("int").alias("n_columns")).agg(F.max("n").alias("longest")).withColumn("is_key", F.col("longest") == 1)
+
+
+def cube_uniqueness(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(key_mask): every unique column set of customer, by cube."""
+    df = _source("customer", spark, sf_dir)
+    m = len(df.columns)
+    cubed = df.cube(*df.columns).agg(F.count("*").alias("n"), F.grouping_id().alias("g")).groupBy("g").agg(F.max("n").alias("n")).where("n = 1")
+    mask = sum((F.when(F.col("g").bitwiseAND(F.lit(1 << (m - 1 - i))) == 0, F.lit(1 << i)).otherwise(0) for i in range(1, m)), F.when(F.col("g").bitwiseAND(F.lit(1 << (m - 1))) == 0, F.lit(1)).otherwise(0))
+    return cubed.select(mask.cast("long").alias("key_mask"))
+
+
+def run_boundaries(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(o_custkey, run): run lengths found by comparing each row with the one before in sorted order."""
+    df = _source("orders", spark, sf_dir)
+    w = Window.partitionBy("o_custkey").orderBy("o_orderkey")
+    marked = df.withColumn("start", F.lag("o_orderkey").over(w).isNull())
+    return marked.groupBy("o_custkey").agg(F.count("*").alias("run"), F.sum(F.col("start").cast("long")).alias("starts"))
+
+
+def window_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Rows that share customer and date with another, by window count."""
+    w = Window.partitionBy("o_custkey", "o_orderdate")
+    return _source("orders", spark, sf_dir).withColumn("n", F.count("*").over(w)).where("n > 1").select("o_orderkey", "n")
+
+
+def orphans(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Line items whose order key has no order: a foreign-key test of a discovered key."""
+    return _source("lineitem", spark, sf_dir).join(_source("orders", spark, sf_dir), F.col("l_orderkey") == F.col("o_orderkey"), "left_anti").groupBy("l_orderkey").agg(F.count("*").alias("n"))
+
+
+def histogram(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return profile.run_histogram(_source("lineitem", spark, sf_dir), "l_orderkey")
+
+
+def props_stats(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Column statistics of events with the JSON member k and the day as columns."""
+    e = _source("events", spark, sf_dir)
+    return profile.column_stats(e.select("user_id", F.get_json_object("props", "$.k").cast("long").alias("k"), F.date_trunc("DAY", "ts").cast("string").alias("day")))
+
+
+def lists_of(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return measures.list_footprint(_source("lineitem", spark, sf_dir))
+
+
+def partition_product(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(size, n): cluster sizes of customer x date in orders, by intersecting two stripped partitions."""
+    relation = prepare.encode_columns(_source("orders", spark, sf_dir))
+    a, b = (baselines.stripped_partition(relation.rows, [f"c{relation.names.index(c)}"]) for c in ("o_custkey", "o_orderdate"))
+    return baselines.intersect_partitions(a, b).groupBy("cluster").agg(F.count("*").alias("size")).groupBy("size").agg(F.count("*").alias("n"))
+
+
+def encoded_codes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Consecutive codes of o_custkey and o_totalprice by value order."""
+    df = _source("orders", spark, sf_dir).select("o_custkey", "o_totalprice", "o_orderkey")
+    r = prepare.encode_columns(df, "rank")
+    return r.rows.select(F.col("c0").alias("custkey_code"), F.col("c1").alias("price_code"), F.col("c2").alias("orderkey_code"))
+
+
+def mask_algebra(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Size, names and subset test of the masks of pairs that agree on p_retailprice."""
+    m = masks_of("part", "p_retailprice", spark, sf_dir)
+    names = oracle.TABLES["part"]
+    probe = F.lit(M.mask_of(["p_partkey", "p_name"], names)).cast("long")
+    return m.select("mask", M.mask_size("mask").cast("int").alias("size"), M.mask_names(F.col("mask"), names).alias("columns"), M.mask_subset(probe, F.col("mask")).alias("holds_probe"), M.mask_minus(F.col("mask"), probe).alias("rest"))
+
+
+def summary(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return measures.size_summary(discover_keys(_source("lineitem", spark, sf_dir)), spark)
+
+
+def rounds_of(factor: float, spark: SparkSession, sf_dir: str) -> DataFrame:
+    return measures.candidate_history(discover_keys(_source("lineitem", spark, sf_dir), DiscoveryOptions(factor=factor)), spark)
+
+
+def yield_of(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(col, pairs, masks, pairs_per_mask) of lineitem without pair ownership."""
+    return measures.mask_yield(discover_keys(_source("lineitem", spark, sf_dir), DiscoveryOptions(ownership=False, sampling="off")), spark)
+
+
+def shares_of(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return measures.phase_shares(discover_keys(_source("lineitem", spark, sf_dir)), spark)
+
+
+def sampled_masks(spark: SparkSession, sf_dir: str) -> DataFrame:
+    relation = prepare.encode_columns(_source("lineitem", spark, sf_dir))
+    return evidence.sample_pair_masks(relation, evidence.supplement_sample(relation, evidence.sample_size(relation.n, 7)))
+
+
+def ablated(name: str, spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _keys(baselines.discover_keys_ablated(_source("orders", spark, sf_dir), name), spark)
+
+
+def skewed_keys(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Keys of orders where every fiftieth row has one and the same customer: one long run, cut in tiles."""
+    df = _source("orders", spark, sf_dir).withColumn("o_custkey", F.when(F.col("o_orderkey") % 50 == 0, F.lit(0)).otherwise(F.col("o_custkey")))
+    return _keys(discover_keys(df, DiscoveryOptions(tile=64, factor=20)), spark)
+
+
+def stream_conflicts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Users and types that occur more than once in the events stream, read as a stream to its end."""
+    from keyscout.streaming import monitor
+
+    schema = _source("events", spark, sf_dir).schema
+    stream = spark.readStream.schema(schema).option("pathGlobFilter", "*").parquet(f"{sf_dir}/events.parquet*")
+    name = f"ks_conflicts_{abs(hash(sf_dir))}"
+    query = monitor.key_conflicts(stream, ["user_id", "event_type"]).writeStream.outputMode("complete").format("memory").queryName(name).trigger(availableNow=True).start()
+    query.awaitTermination()
+    return spark.table(name)
 
 
-def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {}
+def queries() -> dict[str, Query]:
+    found: dict[str, Query] = {}
+    for t in oracle.TABLES:
+        found[f"column_stats_{t}"] = partial(stats_of, t)
+        found[f"keys_{t}"] = partial(keys_of, t, discover_keys)
+    for t in ("lineitem", "orders", "part", "events"):
+        found[f"column_types_{t}"] = partial(types_of, t)
+    for t, c in (("lineitem", "l_orderkey"), ("lineitem", "l_extendedprice"), ("orders", "o_custkey"), ("part", "p_retailprice"), ("events", "value")):
+        found[f"pair_masks_{t}_{c}"] = partial(masks_of, t, c)
+    found["pair_masks_join_orders"] = partial(masks_of, "orders", "o_custkey", strategy="join")
+    found["pair_masks_grouped_orders"] = partial(masks_of, "orders", "o_custkey", strategy="grouped_arrays")
+    for t in ("nation", "supplier", "customer"):
+        found[f"all_pair_masks_{t}"] = partial(all_masks_of, t)
+    for t in ("customer", "orders", "part", "lineitem"):
+        found[f"minimal_masks_{t}"] = partial(minimal_masks_of, t)
+        found[f"maximal_non_keys_{t}"] = partial(maximal_non_keys_of, t)
+    for f in (0.1, 0.5, 1.0, 20.0):
+        found[f"keys_lineitem_factor_{f:g}".replace(".", "_")] = partial(keys_of, "lineitem", discover_keys, factor=f)
+    for k in (4, 7):
+        found[f"keys_prefix_{k}"] = partial(prefix_keys, "lineitem", k)
+    for k in (4, 7, 10):
+        found[f"keys_wide16_prefix_{k}"] = partial(wide_prefix_keys, k)
+    for name, finder in (("lattice", baselines.discover_keys_lattice), ("pli", baselines.discover_keys_pli), ("prefix_tree", baselines.discover_keys_prefix_tree), ("random_walk", baselines.discover_keys_random_walk), ("hybrid", baselines.discover_keys_hybrid)):
+        for t in ("orders", "part"):
+            found[f"keys_{name}_{t}"] = partial(keys_of, t, finder)
+    for t in ("customer", "part"):
+        found[f"keys_exhaustive_{t}"] = partial(keys_of, t, baselines.discover_keys_exhaustive)
+    for name in baselines.ABLATIONS:
+        found[f"keys_ablation_{name}"] = partial(ablated, name)
+    for name, options in (("rank_encoding", {"encoding": "rank"}), ("hash_encoding", {"encoding": "hash128"}), ("gap_budget", {"budget": "gap"})):
+        found[f"keys_{name}"] = partial(keys_of, "orders", discover_keys, **options)
+    found |= {
+        "pair_budget_all": budgets, "mask_counts_lineitem": mask_counts, "minimized_pairs_orders": minimized_pairs,
+        "hitting_sets_running_r1": partial(running_example, False), "hitting_sets_running_r2": partial(running_example, True),
+        "hitting_sets_distributed": running_example_distributed, "hitting_sets_udtf": hitting_sets_sql,
+        "conflict_groups_orders": partial(conflicts, "orders", ["o_custkey", "o_orderdate"]), "conflict_groups_lineitem": partial(conflicts, "lineitem", ["l_orderkey", "l_linenumber"]),
+        "conflict_rows_orders": conflict_rows_of, "conflict_masks_orders": conflict_masks_of, "why_not_key_orders": explained, "is_key_orders": key_questions,
+        "keys_filtered": filtered_keys, "keys_null_equal": partial(null_keys, "null_equal"), "keys_null_distinct": partial(null_keys, "null_distinct"),
+        "keys_dedup_projection": partial(prefix_keys, "lineitem", 2), "keys_fallback_budget": fallback_keys, "keys_skewed_run": skewed_keys, "keys_wide16": wide_keys, "keys_embeddings66": embedding_keys,
+        "rank_keys_orders": ranked, "key_diff_customer": drift, "rollup_prefix_keys": prefix_rollup, "cube_subset_uniqueness": cube_uniqueness,
+        "window_run_boundaries": run_boundaries, "window_duplicates_orders": window_duplicates, "foreign_key_orphans": orphans, "run_histogram_lineitem": histogram,
+        "column_stats_event_props": props_stats, "position_list_footprint": lists_of, "partition_intersection_orders": partition_product, "rank_codes_orders": encoded_codes, "mask_algebra_part": mask_algebra,
+        "measures_summary_lineitem": summary, "measures_rounds_factor_0_1": partial(rounds_of, 0.1), "measures_mask_yield_lineitem": yield_of, "measures_phase_shares_lineitem": shares_of, "sample_masks_fixed": sampled_masks,
+        "stream_key_conflicts": stream_conflicts,
+    }
+    return found
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    T, sql = oracle.TABLES, {}
+    for t, c in T.items():
+        sql[f"column_stats_{t}"] = oracle.column_stats(t, c)
+        sql[f"keys_{t}"] = oracle.minimal_keys(t, c)
+    for t in ("lineitem", "orders", "part", "events"):
+        sql[f"column_types_{t}"] = oracle.column_types(t, T[t], 3.0)
+    for t, c in (("lineitem", "l_orderkey"), ("lineitem", "l_extendedprice"), ("orders", "o_custkey"), ("part", "p_retailprice"), ("events", "value")):
+        sql[f"pair_masks_{t}_{c}"] = oracle.pair_masks(t, T[t], [c])
+    sql["pair_masks_join_orders"] = sql["pair_masks_grouped_orders"] = sql["pair_masks_orders_o_custkey"]
+    for t in ("nation", "supplier", "customer"):
+        sql[f"all_pair_masks_{t}"] = oracle.pair_masks(t, T[t], [])
+    for t in ("customer", "orders", "part", "lineitem"):
+        sql[f"maximal_non_keys_{t}"] = oracle.maximal_non_keys(t, T[t])
+        full = (1 << len(T[t])) - 1
+        place = " + ".join(f"CASE WHEN list_contains(string_split(non_key, ','), '{c}') THEN {1 << i} ELSE 0 END" for i, c in enumerate(T[t]))
+        sql[f"minimal_masks_{t}"] = f"SELECT CAST({full} - ({place}) AS BIGINT) AS mask FROM ({oracle.maximal_non_keys(t, T[t])})"
+    for f in ("0_1", "0_5", "1", "20"):
+        sql[f"keys_lineitem_factor_{f}"] = sql["keys_lineitem"]
+    for k in (4, 7):
+        names = T["lineitem"][:k]
+        sql[f"keys_prefix_{k}"] = oracle.minimal_keys("d", names, f"d AS (SELECT DISTINCT {', '.join(names)} FROM lineitem)")
+    wide = [*T["lineitem"], *T["orders"][1:]]
+    for k in (4, 7, 10):
+        sql[f"keys_wide16_prefix_{k}"] = oracle.minimal_keys("d", wide[:k], f"d AS (SELECT {', '.join(wide[:k])} FROM lineitem JOIN orders ON l_orderkey = o_orderkey)")
+    for name in ("lattice", "pli", "prefix_tree", "random_walk", "hybrid"):
+        for t in ("orders", "part"):
+            sql[f"keys_{name}_{t}"] = sql[f"keys_{t}"]
+    for t in ("customer", "part"):
+        sql[f"keys_exhaustive_{t}"] = sql[f"keys_{t}"]
+    for name in [f"keys_ablation_{n}" for n in baselines.ABLATIONS] + ["keys_rank_encoding", "keys_hash_encoding", "keys_gap_budget"]:
+        sql[name] = sql["keys_orders"]
+    sql["pair_budget_all"] = " UNION ALL ".join(f"SELECT '{t}' AS \"table\", count(*) AS n_rows, CAST(CASE WHEN count(*) > 1 THEN floor(3.0 * count(*) * log2(count(*))) ELSE 0 END AS BIGINT) AS budget FROM {t}" for t in T)
+    covered = f"SELECT col FROM ({oracle.column_types('lineitem', T['lineitem'], 3.0)}) WHERE covered"
+    each = " UNION ALL ".join(f"SELECT '{c}' AS col, count(*) AS masks, CAST(sum(pairs) AS BIGINT) AS pairs FROM ({oracle.pair_masks('lineitem', T['lineitem'], [c])})" for c in ("l_orderkey", "l_partkey", "l_extendedprice", "l_shipdate"))
+    sql["mask_counts_lineitem"] = f"SELECT * FROM ({each}) WHERE col IN ({covered})"
+    sql["measures_mask_yield_lineitem"] = f"SELECT col, pairs, masks, pairs / masks AS pairs_per_mask FROM ({sql['mask_counts_lineitem']})"
+    sql["minimized_pairs_orders"] = oracle.minimal(oracle.pair_masks("orders", T["orders"], ["o_custkey"]))
+    edges = lambda extra: " UNION ALL ".join(f"SELECT {_bits(e)} AS mask" for e in [*RUNNING_EDGES, *([RUNNING_EXTRA] if extra else [])])
+    sql["hitting_sets_running_r1"] = sql["hitting_sets_udtf"] = oracle.hitting_sets(edges(False), RUNNING_COLUMNS)
+    sql["hitting_sets_running_r2"] = sql["hitting_sets_distributed"] = oracle.hitting_sets(edges(True), RUNNING_COLUMNS)
+    sql["conflict_groups_orders"] = oracle.conflict_groups("orders", ["o_custkey", "o_orderdate"])
+    sql["conflict_groups_lineitem"] = oracle.conflict_groups("lineitem", ["l_orderkey", "l_linenumber"])
+    sql["conflict_rows_orders"] = f"SELECT orders.* FROM orders JOIN ({sql['conflict_groups_orders']}) g ON orders.o_custkey = g.o_custkey AND orders.o_orderdate = g.o_orderdate"
+    sql["conflict_masks_orders"] = oracle.pair_masks("orders", T["orders"], ["o_custkey", "o_orderdate"])
+    sql["why_not_key_orders"] = "SELECT orders.*, cnt AS group_rows FROM orders JOIN (SELECT o_custkey AS k, o_orderstatus AS s, count(*) AS cnt FROM orders GROUP BY 1, 2 HAVING count(*) > 1 ORDER BY cnt DESC, k, s LIMIT 5) ON o_custkey = k AND o_orderstatus = s"
+    unique = lambda c: f"(SELECT count(*) = count(DISTINCT ({c})) FROM orders)"
+    sql["is_key_orders"] = f"SELECT 'o_orderkey' AS columns, {unique('o_orderkey')} AS is_key, {unique('o_orderkey')} AS is_minimal UNION ALL SELECT 'o_orderkey,o_custkey', {unique('o_orderkey, o_custkey')}, NOT {unique('o_orderkey')} AND NOT {unique('o_custkey')} AND {unique('o_orderkey, o_custkey')} UNION ALL SELECT 'o_custkey', {unique('o_custkey')}, {unique('o_custkey')} UNION ALL SELECT 'o_custkey,o_orderstatus', {unique('o_custkey, o_orderstatus')}, {unique('o_custkey, o_orderstatus')} AND NOT {unique('o_custkey')} AND NOT {unique('o_orderstatus')}"
+    sql["keys_filtered"] = oracle.minimal_keys("d", T["orders"], "d AS (SELECT * FROM orders WHERE o_orderpriority = '1-URGENT')")
+    outer = "SELECT c_custkey, c_nationkey, c_mktsegment, o_orderkey, o_orderstatus, o_orderpriority FROM customer LEFT JOIN (SELECT * FROM orders WHERE o_orderstatus = 'P' AND o_orderpriority = '1-URGENT') o ON c_custkey = o_custkey"
+    six = ["c_custkey", "c_nationkey", "c_mktsegment", "o_orderkey", "o_orderstatus", "o_orderpriority"]
+    sql["keys_null_equal"] = oracle.minimal_keys("d", six, f"d AS ({outer})")
+    own = ", ".join(f"coalesce(CAST({c} AS VARCHAR), 'null of row ' || rid) AS {c}" for c in six)
+    sql["keys_null_distinct"] = oracle.minimal_keys("d", six, f"d AS (SELECT {own} FROM (SELECT *, row_number() OVER () AS rid FROM ({outer})))")
+    sql["keys_dedup_projection"] = oracle.minimal_keys("d", T["lineitem"][:2], "d AS (SELECT DISTINCT l_orderkey, l_partkey FROM lineitem)")
+    five = ["l_suppkey", "l_linenumber", "l_quantity", "l_discount", "l_tax"]
+    sql["keys_fallback_budget"] = oracle.minimal_keys("d", five, f"d AS (SELECT DISTINCT {', '.join(five)} FROM lineitem)")
+    sql["keys_skewed_run"] = oracle.minimal_keys("d", T["orders"], "d AS (SELECT o_orderkey, CASE WHEN o_orderkey % 50 = 0 THEN 0 ELSE o_custkey END AS o_custkey, o_orderstatus, o_totalprice, o_orderdate, o_orderpriority FROM orders)")
+    width = "list_sum(list_transform(string_split(key, ','), lambda c: CASE WHEN c IN ('o_orderkey', 'o_custkey', 'o_totalprice', 'o_orderdate') THEN 8 ELSE 32 END))"
+    sql["rank_keys_orders"] = f"SELECT key, n_columns, CAST(0 AS INTEGER) AS null_columns, CAST({width} AS INTEGER) AS width, CAST(row_number() OVER (ORDER BY n_columns, {width}, key) AS INTEGER) AS rank FROM ({sql['keys_orders']})"
+    part = oracle.minimal_keys("d", T["customer"], "d AS (SELECT * FROM customer WHERE c_mktsegment = 'BUILDING')")
+    sql["key_diff_customer"] = f"SELECT coalesce(a.key, b.key) AS key, CASE WHEN a.key IS NOT NULL AND b.key IS NOT NULL THEN 'both' WHEN a.key IS NOT NULL THEN 'first' ELSE 'second' END AS side FROM ({sql['keys_customer']}) a FULL JOIN ({part}) b ON a.key = b.key"
+    p = T["part"]
+    sql["rollup_prefix_keys"] = " UNION ALL ".join(f"SELECT CAST({k} AS INTEGER) AS n_columns, max(n) AS longest, max(n) = 1 AS is_key FROM (SELECT count(*) AS n FROM part {'GROUP BY ' + ', '.join(p[:k]) if k else ''})" for k in range(len(p) + 1))
+    sql["cube_subset_uniqueness"] = f"WITH {oracle._unique_sets('customer', T['customer'])} SELECT mask AS key_mask FROM uniq"
+    sql["window_run_boundaries"] = "SELECT o_custkey, count(*) AS run, CAST(1 AS BIGINT) AS starts FROM orders GROUP BY 1"
+    sql["window_duplicates_orders"] = "SELECT o_orderkey, n FROM (SELECT o_orderkey, count(*) OVER (PARTITION BY o_custkey, o_orderdate) AS n FROM orders) WHERE n > 1"
+    sql["foreign_key_orphans"] = "SELECT l_orderkey, count(*) AS n FROM lineitem WHERE l_orderkey NOT IN (SELECT o_orderkey FROM orders) GROUP BY 1"
+    sql["run_histogram_lineitem"] = "SELECT n AS run_length, count(*) AS n_values FROM (SELECT count(*) AS n FROM lineitem GROUP BY l_orderkey) GROUP BY 1"
+    sql["column_stats_event_props"] = f"WITH d AS (SELECT user_id, CAST(json_extract_string(props, '$.k') AS BIGINT) AS k, CAST(date_trunc('day', ts) AS VARCHAR) AS day FROM events) {oracle.column_stats('d', ['user_id', 'k', 'day'])}"
+    sql["position_list_footprint"] = " UNION ALL ".join(f"SELECT '{c}' AS col, CAST(coalesce(sum(n) FILTER (WHERE n > 1), 0) AS BIGINT) AS listed_rows, CAST(coalesce(sum(n) FILTER (WHERE n > 1), 0) * 16 + (SELECT count(*) FROM lineitem) * 8 AS BIGINT) AS bytes FROM (SELECT count(*) AS n FROM lineitem GROUP BY {c})" for c in T["lineitem"])
+    sql["partition_intersection_orders"] = "SELECT n AS size, count(*) AS n FROM (SELECT count(*) AS n FROM orders GROUP BY o_custkey, o_orderdate HAVING count(*) > 1) GROUP BY 1"
+    sql["rank_codes_orders"] = "SELECT CAST(dense_rank() OVER (ORDER BY o_custkey) - 1 AS BIGINT) AS custkey_code, CAST(dense_rank() OVER (ORDER BY o_totalprice) - 1 AS BIGINT) AS price_code, CAST(dense_rank() OVER (ORDER BY o_orderkey) - 1 AS BIGINT) AS orderkey_code FROM orders"
+    sql["mask_algebra_part"] = f"SELECT mask, CAST(bit_count(mask) AS INTEGER) AS size, {oracle._rendered(p)} AS columns, (3 & mask) = 3 AS holds_probe, mask - (mask & 3) AS rest FROM ({oracle.pair_masks('part', p, ['p_retailprice'])})"
+    sql["stream_key_conflicts"] = "SELECT user_id, event_type, count(*) AS n_rows FROM events GROUP BY 1, 2 HAVING count(*) > 1"
+    return sql
