@@ -12,6 +12,7 @@ from pyspark.sql import functions as F
 from keyscout.llm.labelled import fold
 from keyscout.llm.language import identify_languages, train_language_model
 from keyscout.llm.lines import apply_keep_bitmaps, line_keep_bitmaps
+from keyscout.llm.mixing import score_documents
 from keyscout.llm.neardup import minhash_near_duplicates
 from keyscout.llm.packing import pack_documents
 from keyscout.llm.quality import score_quality, train_quality_vote
@@ -39,6 +40,10 @@ def op2_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack_documents(_table(spark, sf_dir, "documents"), tokenizer_path("word_bpe_49k.json"))
 
 
+def op3_context_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return score_documents(_table(spark, sf_dir, "documents"), folds=7, held=2)
+
+
 def op4_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = _table(spark, sf_dir, "documents")
     found = identify_languages(docs.select("doc_id", "text"), train_language_model(docs, folds=4, held=2))
@@ -80,6 +85,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_minhash_near_dedup": op1_minhash_near_dedup,
         "op2_best_fit_packing": op2_best_fit_packing,
+        "op3_context_mixing": op3_context_mixing,
         "op4_language_id": op4_language_id,
         "op5_line_dedup": op5_line_dedup,
         "op7_quality_vote": op7_quality_vote,
