@@ -18,6 +18,7 @@ from keyscout.llm.packing import pack_documents
 from keyscout.llm.quality import score_quality, train_quality_vote
 from keyscout.llm.topk import exact_top_k
 from keyscout.llm.toxicity import score_toxicity, train_toxicity
+from keyscout.llm.transducer import encoding_digests
 from keyscout.llm.vectors import near_duplicate_vectors
 
 
@@ -61,6 +62,10 @@ def op5_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return apply_keep_bitmaps(docs, line_keep_bitmaps(docs)).mapInArrow(digests, "doc_id long, n_lines long, n_dropped long, kept_sha256 string")
 
 
+def op6_subword_transducer(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return encoding_digests(_table(spark, sf_dir, "documents"), tokenizer_path("piece_bpe_32k.model"))
+
+
 def op7_quality_vote(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = _table(spark, sf_dir, "documents").select("doc_id", "text")
     return score_quality(docs, train_quality_vote(docs, _table(spark, sf_dir, "labels"), folds=3, held=1), folds=3, held=1)
@@ -88,6 +93,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op3_context_mixing": op3_context_mixing,
         "op4_language_id": op4_language_id,
         "op5_line_dedup": op5_line_dedup,
+        "op6_subword_transducer": op6_subword_transducer,
         "op7_quality_vote": op7_quality_vote,
         "op8_toxicity": op8_toxicity,
         "op9_embedding_near_dedup": op9_embedding_near_dedup,
