@@ -128,6 +128,22 @@ def train_language_model(documents: DataFrame, folds: int = 4, held: int = 2, pe
     return LanguageModel(languages, np.log((table + 0.1) / (total + 0.1 * seen)).astype(np.float32))
 
 
+def keep_identified(documents: DataFrame, model: LanguageModel, least: float = 0.4) -> DataFrame:
+    """Rows whose text has letters and whose first language holds a share of ``least`` or more; columns stay as they are."""
+    shared = documents.sparkSession.sparkContext.broadcast(model)
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for part in chunks(batch):
+                column = part.column(part.schema.get_field_index("text"))
+                share, _ = shared.value.mixtures(column)
+                top = share.max(1) if share.size else np.zeros(len(share))
+                letters = np.array([t is not None and _has_letter(t) is not None for t in column.to_pylist()], bool)
+                yield part.filter(pa.array((top >= least) & letters))
+
+    return documents.mapInArrow(work, documents.schema)
+
+
 def identify_languages(documents: DataFrame, model: LanguageModel) -> DataFrame:
     """Input columns plus lang_pred, score, lang_shares (map of the selected set), fit.
 

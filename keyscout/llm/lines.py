@@ -204,12 +204,15 @@ def _kept_text(text: str | None, keep: bytes | None) -> tuple[str, int, int]:
     return "\n".join(stays), len(lines), len(lines) - len(stays)
 
 
-def apply_keep_bitmaps(documents: DataFrame, bitmaps: DataFrame) -> DataFrame:
-    """documents with ``text`` cut to its kept lines, plus n_lines and n_dropped.
+def apply_keep_bitmaps(documents: DataFrame, bitmaps: DataFrame, counts: bool = True) -> DataFrame:
+    """documents with ``text`` cut to its kept lines, plus n_lines and n_dropped (in place of
+    input columns of these names; without ``counts`` the columns stay as they are).
 
     Null texts count as empty.  A document keeps its row even if all its lines go.
     """
+    documents = documents.drop("n_lines", "n_dropped") if counts else documents
     names = documents.columns
+    added = ["n_lines", "n_dropped"] * counts
 
     def marks(batches):
         for batch in batches:
@@ -222,11 +225,11 @@ def apply_keep_bitmaps(documents: DataFrame, bitmaps: DataFrame) -> DataFrame:
                 at = part.schema.get_field_index("text")
                 done = [_kept_text(t, k) for t, k in zip(part.column(at).to_pylist(), part.column(part.schema.get_field_index("_keep")).to_pylist())]
                 columns = [pa.array([d[0] for d in done], pa.string()) if n == "text" else part.column(part.schema.get_field_index(n)) for n in names]
-                columns += [pa.array([d[1] for d in done], pa.int64()), pa.array([d[2] for d in done], pa.int64())]
-                yield pa.RecordBatch.from_arrays(columns, names=[*names, "n_lines", "n_dropped"])
+                columns += [pa.array([d[1] for d in done], pa.int64()), pa.array([d[2] for d in done], pa.int64())] * counts
+                yield pa.RecordBatch.from_arrays(columns, names=[*names, *added])
 
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in documents.schema.fields)
     marked = documents.mapInArrow(marks, f"{schema}, `_mark` long")
     sides = bitmaps.select(F.col("doc_id").alias("_doc"), F.col("mark").alias("_text"), F.col("keep").alias("_keep"))
     joined = marked.join(sides, (F.col("doc_id") == F.col("_doc")) & (F.col("_mark") == F.col("_text")), "left").drop("_doc", "_text", "_mark")
-    return joined.mapInArrow(cut, f"{schema}, n_lines long, n_dropped long")
+    return joined.mapInArrow(cut, ", ".join([schema, *(f"{n} long" for n in added)]))

@@ -208,6 +208,17 @@ def _tile_pairs(percent: int, exact: bool):
     return work
 
 
+def keep_first_of_groups(documents: DataFrame, percent: int = 80, width: int = 5) -> DataFrame:
+    """One row of every group of near duplicates (its least doc_id), columns as they are.
+
+    Rows with a null ``doc_id`` stay; rows repeated with id and text stay once.
+    """
+    found = minhash_near_duplicates(documents, percent, width)
+    first = found.where("kept and doc_id is not null").select(F.col("doc_id").alias("_kept")).distinct()
+    rows = documents.join(first, F.col("doc_id") == F.col("_kept"), "left_semi").dropDuplicates(["doc_id", "text"])
+    return rows.unionByName(documents.where("doc_id is null"))
+
+
 def minhash_near_duplicates(documents: DataFrame, percent: int = 80, width: int = 5) -> DataFrame:
     """(doc_id, n_shingles, component_id, kept) for every row of ``documents(doc_id, text)``.
 

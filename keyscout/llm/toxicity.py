@@ -200,6 +200,18 @@ def train_toxicity(documents: DataFrame, labels: DataFrame, label: str = "toxic"
     return ToxicityModel(lexicon, BoostedTrees().fit(x, y, w), Isotonic().fit(out, y, w), float(np.average(y, weights=w)))
 
 
+def keep_below(documents: DataFrame, model: ToxicityModel, most: float = 0.7) -> DataFrame:
+    """Rows whose score stays below ``most``; columns stay as they are."""
+    shared = documents.sparkSession.sparkContext.broadcast(model)
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for part in chunks(batch):
+                yield part.filter(pa.array(shared.value.score(part.column(part.schema.get_field_index("text"))) < most))
+
+    return documents.mapInArrow(work, documents.schema)
+
+
 def score_toxicity(documents: DataFrame, model: ToxicityModel) -> DataFrame:
     """Input columns plus ``score`` (0..1) from ``text`` alone.
 
