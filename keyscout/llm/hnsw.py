@@ -30,8 +30,50 @@ class SmallWorld:
             graph._insert(order[at : at + size])
             at += size
             size = min(1024, at)
+        graph._connect()
         return graph
 
+    def _connect(self) -> None:
+        """Every node of level 0 is made reachable from the entry: pruning can leave one without a link to it.
+
+        An unreachable node hangs on its nearest reachable neighbour, in a spare column.
+        """
+        n = len(self.x)
+        if n < 2:
+            return
+        seen = np.zeros(n, bool)
+        front = np.array([self.entry])
+        seen[front] = True
+        while True:
+            while len(front):
+                near = self.tables[0][front].ravel()
+                near = np.unique(near[near >= 0])
+                front = near[~seen[near]]
+                seen[front] = True
+            lost = np.flatnonzero(~seen)
+            if not len(lost):
+                return
+            out = self.tables[0][lost]
+            able = (out >= 0) & seen[np.maximum(out, 0)]
+            ready = able.any(1)
+            if ready.any():
+                lost, holder = lost[ready], out[ready, able[ready].argmax(1)]
+            else:  # an island without links out of it
+                lost, holder = lost[:1], np.array([self.entry])
+            order = np.argsort(holder, kind="stable")
+            lost, holder = lost[order], holder[order]
+            rank = np.arange(len(holder)) - np.searchsorted(holder, holder)
+            free = (self.tables[0] >= 0).sum(1)[holder] + rank
+            wide = int(free.max()) + 1 - self.tables[0].shape[1]
+            if wide > 0:
+                self.tables[0] = np.concatenate([self.tables[0], np.full((n, wide), -1, np.int32)], 1)
+            # rows fill from the left once their empty slots are moved to the right
+            rows = np.unique(holder)
+            self.tables[0][rows] = np.take_along_axis(self.tables[0][rows], np.argsort(self.tables[0][rows] < 0, axis=1, kind="stable"), 1)
+            self.tables[0][holder, free] = lost
+            front = lost
+            seen[front] = True
+
     def _insert(self, new: np.ndarray) -> None:
         if self.entry < 0:
             self.entry = int(new[0])
@@ -150,6 +192,9 @@ class SmallWorld:
     @classmethod
     def unpacked(cls, vectors: np.ndarray, level: np.ndarray, rows: list[bytes]) -> SmallWorld:
         graph = cls(vectors, level)
+        if rows:  # level 0 may be wider by its spare columns
+            extra = max(len(r) // 4 - v * graph.tables[-1].shape[1] for r, v in zip(rows, level) if len(graph.tables) > 1) if len(graph.tables) > 1 else len(rows[0]) // 4
+            graph.tables[0] = np.full((len(rows), extra), -1, np.int32)
         for i, raw in enumerate(rows):
             flat, at = np.frombuffer(raw, np.int32), 0
             for k in range(level[i] + 1):
