@@ -127,7 +127,7 @@ def local_search(classes: Counter, capacity: int) -> Counter:
             if new:
                 classes[new] += bins
         classes = Counter({p: c for p, c in classes.items() if c})
-        stuck = {p for p in stuck if p in classes} if len(stuck) < 4096 else set()
+        stuck.clear()  # new patterns may take what the old ones could not
     return classes
 
 

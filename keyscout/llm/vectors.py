@@ -150,9 +150,9 @@ def _search(least: float):
         now, members, asked, state = None, [], [], {}
 
         def flush():
-            if asked:
+            if asked and members:  # a shard may hold no vector of this length
                 yield answer(members, pa.Table.from_batches(asked), state)
-                asked.clear()
+            asked.clear()
 
         for batch in batches:
             key = np.stack([batch.column(batch.schema.get_field_index(c)).to_numpy() for c in ("shape", "shard", "part", "kind")], 1)
