@@ -3,8 +3,9 @@
 A token is drawn from the training tokens of one of a few text classes (the commonest
 values of ``lang`` and all others), by its count there, or it is spelled.  Spelling codes every byte of the word and its end as binary decisions of a byte code; each
 decision mixes the predictions of several hashed contexts in the logistic domain.  A
-gate (the longest context seen in training) picks the weights, and each document
-refines them, and its shares of the classes and of spelling, as it goes: what a token costs depends on
+gate (how many contexts have an opinion) picks the weights, which online gradient steps
+over training words have set.  Each document refines, as it goes, how sharply it trusts
+them and its shares of the classes and of spelling: what a token costs depends on
 earlier blocks of the same document only, so the bits of a text add up to its code
 length.  Divided by its bytes that is the model's bits per byte.
 
@@ -34,8 +35,8 @@ CONTEXTS, SLOT_BITS = (0, 1, 2, 3, 4, 99), 18
 SLOTS, SLICES = 1 << SLOT_BITS, 16
 #: text classes with counts of their own beside the rest, discount of a seen word, tokens that the first shares weigh
 CLASSES, DISCOUNT, PRIOR = 7, 0.6, 0.6
-#: text bytes of a group, words of the first block of a document and of its largest, learning rate
-GROUP_BYTES, FIRST_BLOCK, LAST_BLOCK, RATE = 8 << 20, 4, 256, 0.02
+#: text bytes of a group, tokens of a document's first block and of its largest, factors on the mixing weights that a document chooses from
+GROUP_BYTES, FIRST_BLOCK, LAST_BLOCK, SHARPNESS = 8 << 20, 4, 256, (0.7, 1.0, 1.3)
 _END_WORD, _END_TEXT = 0x20, 0xFF  # neither occurs inside a UTF-8 word
 
 
@@ -92,9 +93,11 @@ def decisions(raw: np.ndarray, at: np.ndarray, code: ByteCode) -> tuple[np.ndarr
         byte = raw.astype(np.int64)
         size = code.size[byte]
         steps = _spread(code.first[byte], size)
-        node, bit = code.node[steps].astype(U), code.bit[steps]
-        up = np.repeat(np.arange(len(raw)), size)
-        slots = np.stack([mix(c[up] + node * U(0xD6E8FEB86659FD93)) >> U(64 - SLOT_BITS) for c in contexts], 1).astype(np.int32)
+        node, bit = code.node[steps], code.bit[steps]
+        salt = (node + 1).astype(np.uint32) * np.uint32(0x9E3779B1)
+        slots = np.empty((len(steps), len(contexts)), np.int32)
+        for k, c in enumerate(contexts):
+            slots[:, k] = ((np.repeat((c >> U(32)).astype(np.uint32), size) ^ salt) * np.uint32(0x85EBCA6B)) >> np.uint32(32 - SLOT_BITS)
     return slots, bit, np.bincount(owner, size, len(at) - 1).astype(np.int64)
 
 
@@ -106,20 +109,39 @@ class Mixer:
         self.per_class, self.types = tokens.astype(np.float64), types.astype(np.float64)
         self.tokens, self.distinct = int(tokens.sum()), distinct
         self.weights = np.full((len(CONTEXTS) + 1, len(CONTEXTS)), 0.35, np.float32)
+        self.stretched = np.log((tables[1] + 0.3) / (tables[0] + 0.3)).astype(np.float32)
         self._learn(sample)
+        self.tables = None  # scoring needs the stretched predictions only
 
     def inputs(self, slots: np.ndarray, bit: np.ndarray, own: int = 0) -> tuple[np.ndarray, np.ndarray]:
         """(signed stretched predictions, gate): the sign makes larger mean likelier for the bit that came.
 
-        ``own`` takes out that many counts of the bit itself (to learn from counted words).
+        The gate counts the contexts that lean to one side at all.  ``own`` takes out that
+        many counts of the bit itself (to learn from counted words).
         """
         k = np.arange(slots.shape[1])
-        zero, one = self.tables[0][k, slots], self.tables[1][k, slots]
         if own:
+            zero, one = self.tables[0][k, slots], self.tables[1][k, slots]
             zero, one = np.maximum(zero - own * (bit == 0)[:, None], 0), np.maximum(one - own * (bit == 1)[:, None], 0)
-        x = np.log((one + 0.3) / (zero + 0.3)) * np.where(bit, 1, -1)[:, None]
-        gate = ((zero + one) > 0) @ np.ones(slots.shape[1], int)
-        return x.astype(np.float32), gate
+            x = np.log((one + 0.3) / (zero + 0.3)).astype(np.float32)
+        else:
+            x = np.stack([self.stretched[j][slots[:, j]] for j in k], 1)
+        gate = (x != 0).sum(1)
+        x *= np.where(bit, np.float32(1), np.float32(-1))[:, None]
+        return x, gate
+
+    def spelled(self, raw: np.ndarray, at: np.ndarray) -> np.ndarray:
+        """(tokens, SHARPNESS) natural log probabilities of spelled tokens, under every sharpness of the weights."""
+        out = np.zeros((len(at) - 1, len(SHARPNESS)))
+        for s in range(0, len(at) - 1, 8192):
+            edge = at[s : s + 8193]
+            slots, bit, each = decisions(raw[edge[0] : edge[-1]], edge - edge[0], self.code)
+            x, gate = self.inputs(slots, bit)
+            z = np.einsum("nk,nk->n", x, self.weights[gate])
+            begin = np.r_[0, np.cumsum(each)[:-1]]
+            for j, sharp in enumerate(SHARPNESS):
+                out[s : s + len(each), j] = -np.add.reduceat(np.log1p(np.exp(np.clip(z * np.float32(-sharp), -60, 60))), begin, dtype=np.float64)
+        return out
 
     def _learn(self, sample: list[bytes]) -> None:
         """Gate weights by online logistic regression over sampled training words, their own counts taken out."""
@@ -149,10 +171,7 @@ class Mixer:
         at = np.r_[0, np.cumsum(size + 1)]
         raw[_spread(at[:-1], size)] = words.bytes[_spread(words.start[first], size)]
         raw[-1] = _END_TEXT
-        slots, bit, each = decisions(raw, np.r_[at, total + 1], self.code)
-        x, gate = self.inputs(slots, bit)
-        fixed = (x * self.weights[gate]).sum(1)
-        begin = np.r_[0, np.cumsum(each)[:-1]]
+        spelled = np.exp(self.spelled(raw, np.r_[at, total + 1]))
         token = np.full(len(inverse) + n, len(distinct))
         ends = np.cumsum(words.count + 1)
         slot = np.arange(len(token))
@@ -170,34 +189,21 @@ class Mixer:
         # adaptive pass, block by block of every text at once
         left = np.maximum(self.per_class - DISCOUNT * self.types, 1e-9)
         drawn = np.maximum(by_class - DISCOUNT, 0) / left
-        share = np.r_[left, DISCOUNT * self.types.sum() + 1] / max(1.0, left.sum() + DISCOUNT * self.types.sum() + 1)
+        novel = (DISCOUNT * self.types.sum() + 1) / len(SHARPNESS)
+        share = np.r_[left, np.full(len(SHARPNESS), novel)] / max(1.0, left.sum() + novel * len(SHARPNESS))
         weight = np.tile(PRIOR * share + 0.01, (n, 1))
-        offset = np.zeros((n, x.shape[1]), np.float32)
+        options = np.concatenate([drawn, spelled], 1)
         score, done, block = np.zeros(n), np.zeros(n, np.int64), FIRST_BLOCK
         live = np.arange(n)
         while len(live):
             m = np.minimum(block, words.count[live] + 1 - done[live])
             t = token[_spread(starts[live] + done[live], m)]
-            rows = _spread(begin[t], each[t])
-            per_token = each[t]
             cut = np.r_[0, np.cumsum(m)[:-1]]
-            per_text = np.add.reduceat(per_token, cut)
-            xs = x[rows]
-            z = fixed[rows] + np.einsum("nk,nk->n", xs, np.repeat(offset[live], per_text, axis=0))
-            p = 1 / (1 + np.exp(-np.clip(z, -30, 30)))
-            at_token = np.r_[0, np.cumsum(per_token)[:-1]]
-            spelled = np.exp(np.add.reduceat(np.log(p.astype(np.float64)), at_token))
-            now = weight[live] / weight[live].sum(1, keepdims=True)
-            parts = np.repeat(now, m, axis=0)
-            parts[:, :-1] *= drawn[t]
-            parts[:, -1] *= spelled
+            parts = options[t] * np.repeat(weight[live] / weight[live].sum(1, keepdims=True), m, axis=0)
             whole = np.maximum(parts.sum(1), 1e-300)
             score[live] += np.add.reduceat(np.log10(whole), cut)
-            # refinement: spelled tokens pull the weights, all pull the shares
+            # refinement: what explained the block's tokens weighs more in the next one
             parts /= whole[:, None]
-            blame = np.repeat(parts[:, -1], per_token)
-            step = np.add.reduceat(((1 - p) * blame)[:, None] * xs, np.r_[0, np.cumsum(per_text)[:-1]], axis=0)
-            offset[live] = np.clip(offset[live] + RATE * step / np.sqrt(per_text)[:, None], -0.5, 0.5)
             weight[live] += np.add.reduceat(parts, cut, axis=0)
             done[live] += m
             live = live[done[live] <= words.count[live]]
@@ -344,7 +350,7 @@ def _scores(shared, shards: int):
             return _SCORED_SCHEMA.empty_table()
         told = {s: np.frombuffer(zlib.decompress(b.as_buffer()), "<u8").astype(np.int64).reshape(len(ends), -1).T for s, b in zip(answers.column("b").to_pylist(), answers.column("blob"))}
         # the group's words again, in the order they were asked in
-        parts = [p for b in docs.combine_chunks().to_batches() for p in chunks(b, limit=1 << 19)]
+        parts = [p for b in docs.combine_chunks().to_batches() for p in chunks(b, limit=2 << 20)]
         at = docs.schema.get_field_index("text")
         every = np.unique(np.concatenate([np.unique(Words(p.column(at)).hash) for p in parts]))
         counts = np.zeros((len(every) + 1, len(ends)), np.int64)

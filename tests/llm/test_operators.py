@@ -257,10 +257,8 @@ def test_mixing_is_a_distribution():
         np.add.at(tables[0][k], slots_[bit == 0, k], 1)
         np.add.at(tables[1][k], slots_[bit == 1, k], 1)
     model = Mixer(code, tables, np.array([3, 0]), np.array([3, 0]), 3, words)
-    x, gate = model.inputs(*decisions(np.arange(256, dtype=np.uint8), np.arange(257), code)[:2])
-    bits = np.log(1 / (1 + np.exp(-(x * model.weights[gate]).sum(1).astype(float))))
-    each = decisions(np.arange(256, dtype=np.uint8), np.arange(257), code)[2]
-    assert abs(np.exp(np.add.reduceat(bits, np.r_[0, np.cumsum(each)[:-1]])).sum() - 1) < 1e-6
+    every = np.exp(model.spelled(np.arange(256, dtype=np.uint8), np.arange(257)))
+    assert np.allclose(every.sum(0), 1, atol=1e-5)
     text = Words(pa.array(["zzq " * 300]))
     score, _, _ = model.score(text, np.zeros((301, 2), np.int64))
     once, _, _ = model.score(Words(pa.array(["zzq"])), np.zeros((2, 2), np.int64))
