@@ -23,12 +23,11 @@ def register(spark: SparkSession) -> None:
 
 def minimize_agg():
     """Grouped aggregate: the masks of a group that contain no other one, sorted."""
-    import pandas as pd
+    from pyspark.sql.functions import PandasUDFType
 
-    @F.pandas_udf("array<bigint>")
-    def smallest(mask: pd.Series) -> list:
+    def smallest(mask):
         from keyscout.functions.masks import minimal_masks
 
         return sorted(minimal_masks(int(v) for v in mask))
 
-    return smallest
+    return F.pandas_udf(smallest, "array<bigint>", PandasUDFType.GROUPED_AGG)
