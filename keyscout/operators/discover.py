@@ -7,6 +7,7 @@ from collections import defaultdict
 from collections.abc import Iterator, Sequence
 from contextlib import contextmanager
 from dataclasses import dataclass, field
+from decimal import Decimal
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -78,6 +79,10 @@ class DiscoveryResult:
         m = len(self.names)
         return spark.createDataFrame([split_words(e, m) for e in self.edges], ", ".join(f"{w} long" for w in words_of(m)))
 
+    def stats_df(self, spark: SparkSession) -> DataFrame:
+        rows = [(s.index, s.name, s.cardinality, Decimal(s.agree_pairs), s.longest_run, s.nulls) for s in self.stats]
+        return spark.createDataFrame(rows, "col_ix int, col string, cardinality long, agree_pairs decimal(38,0), longest_run long, nulls long")
+
     def maximal_non_keys(self) -> list[int]:
         """Complements of the final minimal masks; exact, since those are the masks of the full hypergraph."""
         full = (1 << len(self.names)) - 1
@@ -87,8 +92,7 @@ class DiscoveryResult:
         """Temporary views <prefix>_keys, <prefix>_masks and <prefix>_columns."""
         self.keys_df(spark).createOrReplaceTempView(f"{prefix}_keys")
         self.edges_df(spark).createOrReplaceTempView(f"{prefix}_masks")
-        rows = [(s.index, s.name, s.cardinality, s.agree_pairs, s.longest_run, s.nulls) for s in self.stats]
-        spark.createDataFrame(rows, "col_ix int, col string, cardinality long, agree_pairs decimal(38,0), longest_run long, nulls long").createOrReplaceTempView(f"{prefix}_columns")
+        self.stats_df(spark).createOrReplaceTempView(f"{prefix}_columns")
 
 
 def choose_budget(stats: list[profile.ColumnStats], n: int, options: DiscoveryOptions) -> int:

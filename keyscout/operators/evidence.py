@@ -13,7 +13,7 @@ from keyscout.operators.prepare import Relation
 from keyscout.operators.profile import ColumnStats
 
 #: rows on one side of a tile, and distinct masks from which partitions minimise first
-TILE, MANY_MASKS = 2048, 200_000
+TILE, MANY_MASKS, COLUMNS_PER_JOB = 2048, 200_000, 8
 
 
 def tiled_pairs(rows: DataFrame, keys: list[str], columns: list[str], keep: Column | None = None, tile: int = TILE) -> DataFrame:
@@ -90,11 +90,14 @@ def _grouped_masks(relation: Relation, key: str, owners: list[int]) -> DataFrame
     return codes.groupBy("_key").applyInPandas(compare, "mask long, pairs long").groupBy("mask").agg(F.sum("pairs").alias("pairs"))
 
 
-def covered_pair_masks(relation: Relation, covered: list[int], ownership: bool = True, **how) -> DataFrame | None:
-    """(col_ix, mask words, pairs) over all covered columns, fewest pairs first."""
-    out = None
+def covered_pair_masks(relation: Relation, covered: list[int], ownership: bool = True, before: list[int] | None = None, **how) -> DataFrame | None:
+    """(col_ix, mask words, pairs) over the covered columns, in the given order.
+
+    ``before``: columns of earlier calls, whose pairs are owned there.
+    """
+    out, before = None, before or []
     for place, i in enumerate(covered):
-        part = pair_masks_for_column(relation, i, covered[:place] if ownership else None, **how).withColumn("col_ix", F.lit(i))
+        part = pair_masks_for_column(relation, i, [*before, *covered[:place]] if ownership else None, **how).withColumn("col_ix", F.lit(i))
         out = part if out is None else out.unionByName(part)
     return out
 
@@ -177,7 +180,9 @@ def build_initial_hypergraph(relation: Relation, stats: list[ColumnStats], cover
     order = [i for i in order if stats[i].agree_pairs]
     with part("generate"):
         if compare and order:
-            rows = gather(covered_pair_masks(relation, order, ownership, **how), relation.m)
+            rows = []
+            for at in range(0, len(order), COLUMNS_PER_JOB):  # wide relations: plans of bounded size
+                rows += gather(covered_pair_masks(relation, order[at : at + COLUMNS_PER_JOB], ownership, order[:at], **how), relation.m)
             for i, mask, pairs in rows:
                 seen.add(mask)
                 graph.pairs += pairs

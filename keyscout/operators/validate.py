@@ -49,7 +49,8 @@ def clustered_by(relation: Relation, masks: list[int]) -> DataFrame:
     """The batch's columns, clustered once on what all its candidates share, and kept for reuse."""
     used = bits(reduce(int.__or__, masks))
     key = [f"c{i}" for i in bits(shared_columns(masks))]
-    return relation.rows.select(*[f"c{i}" for i in used]).repartition(*key).persist(StorageLevel.DISK_ONLY)
+    rows = relation.rows.select(*[f"c{i}" for i in used])
+    return (rows.repartition(*key) if key else rows).persist(StorageLevel.DISK_ONLY)
 
 
 def conflict_groups(rows: DataFrame, columns: list[str]) -> DataFrame:

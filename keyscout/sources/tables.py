@@ -65,6 +65,5 @@ def write_result(result: DiscoveryResult, spark: SparkSession, path: str) -> Non
     """keys, edges and column statistics as parquet, the report as JSON."""
     result.keys_df(spark).write.mode("overwrite").parquet(f"{path}/keys")
     result.edges_df(spark).write.mode("overwrite").parquet(f"{path}/edges")
-    rows = [(s.index, s.name, s.cardinality, s.agree_pairs, s.longest_run, s.nulls) for s in result.stats]
-    spark.createDataFrame(rows, "col_ix int, col string, cardinality long, agree_pairs decimal(38,0), longest_run long, nulls long").write.mode("overwrite").parquet(f"{path}/stats")
+    result.stats_df(spark).write.mode("overwrite").parquet(f"{path}/stats")
     spark.createDataFrame([(json.dumps(result.report, default=str),)], "report string").write.mode("overwrite").json(f"{path}/report")

@@ -126,7 +126,7 @@ def test_nulls(spark, mode):
 def test_many_columns(spark):
     """70 columns: masks of two words."""
     rows = [tuple((r >> (c - 63)) & 1 if c >= 63 else 0 for c in range(70)) for r in range(100)]
-    result = discover_keys(spark.createDataFrame(rows, [f"x{i}" for i in range(70)]))
+    result = discover_keys(spark.createDataFrame(rows, [f"x{i}" for i in range(70)]), DiscoveryOptions(fallback_multiplier=1))
     assert result.key_names() == [tuple(f"x{i}" for i in range(63, 70))]
 
 
