@@ -185,7 +185,8 @@ def line_keep_bitmaps(documents: DataFrame, shortest: int = 40, least_docs: int
     ``doc_id`` are not counted and lose nothing; null or empty texts have one empty line.
     """
     docs = documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    lines = docs.mapInArrow(_occurrences(shortest), "high long, low long, doc_id long, mark long, position int")
+    # narrow rows, kept: dealing by range reads them twice, and texts should be split once
+    lines = durable(docs.mapInArrow(_occurrences(shortest), "high long, low long, doc_id long, mark long, position int"))
     ranged = durable(lines.repartitionByRange("high", "low", F.col("doc_id").desc()).sortWithinPartitions("high", "low", F.col("doc_id").desc(), "mark", "position"))
     # two rows per partition at most: a bound that follows the partition count, not the rows
     ends = ranged.mapInArrow(_boundaries, "high long, low long, docs long, top long").groupBy("high", "low").agg(F.sum("docs").alias("docs"), F.max("top").alias("top")).collect()
