@@ -162,7 +162,7 @@ class Encoder:
     The table of known spans starts afresh when it is full, which bounds memory.
     """
 
-    SPANS, LONGEST = 600_000, 64
+    SPANS, LONGEST = 350_000, 64
     _kept: dict[str, Encoder] = {}
 
     def __init__(self, path: str):
