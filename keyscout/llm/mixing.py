@@ -3,16 +3,17 @@
 A token is drawn from the training tokens of one of a few text classes (the commonest
 values of ``lang`` and all others), by its count there, or it is spelled.  Spelling codes every byte of the word and its end as binary decisions of a byte code; each
 decision mixes the predictions of several hashed contexts in the logistic domain.  A
-gate (how many contexts have an opinion) picks the weights, which online gradient steps
-over training words have set.  Each document refines, as it goes, how sharply it trusts
+gate (how many contexts have an opinion) picks the weights, which Newton steps over all
+training words have set.  Each document refines, as it goes, how sharply it trusts
 them and its shares of the classes and of spelling: what a token costs depends on
 earlier blocks of the same document only, so the bits of a text add up to its code
 length.  Divided by its bytes that is the model's bits per byte.
 
 Corpus statistics never meet in one place: documents are dealt in groups, a group
 sends each of its distinct words with its training count once, word shards add them up
-and answer every group with its words' counts, and give the bit counts of contexts.
-Only the context tables (a fixed number of slots) and three totals reach the driver.
+and answer every group with its words' counts, and give the bit counts of contexts and
+the slopes of the gate weights.  Only these sums, the context tables (whose slots follow
+the distinct training words up to a bound) and three totals reach the driver.
 """
 
 from __future__ import annotations
@@ -28,11 +29,12 @@ from pyspark.sql import functions as F
 
 from keyscout.llm.cluster import durable
 from keyscout.llm.labelled import fold
-from keyscout.llm.text import U, Words, chunks, mix
+from keyscout.llm.text import U, Words, _power, chunks, mix
 
-#: contexts (bytes before the decision, within the word; 99: the whole beginning), slots of each as bits
-CONTEXTS, SLOT_BITS = (0, 1, 2, 3, 4, 99), 18
-SLOTS, SLICES = 1 << SLOT_BITS, 16
+#: contexts (bytes before the decision, within the word; 99: the whole beginning), least and most slots of each as bits, slots per distinct training word
+CONTEXTS, SLOT_BITS, MOST_SLOT_BITS, ROOM = (0, 1, 2, 3, 4, 99), 18, 21, 4
+#: slices that tables are added up in, Newton steps on the gate weights
+SLICES, STEPS = 16, 5
 #: text classes with counts of their own beside the rest, discount of a seen word, tokens that the first shares weigh
 CLASSES, DISCOUNT, PRIOR = 7, 0.6, 0.6
 #: text bytes of a group, tokens of a document's first block and of its largest, factors on the mixing weights that a document chooses from
@@ -67,7 +69,12 @@ def _spread(first: np.ndarray, size: np.ndarray) -> np.ndarray:
     return np.repeat(first - ends + size, size) + np.arange(ends[-1] if len(ends) else 0)
 
 
-def decisions(raw: np.ndarray, at: np.ndarray, code: ByteCode) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def slot_bits(words: int) -> int:
+    """Slots of a context as bits: they follow the number of distinct training words, up to what a broadcast holds."""
+    return min(max(SLOT_BITS, int(words * ROOM).bit_length()), MOST_SLOT_BITS)
+
+
+def decisions(raw: np.ndarray, at: np.ndarray, code: ByteCode, bits: int = SLOT_BITS) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(slots (decisions, contexts), bits, decisions per token) of tokens spelled in raw[at[i]:at[i+1]]."""
     owner = np.repeat(np.arange(len(at) - 1), np.diff(at))
     place = np.arange(len(raw)) - at[owner]
@@ -78,17 +85,11 @@ def decisions(raw: np.ndarray, at: np.ndarray, code: ByteCode) -> tuple[np.ndarr
         for k in range(1, 5):
             near = near << U(8) | np.where(place >= k, padded[4 - k : len(padded) - k], U(0))
             contexts.append(mix(near * U(0x9E3779B97F4A7C15) + U(k)))
-        power = U(0x100000001B3)
-        whole = np.zeros(len(raw), U)
-        # running hash of the beginning, byte by byte over all tokens at once
-        for p in range(1, int(place.max(initial=0)) + 1):
-            rows = np.flatnonzero(place == p) if p < 48 else None
-            if rows is None:
-                break
-            whole[rows] = (whole[rows - 1] ^ (raw[rows - 1].astype(U) + U(1))) * power
-        deep = place >= 48
-        if deep.any():
-            whole[deep] = near[deep]
+        # hash of the whole beginning, however long: a polynomial sum from the token's first byte on
+        total = np.zeros(len(raw) + 1, U)
+        np.cumsum((raw.astype(U) + U(1)) * _power("up", len(raw)), out=total[1:])
+        start = at[:-1][owner]
+        whole = mix((total[:-1] - total[start]) * _power("down", len(raw))[start] + place.astype(U) * U(0xD6E8FEB86659FD93))
         contexts = [mix(np.minimum(place, 12).astype(U) + U(77)), *contexts, mix(whole + U(99))]
         byte = raw.astype(np.int64)
         size = code.size[byte]
@@ -97,21 +98,28 @@ def decisions(raw: np.ndarray, at: np.ndarray, code: ByteCode) -> tuple[np.ndarr
         salt = (node + 1).astype(np.uint32) * np.uint32(0x9E3779B1)
         slots = np.empty((len(steps), len(contexts)), np.int32)
         for k, c in enumerate(contexts):
-            slots[:, k] = ((np.repeat((c >> U(32)).astype(np.uint32), size) ^ salt) * np.uint32(0x85EBCA6B)) >> np.uint32(32 - SLOT_BITS)
+            slots[:, k] = ((np.repeat((c >> U(32)).astype(np.uint32), size) ^ salt) * np.uint32(0x85EBCA6B)) >> np.uint32(32 - bits)
     return slots, bit, np.bincount(owner, size, len(at) - 1).astype(np.int64)
 
 
+def _joined(tokens: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+    return np.frombuffer(b"".join(tokens), np.uint8), np.r_[0, np.cumsum([len(t) for t in tokens], dtype=np.int64)]
+
+
+_LOG = np.log(np.arange(1 << 16) + 0.3).astype(np.float32)
+
+
 class Mixer:
-    """Code, context tables (zeros and ones per slot), gate weights and corpus totals."""
+    """Code, context tables (zeros and ones per slot, 65,535 at most), gate weights and corpus totals."""
 
     def __init__(self, code: ByteCode, tables: np.ndarray, tokens: np.ndarray, types: np.ndarray, distinct: int, sample: list[bytes]):
-        self.code, self.tables = code, tables
+        self.code, self.tables = code, np.minimum(tables, 65535).astype(np.uint16, copy=False)
+        self.bits = tables.shape[2].bit_length() - 1
         self.per_class, self.types = tokens.astype(np.float64), types.astype(np.float64)
         self.tokens, self.distinct = int(tokens.sum()), distinct
         self.weights = np.full((len(CONTEXTS) + 1, len(CONTEXTS)), 0.35, np.float32)
-        self.stretched = np.log((tables[1] + 0.3) / (tables[0] + 0.3)).astype(np.float32)
-        self._learn(sample)
-        self.tables = None  # scoring needs the stretched predictions only
+        for _ in range(STEPS if sample else 0):
+            self.step(*self.slopes(sample))
 
     def inputs(self, slots: np.ndarray, bit: np.ndarray, own: int = 0) -> tuple[np.ndarray, np.ndarray]:
         """(signed stretched predictions, gate): the sign makes larger mean likelier for the bit that came.
@@ -119,13 +127,12 @@ class Mixer:
         The gate counts the contexts that lean to one side at all.  ``own`` takes out that
         many counts of the bit itself (to learn from counted words).
         """
-        k = np.arange(slots.shape[1])
-        if own:
-            zero, one = self.tables[0][k, slots], self.tables[1][k, slots]
-            zero, one = np.maximum(zero - own * (bit == 0)[:, None], 0), np.maximum(one - own * (bit == 1)[:, None], 0)
-            x = np.log((one + 0.3) / (zero + 0.3)).astype(np.float32)
-        else:
-            x = np.stack([self.stretched[j][slots[:, j]] for j in k], 1)
+        x = np.empty(slots.shape, np.float32)
+        for k in range(slots.shape[1]):
+            zero, one = self.tables[0][k][slots[:, k]], self.tables[1][k][slots[:, k]]
+            if own:
+                zero, one = zero - np.minimum(zero, own * (bit == 0)), one - np.minimum(one, own * (bit == 1))
+            x[:, k] = _LOG[one] - _LOG[zero]
         gate = (x != 0).sum(1)
         x *= np.where(bit, np.float32(1), np.float32(-1))[:, None]
         return x, gate
@@ -135,7 +142,7 @@ class Mixer:
         out = np.zeros((len(at) - 1, len(SHARPNESS)))
         for s in range(0, len(at) - 1, 8192):
             edge = at[s : s + 8193]
-            slots, bit, each = decisions(raw[edge[0] : edge[-1]], edge - edge[0], self.code)
+            slots, bit, each = decisions(raw[edge[0] : edge[-1]], edge - edge[0], self.code, self.bits)
             x, gate = self.inputs(slots, bit)
             z = np.einsum("nk,nk->n", x, self.weights[gate])
             begin = np.r_[0, np.cumsum(each)[:-1]]
@@ -143,21 +150,26 @@ class Mixer:
                 out[s : s + len(each), j] = -np.add.reduceat(np.log1p(np.exp(np.clip(z * np.float32(-sharp), -60, 60))), begin, dtype=np.float64)
         return out
 
-    def _learn(self, sample: list[bytes]) -> None:
-        """Gate weights by online logistic regression over sampled training words, their own counts taken out."""
-        if not sample:
-            return
-        raw = np.frombuffer(b"".join(sample), np.uint8)
-        at = np.r_[0, np.cumsum([len(s) for s in sample])]
-        slots, bit, _ = decisions(raw, at, self.code)
-        x, gate = self.inputs(slots, bit, own=1)
-        order = np.random.default_rng(3).permutation(len(x))
-        for rate in (0.02, 0.02, 0.01, 0.005, 0.002):
-            for rows in np.array_split(order, max(1, len(order) // 256)):
-                z = np.clip((x[rows] * self.weights[gate[rows]]).sum(1), -30, 30)
-                step = (1 / (1 + np.exp(z)))[:, None] * x[rows]
-                for g in np.unique(gate[rows]):
-                    self.weights[g] += rate * step[gate[rows] == g].sum(0) / 8
+    def slopes(self, spelled: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        """Per gate: gradient and curvature of the log probability of training words, their own counts taken out."""
+        k = len(CONTEXTS)
+        slope, curve = np.zeros((k + 1, k)), np.zeros((k + 1, k, k))
+        for s in range(0, len(spelled), 8192):
+            raw, at = _joined(spelled[s : s + 8192])
+            slots, bit, _ = decisions(raw, at, self.code, self.bits)
+            x, gate = self.inputs(slots, bit, own=1)
+            p = 1 / (1 + np.exp(-np.clip(np.einsum("nk,nk->n", x, self.weights[gate]), -30, 30)))
+            for g in range(1, k + 1):
+                rows = gate == g
+                v = x[rows].astype(np.float64)
+                slope[g] += (1 - p[rows]) @ v
+                curve[g] += (v * (p[rows] * (1 - p[rows]))[:, None]).T @ v
+        return slope, curve
+
+    def step(self, slope: np.ndarray, curve: np.ndarray) -> None:
+        """Newton step on the gate weights; a little ridge holds gates that few decisions reach."""
+        for g in range(1, len(slope)):
+            self.weights[g] += np.clip(np.linalg.solve(curve[g] + np.eye(len(CONTEXTS)), slope[g]), -0.5, 0.5).astype(np.float32)
 
     def score(self, words: Words, count: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """Per text: log10 probability, base log10 score, known tokens; ``count`` is the training count of every
@@ -270,12 +282,13 @@ def _asks(shards: int, classes: int):
     return work
 
 
+PIECE = 20_000  # words of a blob
 _TOLD = "kind string, a long, b long, blob binary, tokens long, types long"
 _TOLD_SCHEMA = pa.schema([("kind", pa.string()), ("a", pa.int64()), ("b", pa.int64()), ("blob", pa.binary()), ("tokens", pa.int64()), ("types", pa.int64())])
 
 
-def _tell(code: ByteCode, sampled: int, classes: int):
-    """A word shard: global counts, answers to every group, totals, bit counts of its words, sampled words."""
+def _tell(classes: int):
+    """A word shard: global counts, answers to every group, totals and its training words."""
 
     def work(table: pa.Table) -> pa.Table:
         shard = table.column("shard")[0].as_py()
@@ -301,42 +314,63 @@ def _tell(code: ByteCode, sampled: int, classes: int):
         rows.append(("total", -1, shard, None, int(total.sum()), int(seen.sum())))
         rows += [("total", k, shard, None, int(total[:, k].sum()), int((total[:, k] > 0).sum())) for k in range(classes)]
         trained = [names[h] for h in distinct[seen].tolist()]
-        picked = [w for w, h in zip(trained, mix(distinct[seen])) if int(h) % sampled == 0]
-        rows += [("sample", 0, shard, w + b" ", None, None) for w in picked]
-        # bit counts, each distinct training word once: spelling serves words that are new
-        found = []
-        for s in range(0, len(trained), 20_000):
-            spelled = [w + b" " for w in trained[s : s + 20_000]]
-            raw = np.frombuffer(b"".join(spelled), np.uint8)
-            slots, bit, _ = decisions(raw, np.r_[0, np.cumsum([len(w) for w in spelled])], code)
-            cell = (slots + np.arange(len(CONTEXTS), dtype=np.int64) * SLOTS) * 2 + bit[:, None]
-            found.append(np.stack(np.unique(cell, return_counts=True)))
-        if found:
-            cell, n = np.concatenate(found, 1)
-            order = np.argsort(cell, kind="stable")
-            cell, n = cell[order], n[order]
-            first = np.flatnonzero(np.r_[True, cell[1:] != cell[:-1]])
-            cell, n = cell[first], np.add.reduceat(n, first)
-            width = len(CONTEXTS) * SLOTS * 2 // SLICES
-            for part in np.unique(cell // width).tolist():
-                mine = cell // width == part
-                rows.append(("bits", part, int(mine.sum()), zlib.compress((cell[mine] % width).astype("<u4").tobytes() + n[mine].astype("<u4").tobytes(), 1), None, None))
+        rows += [("words", 0, shard, zlib.compress(b"\n".join(trained[s : s + PIECE]), 1), None, None) for s in range(0, len(trained), PIECE)]
         return pa.Table.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*rows), _TOLD_SCHEMA)], schema=_TOLD_SCHEMA)
 
     return work
 
 
-def _tables(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Adds up bit counts slice by slice: one fixed-size array per slice, whatever arrives."""
-    width = len(CONTEXTS) * SLOTS * 2 // SLICES
-    held: dict[int, np.ndarray] = {}
+def _spelled_words(batches: Iterator[pa.RecordBatch]) -> Iterator[list[bytes]]:
     for batch in batches:
-        for part, n, blob in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2).to_pylist()):
-            raw = np.frombuffer(zlib.decompress(blob), "<u4")
-            held.setdefault(part, np.zeros(width, np.float64))
-            held[part] += np.bincount(raw[:n], raw[n:], width)
-    for part, total in held.items():
-        yield pa.RecordBatch.from_arrays([pa.array([part], pa.int64()), pa.array([zlib.compress(total.astype("<f4").tobytes(), 1)], pa.binary())], names=["part", "blob"])
+        for blob in batch.column(0):
+            yield [w + b" " for w in zlib.decompress(blob.as_buffer().to_pybytes()).split(b"\n")]
+
+
+def _bit_counts(code: ByteCode, bits: int):
+    """Bit counts of training words, each distinct one once: spelling serves words that are new."""
+    width = (len(CONTEXTS) * 2 << bits) // SLICES
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for spelled in _spelled_words(batches):
+            slots, bit, _ = decisions(*_joined(spelled), code, bits)
+            cell, n = np.unique((slots + (np.arange(len(CONTEXTS), dtype=np.int64) << bits)) * 2 + bit[:, None], return_counts=True)
+            edge = np.searchsorted(cell, np.arange(SLICES + 1) * width)
+            for part in np.flatnonzero(np.diff(edge)).tolist():
+                mine = slice(edge[part], edge[part + 1])
+                blob = zlib.compress(np.diff(cell[mine] - part * width, prepend=0).astype("<u4").tobytes() + n[mine].astype("<u4").tobytes(), 1)
+                yield pa.RecordBatch.from_arrays([pa.array([part], pa.int64()), pa.array([edge[part + 1] - edge[part]], pa.int64()), pa.array([blob], pa.binary())], names=["a", "b", "blob"])
+
+    return work
+
+
+def _tables(bits: int):
+    """Adds up bit counts slice by slice: one array per slice, whatever arrives."""
+    width = (len(CONTEXTS) * 2 << bits) // SLICES
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: dict[int, np.ndarray] = {}
+        for batch in batches:
+            for part, n, blob in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2).to_pylist()):
+                raw = np.frombuffer(zlib.decompress(blob), "<u4")
+                held.setdefault(part, np.zeros(width, np.uint32))
+                held[part][np.cumsum(raw[:n], dtype=np.int64)] += raw[n:]
+        for part, total in held.items():
+            yield pa.RecordBatch.from_arrays([pa.array([part], pa.int64()), pa.array([zlib.compress(np.minimum(total, 65535).astype("<u2").tobytes(), 1)], pa.binary())], names=["part", "blob"])
+
+    return work
+
+
+def _slopes(shared):
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        model, weights = shared[0].value, shared[1]
+        model.weights = weights
+        k = len(CONTEXTS)
+        total = np.zeros((k + 1) * k * (k + 1))
+        for spelled in _spelled_words(batches):
+            total += np.concatenate([part.ravel() for part in model.slopes(spelled)])
+        yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(total)), pa.int32()), pa.array(total)], names=["at", "sum"])
+
+    return work
 
 
 _SCORED = "doc_id long, n_tokens long, n_known long, base_score double, score double, n_bytes long"
@@ -345,7 +379,9 @@ _SCORED_SCHEMA = pa.schema([("doc_id", pa.int64()), ("n_tokens", pa.int64()), ("
 
 def _scores(shared, shards: int):
     def work(docs: pa.Table, answers: pa.Table) -> pa.Table:
-        model, ends = shared.value
+        learnt, weights, ends = shared.value
+        model = learnt.value
+        model.weights = weights
         if not docs.num_rows:
             return _SCORED_SCHEMA.empty_table()
         told = {s: np.frombuffer(zlib.decompress(b.as_buffer()), "<u8").astype(np.int64).reshape(len(ends), -1).T for s, b in zip(answers.column("b").to_pylist(), answers.column("blob"))}
@@ -402,7 +438,7 @@ def score_documents(documents: DataFrame, folds: int = 7, held: int = 2) -> Data
     docs = docs.withColumn("grp", F.pmod(F.xxhash64("doc_id", F.octet_length("text")), F.lit(groups)))
     code = ByteCode(_typical_bytes(docs))
     asks = docs.groupBy("grp").applyInArrow(_asks(shards, classes), _ASK)
-    told = durable(asks.groupBy("shard").applyInArrow(_tell(code, max(1, shards * 8), classes), _TOLD))
+    told = durable(asks.groupBy("shard").applyInArrow(_tell(classes), _TOLD))
     tokens, types, distinct = ends.copy(), (ends > 0).astype(np.int64), int(ends.any())
     for r in told.where("kind = 'total'").groupBy("a").agg(F.sum("tokens").alias("tokens"), F.sum("types").alias("types")).collect():
         if r.a < 0:
@@ -410,15 +446,23 @@ def score_documents(documents: DataFrame, folds: int = 7, held: int = 2) -> Data
         else:
             tokens[r.a] += r.tokens
             types[r.a] += r.types
-    sample = [bytes(r.blob) for r in told.where("kind = 'sample'").orderBy(F.xxhash64("blob")).limit(6000).select("blob").collect()]
-    tables = np.zeros(len(CONTEXTS) * SLOTS * 2, np.float32)
+    bits = slot_bits(distinct)
+    trained = told.where("kind = 'words'").select("blob")
+    tables = np.zeros(len(CONTEXTS) * 2 << bits, np.uint16)
     width = len(tables) // SLICES
-    # a fixed number of slices of fixed size
-    for r in told.where("kind = 'bits'").select("a", "b", "blob").repartition(SLICES, "a").mapInArrow(_tables, "part long, blob binary").collect():
-        tables[r.part * width : (r.part + 1) * width] += np.frombuffer(zlib.decompress(r.blob), "<f4")
-    tables = np.ascontiguousarray(tables.reshape(len(CONTEXTS), SLOTS, 2).transpose(2, 0, 1))
-    model = Mixer(code, tables, tokens, types, distinct, sample)
-    shared = spark.sparkContext.broadcast((model, ends))
+    for r in trained.mapInArrow(_bit_counts(code, bits), "a long, b long, blob binary").repartition(SLICES, "a").mapInArrow(_tables(bits), "part long, blob binary").toLocalIterator():
+        tables[r.part * width : (r.part + 1) * width] = np.frombuffer(zlib.decompress(r.blob), "<u2")
+    tables = np.ascontiguousarray(tables.reshape(len(CONTEXTS), 1 << bits, 2).transpose(2, 0, 1))
+    model = Mixer(code, tables, tokens, types, distinct, [])
+    # gate weights: Newton steps whose sums cover every training word of every shard
+    learning = spark.sparkContext.broadcast(model)
+    for _ in range(STEPS):
+        sums = np.zeros((len(CONTEXTS) + 1) * len(CONTEXTS) * (len(CONTEXTS) + 1))
+        for r in trained.mapInArrow(_slopes((learning, model.weights.copy())), "at int, sum double").groupBy("at").agg(F.sum("sum").alias("sum")).collect():
+            sums[r.at] = r.sum
+        cut = (len(CONTEXTS) + 1) * len(CONTEXTS)
+        model.step(sums[:cut].reshape(-1, len(CONTEXTS)), sums[cut:].reshape(-1, len(CONTEXTS), len(CONTEXTS)))
+    shared = spark.sparkContext.broadcast((learning, model.weights, ends))
     answers = told.where("kind = 'answer'").select(F.col("a").alias("grp"), "b", "blob")
     scored = docs.groupBy("grp").cogroup(answers.groupBy("grp")).applyInArrow(lambda d, a: _scores(shared, shards)(d, a), _SCORED)
     per_byte = F.when(F.col("n_bytes") > 0, -F.col("score") * float(np.log2(10)) / F.col("n_bytes"))

@@ -265,6 +265,27 @@ def test_mixing_is_a_distribution():
     assert score[0] / 300 > once[0]
 
 
+def test_mixing_learns_from_every_training_word():
+    """Slots follow the distinct words, the beginning counts however long, and gradients of shards add up."""
+    from keyscout.llm.mixing import ByteCode, Mixer, decisions, slot_bits
+
+    assert slot_bits(10) == 18 < slot_bits(200_000) < slot_bits(500_000)
+    code = ByteCode(np.ones(256))
+    long = [bytes([97 + k]) + b"x" * 60 + b" " for k in range(2)]
+    a, b = (decisions(np.frombuffer(w, np.uint8), np.array([0, len(w)]), code)[0] for w in long)
+    assert (a[-8:, 4] == b[-8:, 4]).all() and (a[-8:, 5] != b[-8:, 5]).any()
+    rng = np.random.default_rng(4)
+    words = [bytes(rng.integers(97, 105, rng.integers(1, 9)).astype(np.uint8)) + b" " for _ in range(9000)]
+    slots_, bit, _ = decisions(np.frombuffer(b"".join(words), np.uint8), np.r_[0, np.cumsum([len(w) for w in words])], code)
+    tables = np.zeros((2, 6, 1 << 18), np.float32)
+    for k in range(6):
+        np.add.at(tables[0][k], slots_[bit == 0, k], 1)
+        np.add.at(tables[1][k], slots_[bit == 1, k], 1)
+    model = Mixer(code, tables, np.array([9000]), np.array([9000]), 9000, [])
+    whole, parts = model.slopes(words), [model.slopes(words[:7000]), model.slopes(words[7000:])]
+    assert all(np.allclose(w, p + q, rtol=1e-3, atol=1e-2) for w, p, q in zip(whole, *parts))
+
+
 def test_scores_beat_the_base_on_held_out_rows(spark):
     docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
     rows = [r for r in score_documents(docs).collect() if not r.held_out]
