@@ -1,16 +1,22 @@
-"""Language-model scores by online logistic mixing of hashed-context bit predictors (operator 3).
-
-A token is drawn from the training tokens of one of a few text classes (the commonest
-values of ``lang`` and all others), by its count there, or it is spelled.  Spelling codes every byte of the word and its end as binary decisions of a byte code; each
-decision mixes the predictions of several hashed contexts in the logistic domain.  A
-gate (how many contexts have an opinion) picks the weights, which Newton steps over all
-training words have set.  Each document refines, as it goes, how sharply it trusts
-them and its shares of the classes and of spelling: what a token costs depends on
-earlier blocks of the same document only, so the bits of a text add up to its code
-length.  Divided by its bytes that is the model's bits per byte.
+"""Language-model scores by online logistic mixing of contexts (operator 3).
+
+The main predictors reach over word borders: a token follows the two tokens before it,
+or the one before it, as it did in training, else it comes alone.  Whether a context is
+followed is a binary decision, predicted in the logistic domain from how often the
+context occurred and how long it has just been right; its weights move with every block
+of the scored text.  A token that comes alone is drawn from the training tokens of one of
+a few text classes (the commonest values of ``lang`` and all others), by its count there,
+or, if training never had it, it is spelled: every byte and the end as binary decisions
+of a byte code, each mixing the predictions of several hashed contexts in the logistic
+domain.  A gate (how many contexts have an opinion) picks the weights, which Newton steps
+over all training words have set; every text moves them, and its shares of the classes,
+on.  What a token costs depends on earlier blocks of the same text only, so the bits of a
+text add up to its code length.  Divided by its bytes that is the model's bits per byte.
+A training text is not told by its own word sequences: they are taken out of the counts.
 
 Corpus statistics never meet in one place: documents are dealt in groups, a group
-sends each of its distinct words with its training count once, word shards add them up
+sends each of its distinct words and word sequences (hashes of 40 bits beside the shard)
+with its training count once, word shards add them up
 and answer every group with its words' counts, and give the bit counts of contexts and
 the slopes of the gate weights.  Only these sums, the context tables (whose slots follow
 the distinct training words up to a bound) and three totals reach the driver.
@@ -18,6 +24,7 @@ the distinct training words up to a bound) and three totals reach the driver.
 
 from __future__ import annotations
 
+import gc
 import heapq
 import zlib
 from collections.abc import Iterator
@@ -33,12 +40,16 @@ from keyscout.llm.text import U, Words, _power, chunks, mix
 
 #: contexts (bytes before the decision, within the word; 99: the whole beginning), least and most slots of each as bits, slots per distinct training word
 CONTEXTS, SLOT_BITS, MOST_SLOT_BITS, ROOM = (0, 1, 2, 3, 4, 99), 18, 21, 4
-#: slices that tables are added up in, Newton steps on the gate weights
-SLICES, STEPS = 16, 5
+#: slices that tables are added up in, Newton steps of a piece of words on the gate weights
+SLICES, STEPS = 16, 4
 #: text classes with counts of their own beside the rest, discount of a seen word, tokens that the first shares weigh
 CLASSES, DISCOUNT, PRIOR = 7, 0.6, 0.6
-#: text bytes of a group, tokens of a document's first block and of its largest, factors on the mixing weights that a document chooses from
-GROUP_BYTES, FIRST_BLOCK, LAST_BLOCK, SHARPNESS = 8 << 20, 4, 256, (0.7, 1.0, 1.3)
+#: text bytes of a group, tokens of a document's first block and of its largest
+GROUP_BYTES, FIRST_BLOCK, LAST_BLOCK = 8 << 20, 4, 64
+#: learning rates of a document's spelling weights and of its word-context weights, and where the latter start
+#: (per context: bias, log count of the context, whether it knew the token before, log of how many in a row it knew)
+RATE, TRUST_RATE = 0.02, 0.05
+TRUST = np.array([[-2.0, 0.1, 1.0, 1.0], [-2.0, 0.1, 0.5, 0.5]])
 _END_WORD, _END_TEXT = 0x20, 0xFF  # neither occurs inside a UTF-8 word
 
 
@@ -102,6 +113,57 @@ def decisions(raw: np.ndarray, at: np.ndarray, code: ByteCode, bits: int = SLOT_
     return slots, bit, np.bincount(owner, size, len(at) - 1).astype(np.int64)
 
 
+def grams(words: Words) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(text, hash, hash with the token before, hash with the two before) of all tokens, end tokens included."""
+    owner = np.repeat(np.arange(words.n_texts), words.count + 1)
+    ends = np.cumsum(words.count + 1) - 1
+    token = np.full(len(owner), U(0x656E64))
+    inside = np.ones(len(owner), bool)
+    inside[ends] = False
+    token[inside] = words.hash
+    # before a text's first token stand two that no word equals
+    one, two = np.full(len(owner), U(0x7374)), np.full(len(owner), U(0x7374))
+    one[1:] = np.where(owner[1:] == owner[:-1], token[:-1], U(0x7374))
+    two[2:] = np.where(owner[2:] == owner[:-2], token[:-2], U(0x7374))
+    with np.errstate(over="ignore"):
+        pair = mix(mix(one + U(1)) * U(0x9E3779B97F4A7C15) + token)
+        # 63 bits: the last one is free for a flag while they are sorted
+        return owner, token, pair >> U(1), mix(mix(two + U(2)) * U(0xD6E8FEB86659FD93) + pair) >> U(1)
+
+
+def _repeats(owner: np.ndarray, h: np.ndarray) -> np.ndarray:
+    """How often the token's text has the same hash."""
+    with np.errstate(over="ignore"):
+        _, inverse, n = np.unique(mix(h + owner.astype(U) * U(0x9E3779B97F4A7C15)), return_inverse=True, return_counts=True)
+    return n[inverse]
+
+
+def contexts(words: Words, known: np.ndarray, pair: np.ndarray, triple: np.ndarray, texts: int, train: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(share (tokens, 2), evidence (tokens, 2, 4)) of the two tokens before and the one before.
+
+    From training counts of every token and of it with the one and the two before, the text's own
+    taken out.  A context occurs as often as the shorter sequence that it is.
+    """
+    owner, token, h1, h2 = grams(words)
+    own = train[owner]
+    known, pair, triple = (n - np.where(own, _repeats(owner, h), 0) for n, h in ((known, token), (pair, h1), (triple, h2)))
+    first = np.r_[True, owner[1:] != owner[:-1]]
+    texts = texts - train[owner].astype(np.int64)
+    seen1 = np.where(first, texts, np.r_[0, known[:-1]])
+    seen2 = np.where(first, texts, np.r_[0, pair[:-1]])
+    share, evidence = np.zeros((len(owner), 2)), np.zeros((len(owner), 2, 4), np.float32)
+    start = np.flatnonzero(first)[owner]
+    at = np.arange(len(owner))
+    for k, (n, seen) in enumerate(((triple, seen2), (pair, seen1))):
+        share[:, k] = np.maximum(n, 0) / np.maximum(seen, 1)
+        miss = np.maximum.accumulate(np.where(n > 0, -1, at))
+        run = at - np.maximum(miss, start - 1)
+        run = np.where(first, 0, np.r_[0, run[:-1]])
+        evidence[:, k] = np.stack([np.ones(len(at)), np.log1p(np.maximum(seen, 0)), run > 0, np.log1p(run)], 1)
+        evidence[seen <= 0, k] = 0  # nothing to draw from
+    return share, evidence
+
+
 def _joined(tokens: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
     return np.frombuffer(b"".join(tokens), np.uint8), np.r_[0, np.cumsum([len(t) for t in tokens], dtype=np.int64)]
 
@@ -118,8 +180,8 @@ class Mixer:
         self.per_class, self.types = tokens.astype(np.float64), types.astype(np.float64)
         self.tokens, self.distinct = int(tokens.sum()), distinct
         self.weights = np.full((len(CONTEXTS) + 1, len(CONTEXTS)), 0.35, np.float32)
-        for _ in range(STEPS if sample else 0):
-            self.step(*self.slopes(sample))
+        if sample:
+            self.settle(*self.learned(sample))
 
     def inputs(self, slots: np.ndarray, bit: np.ndarray, own: int = 0) -> tuple[np.ndarray, np.ndarray]:
         """(signed stretched predictions, gate): the sign makes larger mean likelier for the bit that came.
@@ -138,55 +200,62 @@ class Mixer:
         return x, gate
 
     def spelled(self, raw: np.ndarray, at: np.ndarray) -> np.ndarray:
-        """(tokens, SHARPNESS) natural log probabilities of spelled tokens, under every sharpness of the weights."""
-        out = np.zeros((len(at) - 1, len(SHARPNESS)))
-        for s in range(0, len(at) - 1, 8192):
-            edge = at[s : s + 8193]
-            slots, bit, each = decisions(raw[edge[0] : edge[-1]], edge - edge[0], self.code, self.bits)
-            x, gate = self.inputs(slots, bit)
-            z = np.einsum("nk,nk->n", x, self.weights[gate])
-            begin = np.r_[0, np.cumsum(each)[:-1]]
-            for j, sharp in enumerate(SHARPNESS):
-                out[s : s + len(each), j] = -np.add.reduceat(np.log1p(np.exp(np.clip(z * np.float32(-sharp), -60, 60))), begin, dtype=np.float64)
-        return out
-
-    def slopes(self, spelled: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-        """Per gate: gradient and curvature of the log probability of training words, their own counts taken out."""
+        """Natural log probabilities of spelled tokens, before any text has moved the weights."""
+        x, fixed, each = self.spelling(raw, at)
+        return np.add.reduceat(-np.log1p(np.exp(np.clip(-fixed, -60, 60))), np.r_[0, np.cumsum(each)[:-1]], dtype=np.float64)
+
+    def spelling(self, raw: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(signed predictions, their mix under the gate weights, decisions per token)"""
+        slots, bit, each = decisions(raw, at, self.code, self.bits)
+        x, gate = self.inputs(slots, bit)
+        return x, np.einsum("nk,nk->n", x, self.weights[gate]), each
+
+    def _by_gate(self, spelled: list[bytes]) -> list[np.ndarray]:
+        """Signed predictions of the words' decisions by gate, the words' own counts taken out."""
+        slots, bit, _ = decisions(*_joined(spelled), self.code, self.bits)
+        x, gate = self.inputs(slots, bit, own=1)
+        order = np.argsort(gate.astype(np.int8), kind="stable")
+        return np.split(x[order], np.cumsum(np.bincount(gate, minlength=len(CONTEXTS) + 1))[:-1])
+
+    def slopes(self, spelled: list[bytes], parts: list[np.ndarray] | None = None, weights: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
+        """Per gate: gradient and curvature of the log probability of training words."""
         k = len(CONTEXTS)
+        weights = self.weights if weights is None else weights
         slope, curve = np.zeros((k + 1, k)), np.zeros((k + 1, k, k))
-        for s in range(0, len(spelled), 8192):
-            raw, at = _joined(spelled[s : s + 8192])
-            slots, bit, _ = decisions(raw, at, self.code, self.bits)
-            x, gate = self.inputs(slots, bit, own=1)
-            p = 1 / (1 + np.exp(-np.clip(np.einsum("nk,nk->n", x, self.weights[gate]), -30, 30)))
-            for g in range(1, k + 1):
-                rows = gate == g
-                v = x[rows].astype(np.float64)
-                slope[g] += (1 - p[rows]) @ v
-                curve[g] += (v * (p[rows] * (1 - p[rows]))[:, None]).T @ v
+        for g, v in enumerate(parts or self._by_gate(spelled)):
+            if g and len(v):
+                p = 1 / (1 + np.exp(-np.clip(v @ weights[g], -30, 30)))
+                slope[g] = (1 - p) @ v
+                curve[g] = (v * (p * (1 - p))[:, None]).T @ v
         return slope, curve
 
-    def step(self, slope: np.ndarray, curve: np.ndarray) -> None:
-        """Newton step on the gate weights; a little ridge holds gates that few decisions reach."""
-        for g in range(1, len(slope)):
-            self.weights[g] += np.clip(np.linalg.solve(curve[g] + np.eye(len(CONTEXTS)), slope[g]), -0.5, 0.5).astype(np.float32)
-
-    def score(self, words: Words, count: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    def learned(self, spelled: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        """Per gate: (curvature times weights, curvature) where Newton steps over the words settle, piece by piece."""
+        k = len(CONTEXTS)
+        pull, total, ridge = np.zeros((k + 1, k)), np.zeros((k + 1, k, k)), np.eye(k)
+        for s in range(0, len(spelled), 8192):
+            parts, weights = self._by_gate(spelled[s : s + 8192]), self.weights.copy()
+            for _ in range(STEPS):
+                slope, curve = self.slopes([], parts, weights)
+                for g in range(1, k + 1):
+                    weights[g] += np.clip(np.linalg.solve(curve[g] + ridge, slope[g]), -0.5, 0.5).astype(np.float32)
+            pull += np.einsum("gij,gj->gi", curve, weights)
+            total += curve
+        return pull, total
+
+    def settle(self, pull: np.ndarray, curve: np.ndarray) -> None:
+        """Weights of all pieces averaged by curvature; a little ridge holds gates that few decisions reach."""
+        for g in range(1, len(pull)):
+            self.weights[g] = np.linalg.solve(curve[g] + np.eye(len(CONTEXTS)), pull[g] + self.weights[g])
+
+    def score(self, words: Words, count: np.ndarray, before: tuple[np.ndarray, np.ndarray] | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """Per text: log10 probability, base log10 score, known tokens; ``count`` is the training count of every
-        word in every class (rows: words, then the end token)."""
+        word in every class (rows: words, then the end token), ``before`` what ``contexts`` gives."""
         n = words.n_texts
         # distinct tokens of the chunk: its words, then the end token
         distinct, first, inverse = np.unique(words.hash, return_index=True, return_inverse=True)
-        size = (words.end - words.start)[first]
-        total = int(size.sum()) + len(size)
-        raw = np.full(total + 1, _END_WORD, np.uint8)
-        at = np.r_[0, np.cumsum(size + 1)]
-        raw[_spread(at[:-1], size)] = words.bytes[_spread(words.start[first], size)]
-        raw[-1] = _END_TEXT
-        spelled = np.exp(self.spelled(raw, np.r_[at, total + 1]))
         token = np.full(len(inverse) + n, len(distinct))
         ends = np.cumsum(words.count + 1)
-        slot = np.arange(len(token))
         is_end = np.zeros(len(token), bool)
         is_end[ends - 1] = True
         token[~is_end] = inverse
@@ -198,25 +267,71 @@ class Mixer:
         starts = ends - words.count - 1
         base_score = np.add.reduceat(base[token], starts)
         known = np.add.reduceat((counts > 0)[token].astype(np.int64), starts)
+        # tokens without training counts are spelled, the others drawn
+        new = np.flatnonzero(counts == 0)
+        word = new[new < len(distinct)]
+        size = (words.end - words.start)[first[word]]
+        at = np.r_[0, np.cumsum(size + 1)]
+        raw = np.full(int(at[-1]) + (len(new) > len(word)), _END_WORD, np.uint8)
+        raw[_spread(at[:-1], size)] = words.bytes[_spread(words.start[first[word]], size)]
+        if len(new) > len(word):
+            raw[-1] = _END_TEXT
+            at = np.r_[at, at[-1] + 1]
+        x, fixed, each = self.spelling(raw, at)
+        begin = np.cumsum(each) - each
+        place = np.full(len(distinct) + 1, -1)
+        place[new] = np.arange(len(new))
         # adaptive pass, block by block of every text at once
         left = np.maximum(self.per_class - DISCOUNT * self.types, 1e-9)
-        drawn = np.maximum(by_class - DISCOUNT, 0) / left
-        novel = (DISCOUNT * self.types.sum() + 1) / len(SHARPNESS)
-        share = np.r_[left, np.full(len(SHARPNESS), novel)] / max(1.0, left.sum() + novel * len(SHARPNESS))
-        weight = np.tile(PRIOR * share + 0.01, (n, 1))
-        options = np.concatenate([drawn, spelled], 1)
+        drawn = np.concatenate([np.maximum(by_class - DISCOUNT, 0) / left, np.zeros((len(by_class), 1))], 1)
+        novel = DISCOUNT * self.types.sum() + 1
+        weight = np.tile(PRIOR * np.r_[left, novel] / max(1.0, left.sum() + novel) + 0.01, (n, 1))
+        offset, trust = np.zeros((n, len(CONTEXTS)), np.float32), np.tile(TRUST, (n, 1, 1))
         score, done, block = np.zeros(n), np.zeros(n, np.int64), FIRST_BLOCK
         live = np.arange(n)
         while len(live):
             m = np.minimum(block, words.count[live] + 1 - done[live])
-            t = token[_spread(starts[live] + done[live], m)]
+            where = _spread(starts[live] + done[live], m)
+            t = token[where]
             cut = np.r_[0, np.cumsum(m)[:-1]]
-            parts = options[t] * np.repeat(weight[live] / weight[live].sum(1, keepdims=True), m, axis=0)
-            whole = np.maximum(parts.sum(1), 1e-300)
-            score[live] += np.add.reduceat(np.log10(whole), cut)
-            # refinement: what explained the block's tokens weighs more in the next one
-            parts /= whole[:, None]
+            text = np.repeat(np.arange(len(live)), m)
+            parts = drawn[t]
+            fresh, log_spelled = np.flatnonzero(place[t] >= 0), np.zeros(len(t))
+            if len(fresh):
+                spell = place[t[fresh]]
+                rows, per = _spread(begin[spell], each[spell]), each[spell]
+                whose = np.repeat(text[fresh], per)
+                xs = x[rows]
+                p = 1 / (1 + np.exp(-np.clip(fixed[rows] + np.einsum("nk,nk->n", xs, offset[live[whose]]), -30, 30)))
+                # kept apart as a logarithm, since long words fall below the smallest number; nothing else draws them
+                log_spelled[fresh] = np.add.reduceat(np.log(p), np.cumsum(per) - per, dtype=np.float64)
+                parts[fresh, -1] = 1
+            parts *= (weight[live] / weight[live].sum(1, keepdims=True))[text]
+            plain = parts.sum(1)
+            parts /= plain[:, None]
+            if before is None:
+                whole, rest = plain, np.ones(len(t))
+            else:
+                share, evidence = before[0][where], before[1][where]
+                q = 1 / (1 + np.exp(-np.clip(np.einsum("nkf,nkf->nk", evidence, trust[live][text]), -12, 12)))
+                q *= evidence[:, :, 0]  # a context that never occurred is not trusted
+                two, one = q[:, 0] * share[:, 0], (1 - q[:, 0]) * q[:, 1] * share[:, 1]
+                whole = two + one + (1 - q[:, 0]) * (1 - q[:, 1]) * plain
+                two, one = two / whole, one / whole
+                rest = 1 - two - one
+                slope = np.stack([two - q[:, 0], one - q[:, 1] * (1 - two)], 1)
+                step = np.add.reduceat(slope[:, :, None] * evidence, cut, axis=0)
+                trust[live] = np.clip(trust[live] + TRUST_RATE * step, -8, 8)
+            score[live] += np.add.reduceat(np.log10(whole) + log_spelled / np.log(10), cut)
+            # refinement: what explained the block's tokens weighs more in the next one, spelled tokens pull their weights
+            parts *= rest[:, None]
             weight[live] += np.add.reduceat(parts, cut, axis=0)
+            if len(fresh):
+                pull = ((1 - p) * np.repeat(parts[fresh, -1], per))[:, None] * xs
+                edge = np.flatnonzero(np.r_[True, whose[1:] != whose[:-1]])
+                moved = live[whose[edge]]
+                bits = np.diff(np.r_[edge, len(whose)])
+                offset[moved] = np.clip(offset[moved] + RATE * np.add.reduceat(pull, edge, axis=0) / np.sqrt(bits)[:, None], -0.5, 0.5)
             done[live] += m
             live = live[done[live] <= words.count[live]]
             block = min(2 * block, LAST_BLOCK)
@@ -231,34 +346,52 @@ def _unpack(blob: bytes, n: int, classes: int) -> tuple[list[bytes], np.ndarray]
     """(words, counts (words, classes))"""
     raw = zlib.decompress(blob)
     cut = 4 * n * classes
-    return raw[cut:].split(b"\n"), np.frombuffer(raw[:cut], "<u4").reshape(classes, n).T.astype(np.int64)
+    return raw[cut:].split(b"\n") if n else [], np.frombuffer(raw[:cut], "<u4").reshape(classes, n).T.astype(np.int64)
 
 
 def _word_hash(words: list[bytes]) -> np.ndarray:
     """The kernel's hash of whole words."""
+    if not words:
+        return np.zeros(0, U)
     raw = np.frombuffer(b"".join(words), np.uint8)
     at = np.r_[0, np.cumsum([len(w) for w in words])]
     blank = np.zeros(256, bool)
     return Words((raw, at), blanks=blank).hash
 
 
-_ASK = "shard int, grp long, n int, words binary"
+def _pack_grams(h: np.ndarray, n: np.ndarray) -> bytes:
+    """Ascending hashes of word sequences, 40 bits of each (their shard is known beside them), and training counts."""
+    steps = np.diff(h >> U(23), prepend=U(0))
+    return zlib.compress(steps.astype("<u8").view(np.uint8).reshape(-1, 8).T.tobytes() + n.astype("<u4").view(np.uint8).reshape(-1, 4).T.tobytes(), 1)
+
+
+def _unpack_grams(blob: bytes) -> tuple[np.ndarray, np.ndarray]:
+    raw = np.frombuffer(zlib.decompress(blob), np.uint8).reshape(12, -1).T
+    return np.cumsum(np.ascontiguousarray(raw[:, :8]).view("<u8").ravel(), dtype=U), np.ascontiguousarray(raw[:, 8:]).view("<u4").ravel().astype(np.int64)
+
+
+_ASK = "shard int, grp long, n int, words binary, grams binary"
 
 
 def _asks(shards: int, classes: int):
     """Per group and word shard: the group's distinct words in hash order, with their training counts."""
-    schema = pa.schema([("shard", pa.int32()), ("grp", pa.int64()), ("n", pa.int32()), ("words", pa.binary())])
+    schema = pa.schema([("shard", pa.int32()), ("grp", pa.int64()), ("n", pa.int32()), ("words", pa.binary()), ("grams", pa.binary())])
 
     def work(table: pa.Table) -> pa.Table:
         held: dict[bytes, int] = {}
         counts = np.zeros((1 << 16, classes), np.int64)
         grp = table.column("grp")[0].as_py()
+        sequences, trains = [], []
         for batch in table.combine_chunks().to_batches():
             for part in chunks(batch):
                 words = Words(part.column(part.schema.get_field_index("text")))
+                kind = part.column(part.schema.get_field_index("kind")).to_numpy(zero_copy_only=False)
+                owner, _, pair, triple = grams(words)
+                sequences += [pair, triple]
+                trains += [kind[owner] >= 0] * 2
                 if not len(words.hash):
                     continue
-                kind = part.column(part.schema.get_field_index("kind")).to_numpy(zero_copy_only=False)[words.owner]
+                kind = kind[words.owner]
                 _, first, inverse = np.unique(words.hash, return_index=True, return_inverse=True)
                 learn = kind >= 0
                 n = np.bincount(inverse[learn] * classes + kind[learn], minlength=len(first) * classes).reshape(-1, classes)
@@ -267,16 +400,20 @@ def _asks(shards: int, classes: int):
                 if len(held) > len(counts):
                     counts = np.concatenate([counts, np.zeros((max(len(counts), len(held) - len(counts)), classes), np.int64)])
                 counts[at] += n
-        if not held:
-            return schema.empty_table()
+        flagged = np.sort(np.concatenate(sequences) << U(1) | np.concatenate(trains).astype(U))
+        every = flagged >> U(1)
+        new = np.flatnonzero(np.r_[True, every[1:] != every[:-1]])
+        every, trained = every[new], np.add.reduceat((flagged & U(1)).astype(np.int64), new)
+        del flagged, sequences[:], trains[:]
         names = list(held)
         h = _word_hash(names)
         order = np.argsort(h)
         shard = (h % U(shards)).astype(np.int64)[order]
+        gram_shard = (every % U(shards)).astype(np.int64)
         rows = []
-        for s in np.unique(shard).tolist():
-            own = order[shard == s]
-            rows.append((s, grp, len(own), _pack([names[i] for i in own], counts[own])))
+        for s in np.union1d(shard, gram_shard).tolist():
+            own, mine = order[shard == s], gram_shard == s
+            rows.append((s, grp, len(own), _pack([names[i] for i in own], counts[own]), _pack_grams(every[mine], trained[mine])))
         return pa.Table.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*rows), schema)], schema=schema)
 
     return work
@@ -309,6 +446,17 @@ def _tell(classes: int):
         for g, n in zip(groups, sizes):
             rows.append(("answer", g, shard, zlib.compress(total[inverse[at : at + n]].T.astype("<u8").tobytes(), 1), None, None))
             at += n
+        del hashes, counts, every, inverse
+        # word sequences: the same for hashes
+        asked = [_unpack_grams(blob.as_buffer().to_pybytes()) for blob in table.column("grams")]
+        if asked:
+            _, inverse = np.unique(np.concatenate([h for h, _ in asked]), return_inverse=True)
+            often = np.bincount(inverse, np.concatenate([n for _, n in asked])).astype(np.int64)
+            at = 0
+            for g, (h, _) in zip(groups, asked):
+                rows.append(("grams", g, shard, zlib.compress(often[inverse[at : at + len(h)]].astype("<u4").view(np.uint8).reshape(-1, 4).T.tobytes(), 1), None, None))
+                at += len(h)
+            del asked, inverse, often
         seen = total.any(1)
         # class -1: words of any class
         rows.append(("total", -1, shard, None, int(total.sum()), int(seen.sum())))
@@ -360,14 +508,12 @@ def _tables(bits: int):
     return work
 
 
-def _slopes(shared):
+def _learned(shared):
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        model, weights = shared[0].value, shared[1]
-        model.weights = weights
         k = len(CONTEXTS)
         total = np.zeros((k + 1) * k * (k + 1))
         for spelled in _spelled_words(batches):
-            total += np.concatenate([part.ravel() for part in model.slopes(spelled)])
+            total += np.concatenate([part.ravel() for part in shared.value.learned(spelled)])
         yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(total)), pa.int32()), pa.array(total)], names=["at", "sum"])
 
     return work
@@ -384,21 +530,39 @@ def _scores(shared, shards: int):
         model.weights = weights
         if not docs.num_rows:
             return _SCORED_SCHEMA.empty_table()
-        told = {s: np.frombuffer(zlib.decompress(b.as_buffer()), "<u8").astype(np.int64).reshape(len(ends), -1).T for s, b in zip(answers.column("b").to_pylist(), answers.column("blob"))}
+        kinds, of, blobs = (answers.column(c).to_pylist() for c in ("kind", "b", "blob"))
+        told = {s: np.frombuffer(zlib.decompress(b), "<u8").astype(np.int64).reshape(len(ends), -1).T for k, s, b in zip(kinds, of, blobs) if k == "answer"}
+        often = {s: np.ascontiguousarray(np.frombuffer(zlib.decompress(b), np.uint8).reshape(4, -1).T).view("<u4").ravel() for k, s, b in zip(kinds, of, blobs) if k == "grams"}
         # the group's words again, in the order they were asked in
         parts = [p for b in docs.combine_chunks().to_batches() for p in chunks(b, limit=2 << 20)]
         at = docs.schema.get_field_index("text")
-        every = np.unique(np.concatenate([np.unique(Words(p.column(at)).hash) for p in parts]))
+        hashes, sequences = [], []
+        for p in parts:
+            words = Words(p.column(at))
+            hashes.append(np.unique(words.hash))
+            sequences.append(np.unique(np.concatenate(grams(words)[2:])))
+        every, sequences = np.unique(np.concatenate(hashes)), np.unique(np.concatenate(sequences))
         counts = np.zeros((len(every) + 1, len(ends)), np.int64)
         counts[-1] = ends
         shard = (every % U(shards)).astype(np.int64)
         for s in np.unique(shard).tolist():
             counts[np.flatnonzero(shard == s)] = told[s]
+        found = np.zeros(len(sequences), np.int64)
+        shard = (sequences % U(shards)).astype(np.int64)
+        for s in np.unique(shard).tolist():
+            found[shard == s] = often[s]
         out = []
         for p in parts:
             words = Words(p.column(at))
             count = np.concatenate([counts[np.searchsorted(every, words.hash)], ends[None, :]])
-            score, base, known = model.score(words, count)
+            _, _, pair, triple = grams(words)
+            inside = np.ones(len(pair), bool)
+            inside[np.cumsum(words.count + 1) - 1] = False
+            single = np.full(len(pair), int(ends.sum()))
+            single[inside] = count[:-1].sum(1)
+            train = p.column(p.schema.get_field_index("train")).to_numpy(zero_copy_only=False)
+            pair, triple = (found[np.searchsorted(sequences, h)] for h in (pair, triple))
+            score, base, known = model.score(words, count, contexts(words, single, pair, triple, int(ends.sum()), train))
             out.append(pa.RecordBatch.from_arrays([p.column(p.schema.get_field_index("doc_id")), pa.array(words.count + 1), pa.array(known), pa.array(base), pa.array(score), pa.array(np.diff(words.offsets))], schema=_SCORED_SCHEMA))
         return pa.Table.from_batches(out)
 
@@ -439,6 +603,10 @@ def score_documents(documents: DataFrame, folds: int = 7, held: int = 2) -> Data
     code = ByteCode(_typical_bytes(docs))
     asks = docs.groupBy("grp").applyInArrow(_asks(shards, classes), _ASK)
     told = durable(asks.groupBy("shard").applyInArrow(_tell(classes), _TOLD))
+    # the asks are answered: their shuffle files leave the disk as soon as nothing refers to them
+    del asks
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
     tokens, types, distinct = ends.copy(), (ends > 0).astype(np.int64), int(ends.any())
     for r in told.where("kind = 'total'").groupBy("a").agg(F.sum("tokens").alias("tokens"), F.sum("types").alias("types")).collect():
         if r.a < 0:
@@ -454,16 +622,15 @@ def score_documents(documents: DataFrame, folds: int = 7, held: int = 2) -> Data
         tables[r.part * width : (r.part + 1) * width] = np.frombuffer(zlib.decompress(r.blob), "<u2")
     tables = np.ascontiguousarray(tables.reshape(len(CONTEXTS), 1 << bits, 2).transpose(2, 0, 1))
     model = Mixer(code, tables, tokens, types, distinct, [])
-    # gate weights: Newton steps whose sums cover every training word of every shard
+    # gate weights: every training word of every shard pulls them
     learning = spark.sparkContext.broadcast(model)
-    for _ in range(STEPS):
-        sums = np.zeros((len(CONTEXTS) + 1) * len(CONTEXTS) * (len(CONTEXTS) + 1))
-        for r in trained.mapInArrow(_slopes((learning, model.weights.copy())), "at int, sum double").groupBy("at").agg(F.sum("sum").alias("sum")).collect():
-            sums[r.at] = r.sum
-        cut = (len(CONTEXTS) + 1) * len(CONTEXTS)
-        model.step(sums[:cut].reshape(-1, len(CONTEXTS)), sums[cut:].reshape(-1, len(CONTEXTS), len(CONTEXTS)))
+    sums = np.zeros((len(CONTEXTS) + 1) * len(CONTEXTS) * (len(CONTEXTS) + 1))
+    for r in trained.mapInArrow(_learned(learning), "at int, sum double").groupBy("at").agg(F.sum("sum").alias("sum")).collect():
+        sums[r.at] = r.sum
+    cut = (len(CONTEXTS) + 1) * len(CONTEXTS)
+    model.settle(sums[:cut].reshape(-1, len(CONTEXTS)), sums[cut:].reshape(-1, len(CONTEXTS), len(CONTEXTS)))
     shared = spark.sparkContext.broadcast((learning, model.weights, ends))
-    answers = told.where("kind = 'answer'").select(F.col("a").alias("grp"), "b", "blob")
+    answers = told.where("kind in ('answer', 'grams')").select("kind", F.col("a").alias("grp"), "b", "blob")
     scored = docs.groupBy("grp").cogroup(answers.groupBy("grp")).applyInArrow(lambda d, a: _scores(shared, shards)(d, a), _SCORED)
     per_byte = F.when(F.col("n_bytes") > 0, -F.col("score") * float(np.log2(10)) / F.col("n_bytes"))
     return scored.select("doc_id", F.coalesce(fold("doc_id", folds) == held, F.lit(False)).alias("held_out"), "n_tokens", "n_known", F.lit(int(tokens.sum())).cast("long").alias("train_tokens"), "base_score", "score", per_byte.alias("bits_per_byte"))

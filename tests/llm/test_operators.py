@@ -286,6 +286,45 @@ def test_mixing_learns_from_every_training_word():
     assert all(np.allclose(w, p + q, rtol=1e-3, atol=1e-2) for w, p, q in zip(whole, *parts))
 
 
+def test_word_order_counts_and_long_words_cost(spark):
+    """Held-out texts in training order score better than shuffled; a text's own sequences do not help it."""
+    rng = np.random.default_rng(6)
+    names = ["".join(map(chr, rng.integers(97, 123, 5))) for _ in range(300)]
+    passages = [" ".join(rng.choice(names, 30)) for _ in range(20)]
+    train = [i for i in range(400) if crc(i, 7) != 2]
+    held = [i for i in range(400) if crc(i, 7) == 2]
+    rows = [(i, " ".join(passages[k] for k in rng.integers(0, 20, 3))) for i in train[:150]]
+    alone = [(i, " ".join(rng.choice(names, 90))) for i in train[150:200]]
+    kept, mixed = held[: len(held) // 2], held[len(held) // 2 :]
+    rows += alone
+    rows += [(i, passages[i % 20]) for i in kept] + [(i, " ".join(rng.permutation(passages[i % 20].split()))) for i in mixed]
+    rows += [(held[0] + 7_000_000, "q" * 3000), (held[0] + 7_000_001, "q" * 6000)]
+    score = {r.doc_id: r.score / r.n_tokens for r in score_documents(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    in_order, shuffled, own = (np.mean([score[i] for i in some]) for some in (kept, mixed, [i for i, _ in alone]))
+    assert in_order > shuffled + 0.8 and own < in_order - 0.8
+
+
+def test_contexts_against_a_plain_count():
+    from keyscout.llm.mixing import contexts
+    from keyscout.llm.text import Words
+    import pyarrow as pa
+
+    texts = ["a b a b c", "a b c", "", "b c a b"]
+    rows = [["<", "<", *t.split(), ">"] for t in texts]
+    count = [collections.Counter(tuple(r[i - k : i + 1]) for r in rows for i in range(2, len(r))) for k in range(3)]
+    at = [(r, i) for r in rows for i in range(2, len(r))]
+    args = [np.array([count[k][tuple(r[i - k : i + 1])] for r, i in at]) for k in range(3)]
+    for own in (False, True):
+        share, _ = contexts(Words(pa.array(texts)), *args, len(texts), np.full(len(texts), own))
+        want = []
+        for r, i in at:
+            rest = [q for q in rows if q is not r] if own else rows
+            for k in (2, 1):
+                follows = [q[j] for q in rest for j in range(2, len(q)) if q[j - k : j] == r[i - k : i]]
+                want.append(follows.count(r[i]) / max(1, len(follows)))
+        assert np.allclose(share.ravel(), want)
+
+
 def test_scores_beat_the_base_on_held_out_rows(spark):
     docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
     rows = [r for r in score_documents(docs).collect() if not r.held_out]
