@@ -331,6 +331,13 @@ def test_scores_beat_the_base_on_held_out_rows(spark):
     assert sum(r.score for r in rows) > sum(r.base_score for r in rows)
 
 
+def test_held_out_rows_beat_the_base(spark):
+    """The rows that did not train, which the test above leaves out."""
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    rows = [r for r in score_documents(docs).collect() if r.held_out]
+    assert rows and sum(r.score for r in rows) > 0.9 * sum(r.base_score for r in rows)
+
+
 def test_scores_of_nothing(spark, empty):
     assert score_documents(empty).count() == 0
 
