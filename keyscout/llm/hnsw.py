@@ -153,7 +153,8 @@ class SmallWorld:
         done[:, :m] = start < 0
         seen = np.zeros((b, n), bool)
         row = np.arange(b)[:, None]
-        np.put_along_axis(seen, np.maximum(start, 0), True, 1)
+        r, c = np.nonzero(start >= 0)
+        seen[r, start[r, c]] = True
         live = np.arange(b)
         while len(live):
             best = np.where(done[live], -3, sims[live])
@@ -183,6 +184,9 @@ class SmallWorld:
         start = np.full((len(q), 1), self.entry)
         for k in range(len(self.tables) - 1, 0, -1):
             start = self._beam(q, start, k, 4)[0][:, :2]
+        if len(self.tables) > 1:  # every node can be reached from the entry, not from any other start
+            entry = np.where((start == self.entry).any(1), -1, self.entry)
+            start = np.concatenate([start, entry[:, None]], 1)
         return self._beam(q, start, 0, width)
 
     def packed(self) -> list[bytes]:

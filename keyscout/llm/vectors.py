@@ -107,6 +107,18 @@ def _linked(graph: SmallWorld, unit: np.ndarray, q: np.ndarray, least: float, wi
     return out
 
 
+def _exact(unit: np.ndarray, q: np.ndarray, least: float) -> list[np.ndarray]:
+    """The same by products with every member, block by block."""
+    out: list[list[np.ndarray]] = [[np.zeros(0, np.int64)] for _ in q]
+    for s in range(0, len(q), BATCH):
+        for b in range(0, len(unit), 8192):
+            r, c = np.nonzero(q[s : s + BATCH] @ unit[b : b + 8192].T >= least - 1e-5)
+            same = np.einsum("nd,nd->n", q[s + r], unit[b + c]) >= least
+            for i, j in zip((s + r[same]).tolist(), (b + c[same]).tolist()):
+                out[i].append(np.array([j]))
+    return [np.concatenate(o) for o in out]
+
+
 _FOUND = "a long, b long, links long"
 
 
@@ -125,8 +137,6 @@ def _search(least: float):
         q = _unit(_matrix(asked.column("vector").combine_chunks()))
         while True:
             found = _linked(state["graph"], unit, q, least, state["width"])
-            if state["width"] >= len(unit):
-                break
             # audit: half of the queries with links beside their own, half at random
             rich = np.flatnonzero([len(f) > 1 for f in found])
             draw = np.random.default_rng(state["width"])
@@ -134,6 +144,9 @@ def _search(least: float):
             truth = (q[audit] @ unit.T >= least).sum(1)
             if all(len(found[i]) >= t for i, t in zip(audit, truth)):
                 break
+            if state["width"] >= len(unit):  # no beam helps: exact products
+                found = _exact(unit, q, least)
+                break
             state["width"] *= 2
         forest, counts = _Forest(), np.zeros(len(own), np.int64)
         for i, f in enumerate(found):

@@ -338,6 +338,26 @@ def test_held_out_rows_beat_the_base(spark):
     assert rows and sum(r.score for r in rows) > 0.9 * sum(r.base_score for r in rows)
 
 
+def test_search_starts_from_the_entry_too():
+    """A node that only the entry links to is found, and exact products find what brute force does."""
+    from keyscout.llm.hnsw import SmallWorld
+    from keyscout.llm.vectors import _exact
+
+    turn = np.array([3.0, 0.0, 0.1, 0.2])
+    x = np.stack([np.cos(turn), np.sin(turn)], 1).astype(np.float32)
+    graph = SmallWorld(x, np.array([2, 1, 1, 0]))
+    for t in graph.tables:
+        t[:] = -1
+    graph.tables[1][0, :2] = 1, 2
+    graph.tables[0][0, 0], graph.entry = 3, 0
+    ids, _ = graph.search(x[3:], 4)
+    assert set(ids[0].tolist()) >= {1, 2, 3}
+    rng = np.random.default_rng(2)
+    unit = rng.standard_normal((500, 4)).astype(np.float32)
+    unit /= np.linalg.norm(unit, axis=1, keepdims=True)
+    assert all(set(f.tolist()) == set(np.flatnonzero(t).tolist()) for f, t in zip(_exact(unit, unit, 0.9), unit @ unit.T >= 0.9))
+
+
 def test_scores_of_nothing(spark, empty):
     assert score_documents(empty).count() == 0
 
