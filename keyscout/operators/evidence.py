@@ -158,12 +158,24 @@ def gather(masks: DataFrame, m: int) -> list[tuple[int, int, int]]:
     words = words_of(m)
     rows = masks.limit(MANY_MASKS + 1).collect()
     if len(words) == 1 and len(rows) > MANY_MASKS:
-        return [(-1, r.mask, 0) for r in minimize_partitions(masks).collect()]
+        return [(-1, r.mask, 0) for r in minimize_partitions(masks).collect()]  # mask_totals has the pairs
     if len(rows) > MANY_MASKS:
         rows = masks.collect()
     return [(r["col_ix"] if "col_ix" in masks.columns else -1, join_words([r[w] for w in words]), r["pairs"]) for r in rows]
 
 
+def mask_totals(masks: DataFrame, rows: list[tuple[int, int, int]]) -> dict[int, tuple[int, int]]:
+    """Masks and pairs per column (-1: none), also where ``gather`` has minimised the masks."""
+    found: dict[int, tuple[int, int]] = {}
+    if all(r[0] < 0 and not r[2] for r in rows):
+        column = F.col("col_ix") if "col_ix" in masks.columns else F.lit(-1)
+        return {r.i: (r.n, r.pairs) for r in masks.groupBy(column.alias("i")).agg(F.count("*").alias("n"), F.sum("pairs").alias("pairs")).collect()} if rows else found
+    for i, _, pairs in rows:
+        at = found.get(i, (0, 0))
+        found[i] = (at[0] + 1, at[1] + pairs)
+    return found
+
+
 def build_initial_hypergraph(relation: Relation, stats: list[ColumnStats], covered: list[int], sampling: str | int = "sqrt", seed: int = 0, max_sample_rows: int = 4096, ownership: bool = True, compare: bool = True, timer=None, **how) -> Hypergraph:
     """Masks of covered columns and of the sample, minimised.
 
@@ -180,20 +192,21 @@ def build_initial_hypergraph(relation: Relation, stats: list[ColumnStats], cover
     order = [i for i in order if stats[i].agree_pairs]
     with part("generate"):
         if compare and order:
-            rows = []
             for at in range(0, len(order), COLUMNS_PER_JOB):  # wide relations: plans of bounded size
-                rows += gather(covered_pair_masks(relation, order[at : at + COLUMNS_PER_JOB], ownership, order[:at], **how), relation.m)
-            for i, mask, pairs in rows:
-                seen.add(mask)
-                graph.pairs += pairs
-                at = graph.per_column.get(i, (0, 0))
-                graph.per_column[i] = (at[0] + 1, at[1] + pairs)
+                masks = covered_pair_masks(relation, order[at : at + COLUMNS_PER_JOB], ownership, order[:at], **how)
+                rows = gather(masks, relation.m)
+                seen.update(r[1] for r in rows)
+                for i, (n, pairs) in mask_totals(masks, rows).items():
+                    graph.pairs += pairs
+                    had = graph.per_column.get(i, (0, 0))
+                    graph.per_column[i] = (had[0] + n, had[1] + pairs)
     with part("supplement"):
         uncovered = relation.m - len(covered)
         size = {"sqrt": min(sample_size(relation.n, uncovered), max_sample_rows), "off": 0}.get(sampling, sampling)
         if size > 1:
-            rows = gather(sample_pair_masks(relation, supplement_sample(relation, size, seed)), relation.m)
-            graph.sampled_rows, graph.sample_pairs = min(size, relation.n), sum(r[2] for r in rows)
+            masks = sample_pair_masks(relation, supplement_sample(relation, size, seed))
+            rows = gather(masks, relation.m)
+            graph.sampled_rows, graph.sample_pairs = min(size, relation.n), sum(n for _, n in mask_totals(masks, rows).values())
             seen.update(r[1] for r in rows)
     full = (1 << relation.m) - 1
     graph.distinct = len(seen)

@@ -212,3 +212,13 @@ def test_sources_and_sinks(spark, sf, tmp_path):
     assert spark.read.parquet(f"{tmp_path}/codes").columns == [*(f"c{i}" for i in range(6)), "rid"]
     result.register(spark)
     assert spark.table("ks_keys").count() == len(result.keys)
+
+
+def test_pairs_are_counted_where_masks_are_minimised(spark, sf, monkeypatch):
+    df = spark.read.parquet(f"{sf}/customer.parquet")
+    whole = discover_keys(df)
+    monkeypatch.setattr(evidence, "MANY_MASKS", 1)
+    small = discover_keys(df)
+    assert set(small.keys) == set(whole.keys)
+    assert small.report["per_column"] == whole.report["per_column"] and small.report["pairs_phase1"] == whole.report["pairs_phase1"] > 0
+    assert small.report["sample_pairs"] == whole.report["sample_pairs"]
