@@ -1,25 +1,28 @@
-"""Language-model scores by online logistic mixing of contexts (operator 3).
-
-The main predictors reach over word borders: a token follows the two tokens before it,
-or the one before it, as it did in training, else it comes alone.  Whether a context is
-followed is a binary decision, predicted in the logistic domain from how often the
-context occurred and how long it has just been right; its weights move with every block
-of the scored text.  A token that comes alone is drawn from the training tokens of one of
-a few text classes (the commonest values of ``lang`` and all others), by its count there,
-or, if training never had it, it is spelled: every byte and the end as binary decisions
-of a byte code, each mixing the predictions of several hashed contexts in the logistic
-domain.  A gate (how many contexts have an opinion) picks the weights, which Newton steps
-over all training words have set; every text moves them, and its shares of the classes,
-on.  What a token costs depends on earlier blocks of the same text only, so the bits of a
-text add up to its code length.  Divided by its bytes that is the model's bits per byte.
-A training text is not told by its own word sequences: they are taken out of the counts.
+"""Language-model scores by online logistic context mixing (operator 3).
+
+Every token is spelled bit by bit: each byte and the end of the token are binary decisions
+of a byte code.  A decision is predicted by several hashed contexts - the bytes before it
+in the word, the whole beginning of the word, the same inside the text's class (one of the
+commonest ``lang`` values, guessed from the blocks read so far), and, over the word border,
+the end of the word before - whose tables hold how often either branch was taken in training,
+every occurrence counted.  Their opinions are mixed in the logistic domain; a gate (which
+contexts have one) picks the starting weights, which Newton steps over all training words
+have set, and every block of the scored text moves them on.
+
+Over the bits stands a refinement by exact word sequences: a token may follow the two
+tokens before it, or the one before it, as it did in training.  Whether such a context is
+followed is a binary decision too, mixed from how often the context occurred and how long
+it has just been right, with weights that move with every block.  What a token costs
+depends on earlier tokens of the same text only, so the bits of a text add up to its code
+length; divided by its bytes that is the model's bits per byte.  A training text is not told by its
+own word sequences: they are taken out of the counts.
 
 Corpus statistics never meet in one place: documents are dealt in groups, a group
-sends each of its distinct words and word sequences (hashes of 40 bits beside the shard)
-with its training count once, word shards add them up
-and answer every group with its words' counts, and give the bit counts of contexts and
-the slopes of the gate weights.  Only these sums, the context tables (whose slots follow
-the distinct training words up to a bound) and three totals reach the driver.
+sends each of its distinct words and word sequences (hashes whose length follows the
+corpus) with its training counts once, word shards add them up and answer every group with
+its words' counts; the training words of the shards, with their frequencies, fill the
+context tables.  Tables are added up in a tree; only they (their slots follow the
+distinct training words up to what a broadcast holds), gate weights and totals reach the driver.
 """
 
 from __future__ import annotations
@@ -36,20 +39,26 @@ from pyspark.sql import functions as F
 
 from keyscout.llm.cluster import durable
 from keyscout.llm.labelled import fold
-from keyscout.llm.text import U, Words, _power, chunks, mix
-
-#: contexts (bytes before the decision, within the word; 99: the whole beginning), least and most slots of each as bits, slots per distinct training word
-CONTEXTS, SLOT_BITS, MOST_SLOT_BITS, ROOM = (0, 1, 2, 3, 4, 99), 18, 21, 4
-#: slices that tables are added up in, Newton steps of a piece of words on the gate weights
-SLICES, STEPS = 16, 4
-#: text classes with counts of their own beside the rest, discount of a seen word, tokens that the first shares weigh
-CLASSES, DISCOUNT, PRIOR = 7, 0.6, 0.6
+from keyscout.llm.text import _LOWER, U, Words, _power, chunks, mix, string_buffers
+
+#: contexts inside a word: place, the 1 to 4 bytes before, the whole beginning, the whole beginning within the class;
+#: one more reaches over the border.  Least and most slots of one as bits, slots per distinct training word, slots of the border's
+INSIDE, SLOT_BITS, MOST_SLOT_BITS, ROOM, BORDER_BITS = 7, 16, 21, 8, 18
+GATES = 2 * INSIDE
+#: group of each inside context (short, long, whole, class), inputs of the second layer (the groups and the border)
+GROUP, LAYER = (0, 0, 0, 1, 1, 2, 3), 5
+#: slices that tables are added up in, tables one task adds up, Newton steps of a piece of words on the gate weights
+SLICES, FAN_IN, STEPS = 64, 32, 4
+#: text classes beside the rest
+CLASSES = 7
 #: text bytes of a group, tokens of a document's first block and of its largest
 GROUP_BYTES, FIRST_BLOCK, LAST_BLOCK = 8 << 20, 4, 64
-#: learning rates of a document's spelling weights and of its word-context weights, and where the latter start
+#: learning rates of a document's mixing weights and of its word-context weights, and where the latter start
 #: (per context: bias, log count of the context, whether it knew the token before, log of how many in a row it knew)
 RATE, TRUST_RATE = 0.02, 0.05
 TRUST = np.array([[-2.0, 0.1, 1.0, 1.0], [-2.0, 0.1, 0.5, 0.5]])
+#: weight of the border context before a text moves it, count that stands for none
+BORDER_WEIGHT, NONE = 0.3, 0.4
 _END_WORD, _END_TEXT = 0x20, 0xFF  # neither occurs inside a UTF-8 word
 
 
@@ -85,32 +94,89 @@ def slot_bits(words: int) -> int:
     return min(max(SLOT_BITS, int(words * ROOM).bit_length()), MOST_SLOT_BITS)
 
 
-def decisions(raw: np.ndarray, at: np.ndarray, code: ByteCode, bits: int = SLOT_BITS) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(slots (decisions, contexts), bits, decisions per token) of tokens spelled in raw[at[i]:at[i+1]]."""
-    owner = np.repeat(np.arange(len(at) - 1), np.diff(at))
-    place = np.arange(len(raw)) - at[owner]
-    padded = np.concatenate([np.zeros(4, np.uint8), raw]).astype(U)
-    contexts = []
-    with np.errstate(over="ignore"):
-        near = np.zeros(len(raw), U)
-        for k in range(1, 5):
-            near = near << U(8) | np.where(place >= k, padded[4 - k : len(padded) - k], U(0))
-            contexts.append(mix(near * U(0x9E3779B97F4A7C15) + U(k)))
-        # hash of the whole beginning, however long: a polynomial sum from the token's first byte on
-        total = np.zeros(len(raw) + 1, U)
-        np.cumsum((raw.astype(U) + U(1)) * _power("up", len(raw)), out=total[1:])
-        start = at[:-1][owner]
-        whole = mix((total[:-1] - total[start]) * _power("down", len(raw))[start] + place.astype(U) * U(0xD6E8FEB86659FD93))
-        contexts = [mix(np.minimum(place, 12).astype(U) + U(77)), *contexts, mix(whole + U(99))]
+_MULTIPLY = np.uint32(0x85EBCA6B)
+
+
+class Decisions:
+    """Binary decisions of tokens spelled in raw[at[i]:at[i+1]]: slots of the contexts inside the word, bits, decisions per token."""
+
+    def __init__(self, raw: np.ndarray, at: np.ndarray, code: ByteCode, bits: int):
+        self.shift = np.uint32(32 - bits)
+        owner = np.repeat(np.arange(len(at) - 1), np.diff(at))
+        place = np.arange(len(raw)) - at[owner]
+        padded = np.concatenate([np.zeros(4, np.uint8), raw]).astype(U)
+        with np.errstate(over="ignore"):
+            near, hashes = np.zeros(len(raw), U), [mix(np.minimum(place, 12).astype(U) + U(77))]
+            for k in range(1, 5):
+                near = near << U(8) | np.where(place >= k, padded[4 - k : len(padded) - k], U(0))
+                hashes.append(mix(near * U(0x9E3779B97F4A7C15) + U(k)))
+            # hash of the whole beginning, however long: a polynomial sum from the token's first byte on
+            total = np.zeros(len(raw) + 1, U)
+            np.cumsum((raw.astype(U) + U(1)) * _power("up", len(raw)), out=total[1:])
+            start = at[:-1][owner]
+            whole = mix((total[:-1] - total[start]) * _power("down", len(raw))[start] + place.astype(U) * U(0xD6E8FEB86659FD93))
+            hashes.append(mix(whole + U(99)))
         byte = raw.astype(np.int64)
         size = code.size[byte]
         steps = _spread(code.first[byte], size)
-        node, bit = code.node[steps], code.bit[steps]
-        salt = (node + 1).astype(np.uint32) * np.uint32(0x9E3779B1)
-        slots = np.empty((len(steps), len(contexts)), np.int32)
-        for k, c in enumerate(contexts):
-            slots[:, k] = ((np.repeat((c >> U(32)).astype(np.uint32), size) ^ salt) * np.uint32(0x85EBCA6B)) >> np.uint32(32 - bits)
-    return slots, bit, np.bincount(owner, size, len(at) - 1).astype(np.int64)
+        self.bit = code.bit[steps]
+        self.salt = (code.node[steps] + 1).astype(np.uint32) * np.uint32(0x9E3779B1)
+        self.each = np.bincount(owner, size, len(at) - 1).astype(np.int64)
+        self.slots = np.empty((INSIDE - 1, len(steps)), np.int32)
+        for k, h in enumerate(hashes):
+            spread = np.repeat((h >> U(32)).astype(np.uint32), size)
+            self.slots[k] = ((spread ^ self.salt) * _MULTIPLY) >> self.shift
+        self.whole = spread
+
+    def in_class(self, kind: int | np.ndarray, rows: np.ndarray | slice = slice(None)) -> np.ndarray:
+        """Slots of the whole beginning within a class (one, or one for each of the chosen decisions)."""
+        other = (np.atleast_1d(np.asarray(kind, np.uint32)) + np.uint32(1)) * np.uint32(0xC2B2AE35)
+        return ((((self.whole[rows] ^ other) * np.uint32(0x27D4EB2F)) ^ self.salt[rows]) * _MULTIPLY >> self.shift).astype(np.int32)
+
+
+def border_slots(before: np.ndarray, byte: np.ndarray, code: ByteCode) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(slots, bits, decisions) of first bytes of tokens after a word that ends in two given bytes (as one number)."""
+    size = code.size[byte]
+    steps = _spread(code.first[byte], size)
+    key = np.repeat(before.astype(np.uint32) * np.uint32(0x9E3779B1), size) ^ (code.node[steps] + 1).astype(np.uint32) * np.uint32(0xC2B2AE35)
+    return ((key * _MULTIPLY) >> np.uint32(32 - BORDER_BITS)).astype(np.int64), code.bit[steps], size
+
+
+def borders(words: Words) -> tuple[np.ndarray, np.ndarray]:
+    """(last two bytes of the word before, first byte) of all tokens, end tokens included; 0 before a text's first."""
+    n = words.n_texts
+    ends = np.cumsum(words.count + 1) - 1
+    inside = np.ones(len(words.start) + n, bool)
+    inside[ends] = False
+    first = np.full(len(inside), _END_TEXT, np.int64)
+    first[inside] = words.bytes[words.start]
+    last = words.bytes[words.end - 1].astype(np.int64)
+    last |= np.where(words.end - words.start > 1, words.bytes[np.maximum(words.end - 2, 0)].astype(np.int64), 0) << 8
+    own = np.zeros(len(inside), np.int64)
+    own[inside] = last
+    before = np.r_[0, own[:-1]]
+    before[np.r_[0, ends[:-1] + 1]] = 0
+    return before, first
+
+
+# a slot's two counts as one number: 256 levels each, exact up to 64 and then seven to an octave
+_STEP = 191 / np.log2(2.0**32 / 64)
+_VALUES = np.r_[np.arange(65), 64 * 2 ** (np.arange(1, 192) / _STEP)]
+
+
+def levels(counts: np.ndarray) -> np.ndarray:
+    """States of slots from their (zeros, ones)."""
+    n = np.where(counts <= 64, counts, 64 + np.rint(np.log2(np.maximum(counts, 64) / 64) * _STEP)).astype(np.uint16)
+    return n[0] << np.uint16(8) | n[1]
+
+
+def _stretched(own: int | None) -> np.ndarray:
+    """log odds of a one by state; ``own`` (0 or 1) takes one such count out."""
+    zero, one = (np.maximum(_VALUES - (own == b), 0) for b in (0, 1))
+    return (np.log(one[None, :] + NONE) - np.log(zero[:, None] + NONE)).astype(np.float32).ravel()
+
+
+_ODDS, _LEFT = _stretched(None), (_stretched(0), _stretched(1))
 
 
 def grams(words: Words) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
@@ -168,181 +234,194 @@ def _joined(tokens: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
     return np.frombuffer(b"".join(tokens), np.uint8), np.r_[0, np.cumsum([len(t) for t in tokens], dtype=np.int64)]
 
 
-_LOG = np.log(np.arange(1 << 16) + 0.3).astype(np.float32)
+class Mixer:
+    """Byte code, states of the context tables, gate weights and corpus totals.
 
+    ``tables``: (INSIDE, slots) states; ``border``: states of the border context; ``tokens``
+    and ``types``: training tokens and distinct ones per class; ``distinct``: of all classes.
+    """
 
-class Mixer:
-    """Code, context tables (zeros and ones per slot, 65,535 at most), gate weights and corpus totals."""
-
-    def __init__(self, code: ByteCode, tables: np.ndarray, tokens: np.ndarray, types: np.ndarray, distinct: int, sample: list[bytes]):
-        self.code, self.tables = code, np.minimum(tables, 65535).astype(np.uint16, copy=False)
-        self.bits = tables.shape[2].bit_length() - 1
-        self.per_class, self.types = tokens.astype(np.float64), types.astype(np.float64)
-        self.tokens, self.distinct = int(tokens.sum()), distinct
-        self.weights = np.full((len(CONTEXTS) + 1, len(CONTEXTS)), 0.35, np.float32)
-        if sample:
-            self.settle(*self.learned(sample))
-
-    def inputs(self, slots: np.ndarray, bit: np.ndarray, own: int = 0) -> tuple[np.ndarray, np.ndarray]:
-        """(signed stretched predictions, gate): the sign makes larger mean likelier for the bit that came.
-
-        The gate counts the contexts that lean to one side at all.  ``own`` takes out that
-        many counts of the bit itself (to learn from counted words).
-        """
-        x = np.empty(slots.shape, np.float32)
-        for k in range(slots.shape[1]):
-            zero, one = self.tables[0][k][slots[:, k]], self.tables[1][k][slots[:, k]]
-            if own:
-                zero, one = zero - np.minimum(zero, own * (bit == 0)), one - np.minimum(one, own * (bit == 1))
-            x[:, k] = _LOG[one] - _LOG[zero]
-        gate = (x != 0).sum(1)
-        x *= np.where(bit, np.float32(1), np.float32(-1))[:, None]
-        return x, gate
-
-    def spelled(self, raw: np.ndarray, at: np.ndarray) -> np.ndarray:
-        """Natural log probabilities of spelled tokens, before any text has moved the weights."""
-        x, fixed, each = self.spelling(raw, at)
-        return np.add.reduceat(-np.log1p(np.exp(np.clip(-fixed, -60, 60))), np.r_[0, np.cumsum(each)[:-1]], dtype=np.float64)
-
-    def spelling(self, raw: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """(signed predictions, their mix under the gate weights, decisions per token)"""
-        slots, bit, each = decisions(raw, at, self.code, self.bits)
-        x, gate = self.inputs(slots, bit)
-        return x, np.einsum("nk,nk->n", x, self.weights[gate]), each
-
-    def _by_gate(self, spelled: list[bytes]) -> list[np.ndarray]:
-        """Signed predictions of the words' decisions by gate, the words' own counts taken out."""
-        slots, bit, _ = decisions(*_joined(spelled), self.code, self.bits)
-        x, gate = self.inputs(slots, bit, own=1)
+    def __init__(self, code: ByteCode, tables: np.ndarray, border: np.ndarray, tokens: np.ndarray, distinct: int):
+        self.code, self.tables, self.border = code, tables, border
+        self.bits = tables.shape[1].bit_length() - 1
+        self.per_class, self.tokens, self.distinct = tokens.astype(np.float64), int(tokens.sum()), distinct
+        self.weights = np.full((GATES, INSIDE), 0.3, np.float32)
+
+    # learning
+
+    def _by_gate(self, spelled: list[bytes], counts: np.ndarray) -> list[tuple[np.ndarray, np.ndarray]]:
+        """(signed inputs, weight) of training words' decisions by gate, one occurrence of the word taken out."""
+        d = Decisions(*_joined(spelled), self.code, self.bits)
+        kind = np.repeat(counts.argmax(1), d.each)
+        x = np.zeros((len(d.bit), INSIDE), np.float32)
+        for k in range(INSIDE):
+            state = self.tables[k][d.slots[k] if k < INSIDE - 1 else d.in_class(kind)]
+            x[:, k] = np.where(d.bit, _LEFT[1][state], -_LEFT[0][state])
+        often = np.repeat(counts.sum(1), d.each).astype(np.float32)
+        gate = 2 * (x[:, :-1] != 0).sum(1) + (x[:, -1] != 0)
         order = np.argsort(gate.astype(np.int8), kind="stable")
-        return np.split(x[order], np.cumsum(np.bincount(gate, minlength=len(CONTEXTS) + 1))[:-1])
-
-    def slopes(self, spelled: list[bytes], parts: list[np.ndarray] | None = None, weights: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
-        """Per gate: gradient and curvature of the log probability of training words."""
-        k = len(CONTEXTS)
-        weights = self.weights if weights is None else weights
-        slope, curve = np.zeros((k + 1, k)), np.zeros((k + 1, k, k))
-        for g, v in enumerate(parts or self._by_gate(spelled)):
-            if g and len(v):
-                p = 1 / (1 + np.exp(-np.clip(v @ weights[g], -30, 30)))
-                slope[g] = (1 - p) @ v
-                curve[g] = (v * (p * (1 - p))[:, None]).T @ v
-        return slope, curve
-
-    def learned(self, spelled: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        cut = np.cumsum(np.bincount(gate, minlength=GATES))[:-1]
+        return list(zip(np.split(x[order], cut), np.split(often[order], cut)))
+
+    def learned(self, spelled: list[bytes], counts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Per gate: (curvature times weights, curvature) where Newton steps over the words settle, piece by piece."""
-        k = len(CONTEXTS)
-        pull, total, ridge = np.zeros((k + 1, k)), np.zeros((k + 1, k, k)), np.eye(k)
+        pull, total, ridge = np.zeros((GATES, INSIDE)), np.zeros((GATES, INSIDE, INSIDE)), np.eye(INSIDE)
         for s in range(0, len(spelled), 8192):
-            parts, weights = self._by_gate(spelled[s : s + 8192]), self.weights.copy()
-            for _ in range(STEPS):
-                slope, curve = self.slopes([], parts, weights)
-                for g in range(1, k + 1):
-                    weights[g] += np.clip(np.linalg.solve(curve[g] + ridge, slope[g]), -0.5, 0.5).astype(np.float32)
-            pull += np.einsum("gij,gj->gi", curve, weights)
-            total += curve
+            for g, (v, n) in enumerate(self._by_gate(spelled[s : s + 8192], counts[s : s + 8192])):
+                if not len(v):
+                    continue
+                w = self.weights[g].astype(np.float64)
+                for _ in range(STEPS):
+                    slope, curve = _slope(v, n, w)
+                    w += np.clip(np.linalg.solve(curve + ridge, slope), -0.5, 0.5)
+                pull[g] += curve @ w
+                total[g] += curve
         return pull, total
 
     def settle(self, pull: np.ndarray, curve: np.ndarray) -> None:
         """Weights of all pieces averaged by curvature; a little ridge holds gates that few decisions reach."""
-        for g in range(1, len(pull)):
-            self.weights[g] = np.linalg.solve(curve[g] + np.eye(len(CONTEXTS)), pull[g] + self.weights[g])
-
-    def score(self, words: Words, count: np.ndarray, before: tuple[np.ndarray, np.ndarray] | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """Per text: log10 probability, base log10 score, known tokens; ``count`` is the training count of every
-        word in every class (rows: words, then the end token), ``before`` what ``contexts`` gives."""
-        n = words.n_texts
-        # distinct tokens of the chunk: its words, then the end token
+        for g in range(GATES):
+            self.weights[g] = np.linalg.solve(curve[g] + np.eye(INSIDE), pull[g] + self.weights[g])
+
+    # scoring
+
+    def opinions(self, d: Decisions, kind: int) -> tuple[np.ndarray, np.ndarray]:
+        """First layer, (LAYER - 1, decisions): the inside contexts' weighted opinions by group, signed so that more
+        makes the bit that came likelier."""
+        sign = np.where(d.bit, np.float32(1), np.float32(-1))
+        x = np.empty((INSIDE, len(d.bit)), np.float32)
+        for k in range(INSIDE):
+            x[k] = _ODDS[self.tables[k][d.slots[k] if k < INSIDE - 1 else d.in_class(kind)]]
+            x[k] *= sign
+        gate = 2 * (x[:-1] != 0).sum(0, dtype=np.int8) + (x[-1] != 0)
+        out = np.zeros((LAYER - 1, len(d.bit)), np.float32)
+        for k in range(INSIDE):
+            x[k] *= np.ascontiguousarray(self.weights[:, k])[gate]
+            out[GROUP[k]] += x[k]
+        return out
+
+    def spelled(self, raw: np.ndarray, at: np.ndarray, kind: int = 0) -> np.ndarray:
+        """Natural log probabilities of spelled tokens in a class, before any text has moved the weights and without a word before."""
+        d = Decisions(raw, at, self.code, self.bits)
+        logit = self.opinions(d, kind).sum(0)
+        return np.add.reduceat(-np.log1p(np.exp(-np.clip(logit, -30, 30))), np.r_[0, np.cumsum(d.each)[:-1]], dtype=np.float64)
+
+    def classes(self, owner: np.ndarray, texts: int, count: np.ndarray) -> np.ndarray:
+        """The class that would draw a text's words likeliest, from the words' texts and their training counts in
+        every class; naming it costs log10(classes)."""
+        likely = np.log((count + 0.1) / (self.per_class + 0.1 * (self.distinct + 1)))
+        likely[:, self.per_class == 0] = -1e3
+        return np.stack([np.bincount(owner, likely[:, c], texts) for c in range(count.shape[1])], 1).argmax(1)
+
+    def score(self, words: Words, count: np.ndarray, kind: int = 0, before: tuple[np.ndarray, np.ndarray] | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Per text: log10 probability, base log10 score, known tokens, for texts of one class; ``count`` is the training
+        count of every word in every class (rows: words, then the end token), ``before`` what ``contexts`` gives."""
+        n, code = words.n_texts, self.code
         distinct, first, inverse = np.unique(words.hash, return_index=True, return_inverse=True)
         token = np.full(len(inverse) + n, len(distinct))
         ends = np.cumsum(words.count + 1)
         is_end = np.zeros(len(token), bool)
         is_end[ends - 1] = True
         token[~is_end] = inverse
-        by_class = np.concatenate([count[:-1][first], count[-1:]])
-        counts = by_class.sum(1)
-        # base score
-        with np.errstate(divide="ignore"):
-            base = np.log10((counts + 1) / (self.tokens + self.distinct + 1))
+        counts = np.concatenate([count[:-1][first], count[-1:]]).sum(1)
+        base = np.log10((counts + 1) / (self.tokens + self.distinct + 1))
         starts = ends - words.count - 1
         base_score = np.add.reduceat(base[token], starts)
         known = np.add.reduceat((counts > 0)[token].astype(np.int64), starts)
-        # tokens without training counts are spelled, the others drawn
-        new = np.flatnonzero(counts == 0)
-        word = new[new < len(distinct)]
-        size = (words.end - words.start)[first[word]]
+        # the distinct tokens spelled once: words in hash order, then the end of the text
+        size = (words.end - words.start)[first]
         at = np.r_[0, np.cumsum(size + 1)]
-        raw = np.full(int(at[-1]) + (len(new) > len(word)), _END_WORD, np.uint8)
-        raw[_spread(at[:-1], size)] = words.bytes[_spread(words.start[first[word]], size)]
-        if len(new) > len(word):
-            raw[-1] = _END_TEXT
-            at = np.r_[at, at[-1] + 1]
-        x, fixed, each = self.spelling(raw, at)
-        begin = np.cumsum(each) - each
-        place = np.full(len(distinct) + 1, -1)
-        place[new] = np.arange(len(new))
-        # adaptive pass, block by block of every text at once
-        left = np.maximum(self.per_class - DISCOUNT * self.types, 1e-9)
-        drawn = np.concatenate([np.maximum(by_class - DISCOUNT, 0) / left, np.zeros((len(by_class), 1))], 1)
-        novel = DISCOUNT * self.types.sum() + 1
-        weight = np.tile(PRIOR * np.r_[left, novel] / max(1.0, left.sum() + novel) + 0.01, (n, 1))
-        offset, trust = np.zeros((n, len(CONTEXTS)), np.float32), np.tile(TRUST, (n, 1, 1))
-        score, done, block = np.zeros(n), np.zeros(n, np.int64), FIRST_BLOCK
+        raw = np.full(int(at[-1]) + 1, _END_WORD, np.uint8)
+        raw[_spread(at[:-1], size)] = words.bytes[_spread(words.start[first], size)]
+        raw[-1] = _END_TEXT
+        at = np.r_[at, at[-1] + 1]
+        d = Decisions(raw, at, code, self.bits)
+        each, bit, begin = d.each, d.bit, np.cumsum(d.each) - d.each
+        inside = self.opinions(d, kind)
+        del d
+        lead = code.size[raw[at[:-1]]]  # decisions of a token's first byte
+        place, _, border_each = border_slots(*borders(words), code)
+        border = _ODDS[self.border[place]] * np.float32(BORDER_WEIGHT)
+        border_at = np.cumsum(border_each) - border_each
+        scale, trust = np.ones((LAYER, n), np.float32), np.tile(TRUST, (n, 1, 1))
+        score, done, block = np.full(n, -np.log10(max(1, int((self.per_class > 0).sum())))), np.zeros(n, np.int64), FIRST_BLOCK
         live = np.arange(n)
         while len(live):
             m = np.minimum(block, words.count[live] + 1 - done[live])
-            where = _spread(starts[live] + done[live], m)
-            t = token[where]
-            cut = np.r_[0, np.cumsum(m)[:-1]]
-            text = np.repeat(np.arange(len(live)), m)
-            parts = drawn[t]
-            fresh, log_spelled = np.flatnonzero(place[t] >= 0), np.zeros(len(t))
-            if len(fresh):
-                spell = place[t[fresh]]
-                rows, per = _spread(begin[spell], each[spell]), each[spell]
-                whose = np.repeat(text[fresh], per)
-                xs = x[rows]
-                p = 1 / (1 + np.exp(-np.clip(fixed[rows] + np.einsum("nk,nk->n", xs, offset[live[whose]]), -30, 30)))
-                # kept apart as a logarithm, since long words fall below the smallest number; nothing else draws them
-                log_spelled[fresh] = np.add.reduceat(np.log(p), np.cumsum(per) - per, dtype=np.float64)
-                parts[fresh, -1] = 1
-            parts *= (weight[live] / weight[live].sum(1, keepdims=True))[text]
-            plain = parts.sum(1)
-            parts /= plain[:, None]
-            if before is None:
-                whole, rest = plain, np.ones(len(t))
-            else:
-                share, evidence = before[0][where], before[1][where]
-                q = 1 / (1 + np.exp(-np.clip(np.einsum("nkf,nkf->nk", evidence, trust[live][text]), -12, 12)))
-                q *= evidence[:, :, 0]  # a context that never occurred is not trusted
-                two, one = q[:, 0] * share[:, 0], (1 - q[:, 0]) * q[:, 1] * share[:, 1]
-                whole = two + one + (1 - q[:, 0]) * (1 - q[:, 1]) * plain
-                two, one = two / whole, one / whole
-                rest = 1 - two - one
-                slope = np.stack([two - q[:, 0], one - q[:, 1] * (1 - two)], 1)
-                step = np.add.reduceat(slope[:, :, None] * evidence, cut, axis=0)
-                trust[live] = np.clip(trust[live] + TRUST_RATE * step, -8, 8)
-            score[live] += np.add.reduceat(np.log10(whole) + log_spelled / np.log(10), cut)
-            # refinement: what explained the block's tokens weighs more in the next one, spelled tokens pull their weights
-            parts *= rest[:, None]
-            weight[live] += np.add.reduceat(parts, cut, axis=0)
-            if len(fresh):
-                pull = ((1 - p) * np.repeat(parts[fresh, -1], per))[:, None] * xs
-                edge = np.flatnonzero(np.r_[True, whose[1:] != whose[:-1]])
-                moved = live[whose[edge]]
-                bits = np.diff(np.r_[edge, len(whose)])
-                offset[moved] = np.clip(offset[moved] + RATE * np.add.reduceat(pull, edge, axis=0) / np.sqrt(bits)[:, None], -0.5, 0.5)
+            for s, e in _pieces(m, 8192):
+                own, size = live[s:e], m[s:e]
+                where = _spread(starts[own] + done[own], size)
+                t = token[where]
+                per = each[t]
+                rows = _spread(begin[t], per)
+                head = np.cumsum(per) - per
+                cut = np.r_[0, np.cumsum(size)[:-1]]
+                edge = head[cut]
+                bits = np.diff(np.r_[edge, len(rows)])
+                # second layer: the text's own weights on the groups' opinions; the border speaks on a token's first byte
+                x = np.zeros((LAYER, len(rows)), np.float32)
+                for g in range(LAYER - 1):
+                    np.take(inside[g], rows, out=x[g], mode="clip")
+                lane, slot = _spread(head, lead[t]), _spread(border_at[where], lead[t])
+                x[-1, lane] = np.where(bit[rows[lane]], border[slot], -border[slot])
+                logit = np.zeros(len(rows), np.float32)
+                for g in range(LAYER):
+                    logit += x[g] * np.repeat(scale[g, own], bits)
+                miss = np.exp(np.clip(logit, -30, 30))
+                miss += 1
+                log_spelled = np.add.reduceat(np.log1p(-1 / miss), head, dtype=np.float64)
+                np.divide(1, miss, out=miss)  # one minus the probability of the bit that came
+                if before is None:
+                    log_whole, rest = log_spelled, np.ones(len(t))
+                else:
+                    log_whole, rest = _followed(before[0][where], before[1][where], log_spelled, np.repeat(np.arange(len(own)), size), cut, trust, own)
+                score[own] += np.add.reduceat(log_whole, cut) / np.log(10)
+                # refinement: the spelled tokens of the block pull the weights
+                miss *= np.repeat(rest.astype(np.float32), per)
+                for g in range(LAYER):
+                    pull = np.add.reduceat(x[g] * miss, edge) / np.sqrt(bits)
+                    scale[g, own] = np.clip(scale[g, own] + RATE * pull, 0.2, 2.5)
             done[live] += m
             live = live[done[live] <= words.count[live]]
             block = min(2 * block, LAST_BLOCK)
         return score, base_score, known
 
 
-def _pack(words: list[bytes], counts: np.ndarray) -> bytes:
+def _followed(share: np.ndarray, evidence: np.ndarray, log_spelled: np.ndarray, text: np.ndarray, cut: np.ndarray, trust: np.ndarray, own: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(log probability, share of the spelling in it) of a block's tokens that may follow the words before; moves ``trust``."""
+    q = 1 / (1 + np.exp(-np.clip(np.einsum("nkf,nkf->nk", evidence, trust[own][text]), -12, 12)))
+    q *= evidence[:, :, 0]  # a context that never occurred is not trusted
+    two, one = q[:, 0] * share[:, 0], (1 - q[:, 0]) * q[:, 1] * share[:, 1]
+    left = np.log((1 - q[:, 0]) * (1 - q[:, 1])) + log_spelled
+    with np.errstate(divide="ignore"):
+        log_whole = np.logaddexp(left, np.log(two + one))
+    two, one = two * np.exp(-log_whole), one * np.exp(-log_whole)
+    slope = np.stack([two - q[:, 0], one - q[:, 1] * (1 - two)], 1)
+    step = np.add.reduceat(slope[:, :, None] * evidence, cut, axis=0)
+    trust[own] = np.clip(trust[own] + TRUST_RATE * step, -8, 8)
+    return log_whole, np.exp(left - log_whole)
+
+
+def _slope(v: np.ndarray, n: np.ndarray, w: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Gradient and curvature of the log probability of weighted decisions."""
+    p = 1 / (1 + np.exp(-np.clip(v @ w, -30, 30)))
+    return ((1 - p) * n) @ v, (v * (n * p * (1 - p))[:, None]).T @ v
+
+
+def _pieces(m: np.ndarray, most: int) -> Iterator[tuple[int, int]]:
+    """Runs of texts whose blocks hold about ``most`` tokens."""
+    total, s = np.cumsum(m), 0
+    while s < len(m):
+        e = max(s + 1, int(np.searchsorted(total, (total[s - 1] if s else 0) + most, "right")))
+        yield s, e
+        s = e
+
+
+def _joined_words(words: list[bytes], counts: np.ndarray) -> bytes:
     return zlib.compress(counts.astype("<u4").T.tobytes() + b"\n".join(words), 1)
 
 
-def _unpack(blob: bytes, n: int, classes: int) -> tuple[list[bytes], np.ndarray]:
+def _split_words(blob: bytes, n: int, classes: int) -> tuple[list[bytes], np.ndarray]:
     """(words, counts (words, classes))"""
     raw = zlib.decompress(blob)
     cut = 4 * n * classes
@@ -353,67 +432,91 @@ def _word_hash(words: list[bytes]) -> np.ndarray:
     """The kernel's hash of whole words."""
     if not words:
         return np.zeros(0, U)
-    raw = np.frombuffer(b"".join(words), np.uint8)
-    at = np.r_[0, np.cumsum([len(w) for w in words])]
-    blank = np.zeros(256, bool)
-    return Words((raw, at), blanks=blank).hash
+    return Words(_joined(words), blanks=np.zeros(256, bool)).hash
+
+
+def _planes(x: np.ndarray) -> bytes:
+    """Whole numbers byte plane by byte plane, in as many bytes as the largest needs (said in front)."""
+    size = next(s for s in (1, 2, 4, 8) if not len(x) or int(x.max()) < 1 << 8 * s)
+    return bytes([size]) + zlib.compress(np.ascontiguousarray(x.astype(f"<u{size}").view(np.uint8).reshape(-1, size).T).tobytes(), 1)
 
 
-def _pack_grams(h: np.ndarray, n: np.ndarray) -> bytes:
-    """Ascending hashes of word sequences, 40 bits of each (their shard is known beside them), and training counts."""
-    steps = np.diff(h >> U(23), prepend=U(0))
-    return zlib.compress(steps.astype("<u8").view(np.uint8).reshape(-1, 8).T.tobytes() + n.astype("<u4").view(np.uint8).reshape(-1, 4).T.tobytes(), 1)
+def _numbers(blob: bytes) -> np.ndarray:
+    size = blob[0]
+    raw = np.frombuffer(zlib.decompress(blob[1:]), np.uint8).reshape(size, -1).T
+    return np.ascontiguousarray(raw).view(f"<u{size}").ravel().astype(np.int64)
+
+
+def _pack_grams(h: np.ndarray, n: np.ndarray, shards: int) -> bytes:
+    """Ascending hashes of word sequences of one shard (all the same modulo ``shards``), and training counts."""
+    first = _planes(np.diff((h // U(shards)).astype(np.int64), prepend=0))
+    return len(first).to_bytes(4, "little") + first + _planes(n)
 
 
 def _unpack_grams(blob: bytes) -> tuple[np.ndarray, np.ndarray]:
-    raw = np.frombuffer(zlib.decompress(blob), np.uint8).reshape(12, -1).T
-    return np.cumsum(np.ascontiguousarray(raw[:, :8]).view("<u8").ravel(), dtype=U), np.ascontiguousarray(raw[:, 8:]).view("<u4").ravel().astype(np.int64)
+    """(hashes divided by the number of shards, counts)"""
+    cut = 4 + int.from_bytes(blob[:4], "little")
+    return np.cumsum(_numbers(blob[4:cut])), _numbers(blob[cut:])
+
+
+def gram_bits(size: int) -> int:
+    """Bits of a word sequence's hash: 64 values for each sequence that texts of ``size`` bytes can hold."""
+    return min(63, max(24, int(size).bit_length() + 5))
 
 
 _ASK = "shard int, grp long, n int, words binary, grams binary"
 
 
-def _asks(shards: int, classes: int):
-    """Per group and word shard: the group's distinct words in hash order, with their training counts."""
+def _asks(shards: int, classes: int, keep: int):
+    """Per group and word shard: the group's distinct words in hash order and its word sequences, with their training counts."""
     schema = pa.schema([("shard", pa.int32()), ("grp", pa.int64()), ("n", pa.int32()), ("words", pa.binary()), ("grams", pa.binary())])
 
     def work(table: pa.Table) -> pa.Table:
-        held: dict[bytes, int] = {}
-        counts = np.zeros((1 << 16, classes), np.int64)
         grp = table.column("grp")[0].as_py()
-        sequences, trains = [], []
+        seen, spans, text = np.zeros(0, U), [], []  # distinct hashes so far; bytes of the words new in every chunk
+        hashes, kinds, sequences, trains = [], [], [], []
         for batch in table.combine_chunks().to_batches():
             for part in chunks(batch):
                 words = Words(part.column(part.schema.get_field_index("text")))
                 kind = part.column(part.schema.get_field_index("kind")).to_numpy(zero_copy_only=False)
                 owner, _, pair, triple = grams(words)
-                sequences += [pair, triple]
+                sequences += [pair >> U(63 - keep), triple >> U(63 - keep)]
                 trains += [kind[owner] >= 0] * 2
-                if not len(words.hash):
-                    continue
-                kind = kind[words.owner]
-                _, first, inverse = np.unique(words.hash, return_index=True, return_inverse=True)
-                learn = kind >= 0
-                n = np.bincount(inverse[learn] * classes + kind[learn], minlength=len(first) * classes).reshape(-1, classes)
-                data = words.bytes.tobytes()
-                at = np.fromiter((held.setdefault(data[s:e], len(held)) for s, e in zip(words.start[first].tolist(), words.end[first].tolist())), np.int64, len(first))
-                if len(held) > len(counts):
-                    counts = np.concatenate([counts, np.zeros((max(len(counts), len(held) - len(counts)), classes), np.int64)])
-                counts[at] += n
+                own, first, inverse = np.unique(words.hash, return_index=True, return_inverse=True)
+                learn = kind[words.owner] >= 0
+                hashes.append(own)
+                kinds.append(np.bincount(inverse[learn] * classes + kind[words.owner][learn], minlength=len(own) * classes).reshape(-1, classes))
+                at = np.searchsorted(seen, own)
+                new = np.ones(len(own), bool)
+                new[at < len(seen)] = seen[at[at < len(seen)]] != own[at < len(seen)]
+                size = (words.end - words.start)[first[new]]
+                spans.append((own[new], size))
+                text.append(words.bytes[_spread(words.start[first[new]], size)])
+                seen = np.insert(seen, at[new], own[new])
+        # training counts of the distinct words, in hash order
+        place = np.searchsorted(seen, np.concatenate(hashes))
+        every = np.concatenate(kinds)
+        counts = np.stack([np.bincount(place, every[:, c], len(seen)) for c in range(classes)], 1).astype(np.int64)
+        raw = np.concatenate(text).tobytes()
+        size = np.concatenate([s for _, s in spans])
+        end = np.cumsum(size)
+        order = np.argsort(np.concatenate([h for h, _ in spans]))
+        begin, end = (end - size)[order].tolist(), end[order].tolist()
+        shard = (seen % U(shards)).astype(np.int64)
         flagged = np.sort(np.concatenate(sequences) << U(1) | np.concatenate(trains).astype(U))
+        del sequences[:], trains[:], hashes[:], kinds[:], place, every
         every = flagged >> U(1)
         new = np.flatnonzero(np.r_[True, every[1:] != every[:-1]])
         every, trained = every[new], np.add.reduceat((flagged & U(1)).astype(np.int64), new)
-        del flagged, sequences[:], trains[:]
-        names = list(held)
-        h = _word_hash(names)
-        order = np.argsort(h)
-        shard = (h % U(shards)).astype(np.int64)[order]
+        del flagged
         gram_shard = (every % U(shards)).astype(np.int64)
+        by_word, by_gram = np.argsort(shard, kind="stable"), np.argsort(gram_shard, kind="stable")
+        word_cut, gram_cut = (np.searchsorted(s[o], np.arange(shards + 1)) for s, o in ((shard, by_word), (gram_shard, by_gram)))
         rows = []
-        for s in np.union1d(shard, gram_shard).tolist():
-            own, mine = order[shard == s], gram_shard == s
-            rows.append((s, grp, len(own), _pack([names[i] for i in own], counts[own]), _pack_grams(every[mine], trained[mine])))
+        for s in range(shards):
+            own, mine = by_word[word_cut[s] : word_cut[s + 1]], by_gram[gram_cut[s] : gram_cut[s + 1]]
+            if len(own) or len(mine):
+                rows.append((s, grp, len(own), _joined_words([raw[begin[i] : end[i]] for i in own.tolist()], counts[own]), _pack_grams(every[mine], trained[mine], shards)))
         return pa.Table.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*rows), schema)], schema=schema)
 
     return work
@@ -425,95 +528,145 @@ _TOLD_SCHEMA = pa.schema([("kind", pa.string()), ("a", pa.int64()), ("b", pa.int
 
 
 def _tell(classes: int):
-    """A word shard: global counts, answers to every group, totals and its training words."""
+    """A word shard: answers to every group, totals, and its training words with their counts."""
 
     def work(table: pa.Table) -> pa.Table:
         shard = table.column("shard")[0].as_py()
-        hashes, counts, names = [], [], {}
+        hashes, counts, names = [], [], []
         sizes = table.column("n").to_pylist()
         groups = table.column("grp").to_pylist()
-        for blob, n in zip(table.column("words"), sizes):
-            words, c = _unpack(blob.as_buffer().to_pybytes(), n, classes)
-            h = _word_hash(words)
-            hashes.append(h)
+        for blob, n in zip((b for c in table.column("words").chunks for b in c), sizes):
+            words, c = _split_words(blob.as_buffer().to_pybytes(), n, classes)
+            hashes.append(_word_hash(words))
             counts.append(c)
-            for k in np.flatnonzero(c.any(1)).tolist():
-                names.setdefault(int(h[k]), words[k])
-        distinct, inverse = np.unique(np.concatenate(hashes), return_inverse=True)
+            names += words
+        distinct, first, inverse = np.unique(np.concatenate(hashes), return_index=True, return_inverse=True)
         every = np.concatenate(counts)
         total = np.stack([np.bincount(inverse, every[:, k], len(distinct)) for k in range(classes)], 1).astype(np.int64)
         rows, at = [], 0
         for g, n in zip(groups, sizes):
-            rows.append(("answer", g, shard, zlib.compress(total[inverse[at : at + n]].T.astype("<u8").tobytes(), 1), None, None))
+            rows.append(("answer", g, shard, _planes(total[inverse[at : at + n]].T.ravel()), None, None))
             at += n
-        del hashes, counts, every, inverse
-        # word sequences: the same for hashes
-        asked = [_unpack_grams(blob.as_buffer().to_pybytes()) for blob in table.column("grams")]
-        if asked:
-            _, inverse = np.unique(np.concatenate([h for h, _ in asked]), return_inverse=True)
-            often = np.bincount(inverse, np.concatenate([n for _, n in asked])).astype(np.int64)
-            at = 0
-            for g, (h, _) in zip(groups, asked):
-                rows.append(("grams", g, shard, zlib.compress(often[inverse[at : at + len(h)]].astype("<u4").view(np.uint8).reshape(-1, 4).T.tobytes(), 1), None, None))
-                at += len(h)
-            del asked, inverse, often
         seen = total.any(1)
         # class -1: words of any class
         rows.append(("total", -1, shard, None, int(total.sum()), int(seen.sum())))
         rows += [("total", k, shard, None, int(total[:, k].sum()), int((total[:, k] > 0).sum())) for k in range(classes)]
-        trained = [names[h] for h in distinct[seen].tolist()]
-        rows += [("words", 0, shard, zlib.compress(b"\n".join(trained[s : s + PIECE]), 1), None, None) for s in range(0, len(trained), PIECE)]
+        trained, often = [names[i] for i in first[seen].tolist()], total[seen]
+        rows += [("words", len(trained[s : s + PIECE]), shard, _joined_words(trained[s : s + PIECE], often[s : s + PIECE]), None, None) for s in range(0, len(trained), PIECE)]
+        del hashes, counts, names, every, inverse, trained, often
+        # word sequences: the same for hashes
+        asked = [_unpack_grams(blob.as_buffer().to_pybytes()) for c in table.column("grams").chunks for blob in c]
+        _, inverse = np.unique(np.concatenate([h for h, _ in asked]), return_inverse=True)
+        often = np.bincount(inverse, np.concatenate([n for _, n in asked])).astype(np.int64)
+        at = 0
+        for g, (h, _) in zip(groups, asked):
+            rows.append(("grams", g, shard, _planes(often[inverse[at : at + len(h)]]), None, None))
+            at += len(h)
         return pa.Table.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*rows), _TOLD_SCHEMA)], schema=_TOLD_SCHEMA)
 
     return work
 
 
-def _spelled_words(batches: Iterator[pa.RecordBatch]) -> Iterator[list[bytes]]:
+def _trained(batches: Iterator[pa.RecordBatch], classes: int) -> Iterator[tuple[list[bytes], np.ndarray]]:
+    """(words as they are spelled, counts (words, classes)) of (n, blob) rows."""
     for batch in batches:
-        for blob in batch.column(0):
-            yield [w + b" " for w in zlib.decompress(blob.as_buffer().to_pybytes()).split(b"\n")]
+        for n, blob in zip(batch.column(0).to_pylist(), batch.column(1)):
+            words, counts = _split_words(blob.as_buffer().to_pybytes(), n, classes)
+            yield [w + b" " for w in words], counts
 
 
-def _bit_counts(code: ByteCode, bits: int):
-    """Bit counts of training words, each distinct one once: spelling serves words that are new."""
-    width = (len(CONTEXTS) * 2 << bits) // SLICES
+_SUMS = "part int, branch int, blob binary"
+_SUMS_SCHEMA = pa.schema([("part", pa.int32()), ("branch", pa.int32()), ("blob", pa.binary())])
+
+
+def _sliced(cells: np.ndarray, slices: int) -> pa.RecordBatch:
+    """The cells that are not zero, in slices; every FAN_IN tasks share a branch of the tree that adds them up."""
+    from pyspark import TaskContext
+
+    width, blobs = len(cells) // slices, []
+    for part in range(slices):
+        mine = cells[part * width : (part + 1) * width]
+        at = np.flatnonzero(mine)
+        first = _planes(np.diff(at, prepend=0))
+        blobs.append(len(first).to_bytes(4, "little") + first + _planes(mine[at]))
+    branch = TaskContext.get().partitionId() // FAN_IN
+    return pa.RecordBatch.from_arrays([pa.array(range(slices), pa.int32()), pa.array([branch] * slices, pa.int32()), pa.array(blobs, pa.binary())], schema=_SUMS_SCHEMA)
+
+
+def _added(width: int, last: bool):
+    """Adds up slices of ``width`` cells; at ``last``, states of the cells in pairs."""
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for spelled in _spelled_words(batches):
-            slots, bit, _ = decisions(*_joined(spelled), code, bits)
-            cell, n = np.unique((slots + (np.arange(len(CONTEXTS), dtype=np.int64) << bits)) * 2 + bit[:, None], return_counts=True)
-            edge = np.searchsorted(cell, np.arange(SLICES + 1) * width)
-            for part in np.flatnonzero(np.diff(edge)).tolist():
-                mine = slice(edge[part], edge[part + 1])
-                blob = zlib.compress(np.diff(cell[mine] - part * width, prepend=0).astype("<u4").tobytes() + n[mine].astype("<u4").tobytes(), 1)
-                yield pa.RecordBatch.from_arrays([pa.array([part], pa.int64()), pa.array([edge[part + 1] - edge[part]], pa.int64()), pa.array([blob], pa.binary())], names=["a", "b", "blob"])
+        held: dict[tuple[int, int], np.ndarray] = {}
+        for batch in batches:
+            for part, branch, blob in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2).to_pylist()):
+                at, n = _unpack_grams(blob)
+                total = held.setdefault((part, 0 if last else branch), np.zeros(width, np.int64))
+                total[at] += n
+        for (part, branch), total in held.items():
+            if last:
+                blob = zlib.compress(levels(total.reshape(-1, 2).T).tobytes(), 1)
+            else:
+                at = np.flatnonzero(total)
+                first = _planes(np.diff(at, prepend=0))
+                blob = len(first).to_bytes(4, "little") + first + _planes(total[at])
+            yield pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([branch // FAN_IN], pa.int32()), pa.array([blob], pa.binary())], schema=_SUMS_SCHEMA)
+
+    return work
+
+
+def _summed(counted: DataFrame, cells: int, slices: int, tasks: int) -> np.ndarray:
+    """States of pairs of cells from sliced counts of ``tasks`` tasks, added up in a tree whose nodes read FAN_IN rows or fewer."""
+    width = cells // slices
+    while tasks > FAN_IN:
+        tasks = -(-tasks // FAN_IN)
+        counted = counted.repartition(slices * min(tasks, 8), "part", "branch").mapInArrow(_added(width, False), _SUMS)
+    out = np.zeros(cells // 2, np.uint16)
+    for r in counted.repartition(slices, "part").mapInArrow(_added(width, True), _SUMS).toLocalIterator():
+        out[r.part * width // 2 : (r.part + 1) * width // 2] = np.frombuffer(zlib.decompress(r.blob), np.uint16)
+    return out
+
+
+def _bit_counts(code: ByteCode, bits: int, classes: int):
+    """Branches taken when the training words are spelled, every occurrence counted: one table a task, whatever arrives."""
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        cells = np.zeros(INSIDE * 2 << bits, np.uint32)
+        for spelled, counts in _trained(batches, classes):
+            d = Decisions(*_joined(spelled), code, bits)
+            often = np.repeat(counts.sum(1), d.each).astype(np.uint32)
+            for k in range(INSIDE - 1):
+                np.add.at(cells, (k * 2 << bits) + 2 * d.slots[k].astype(np.int64) + d.bit, often)
+            for c in range(classes):
+                mine = np.flatnonzero(np.repeat(counts[:, c], d.each))
+                at = d.in_class(c, mine).astype(np.int64)
+                np.add.at(cells, ((INSIDE - 1) * 2 << bits) + 2 * at + d.bit[mine], np.repeat(counts[:, c], d.each)[mine].astype(np.uint32))
+        if cells.any():
+            yield _sliced(cells, SLICES)
 
     return work
 
 
-def _tables(bits: int):
-    """Adds up bit counts slice by slice: one array per slice, whatever arrives."""
-    width = (len(CONTEXTS) * 2 << bits) // SLICES
+def _border_counts(code: ByteCode):
+    """Branches taken by first bytes of training tokens after the end of the word before."""
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: dict[int, np.ndarray] = {}
+        cells = np.zeros(2 << BORDER_BITS, np.int64)
         for batch in batches:
-            for part, n, blob in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2).to_pylist()):
-                raw = np.frombuffer(zlib.decompress(blob), "<u4")
-                held.setdefault(part, np.zeros(width, np.uint32))
-                held[part][np.cumsum(raw[:n], dtype=np.int64)] += raw[n:]
-        for part, total in held.items():
-            yield pa.RecordBatch.from_arrays([pa.array([part], pa.int64()), pa.array([zlib.compress(np.minimum(total, 65535).astype("<u2").tobytes(), 1)], pa.binary())], names=["part", "blob"])
+            for part in chunks(batch):
+                slots, bit, _ = border_slots(*borders(Words(part.column(0), hashes=False)), code)
+                cells += np.bincount(2 * slots + bit, minlength=len(cells))
+        if cells.any():
+            yield _sliced(cells, 8)
 
     return work
 
 
-def _learned(shared):
+def _learned(shared, classes: int):
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        k = len(CONTEXTS)
-        total = np.zeros((k + 1) * k * (k + 1))
-        for spelled in _spelled_words(batches):
-            total += np.concatenate([part.ravel() for part in shared.value.learned(spelled)])
+        total = np.zeros(GATES * INSIDE * (INSIDE + 1))
+        for spelled, counts in _trained(batches, classes):
+            total += np.concatenate([part.ravel() for part in shared.value.learned(spelled, counts)])
         yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(total)), pa.int32()), pa.array(total)], names=["at", "sum"])
 
     return work
@@ -521,49 +674,58 @@ def _learned(shared):
 
 _SCORED = "doc_id long, n_tokens long, n_known long, base_score double, score double, n_bytes long"
 _SCORED_SCHEMA = pa.schema([("doc_id", pa.int64()), ("n_tokens", pa.int64()), ("n_known", pa.int64()), ("base_score", pa.float64()), ("score", pa.float64()), ("n_bytes", pa.int64())])
+#: text bytes scored at once
+SCORED_BYTES = 1 << 21
 
 
-def _scores(shared, shards: int):
+def _scores(shared, shards: int, keep: int):
     def work(docs: pa.Table, answers: pa.Table) -> pa.Table:
         learnt, weights, ends = shared.value
         model = learnt.value
         model.weights = weights
         if not docs.num_rows:
             return _SCORED_SCHEMA.empty_table()
-        kinds, of, blobs = (answers.column(c).to_pylist() for c in ("kind", "b", "blob"))
-        told = {s: np.frombuffer(zlib.decompress(b), "<u8").astype(np.int64).reshape(len(ends), -1).T for k, s, b in zip(kinds, of, blobs) if k == "answer"}
-        often = {s: np.ascontiguousarray(np.frombuffer(zlib.decompress(b), np.uint8).reshape(4, -1).T).view("<u4").ravel() for k, s, b in zip(kinds, of, blobs) if k == "grams"}
+        told, often = {}, {}
+        for kind, s, blob in zip(*(answers.column(c).to_pylist() for c in ("kind", "b", "blob"))):
+            (told if kind == "answer" else often)[s] = blob
+        docs = docs.combine_chunks()
         # the group's words again, in the order they were asked in
-        parts = [p for b in docs.combine_chunks().to_batches() for p in chunks(b, limit=2 << 20)]
-        at = docs.schema.get_field_index("text")
-        hashes, sequences = [], []
+        hashes, owners, sequences = [], [], []
+        parts = [p for b in docs.to_batches() for p in chunks(b)]
         for p in parts:
-            words = Words(p.column(at))
-            hashes.append(np.unique(words.hash))
-            sequences.append(np.unique(np.concatenate(grams(words)[2:])))
+            words = Words(p.column(p.schema.get_field_index("text")))
+            hashes.append(words.hash)
+            owners.append(words.owner)
+            sequences.append(np.unique(np.concatenate(grams(words)[2:]) >> U(63 - keep)))
         every, sequences = np.unique(np.concatenate(hashes)), np.unique(np.concatenate(sequences))
         counts = np.zeros((len(every) + 1, len(ends)), np.int64)
         counts[-1] = ends
         shard = (every % U(shards)).astype(np.int64)
-        for s in np.unique(shard).tolist():
-            counts[np.flatnonzero(shard == s)] = told[s]
+        for s, blob in told.items():
+            mine = np.flatnonzero(shard == s)
+            counts[mine] = _numbers(blob).reshape(len(ends), -1).T
         found = np.zeros(len(sequences), np.int64)
         shard = (sequences % U(shards)).astype(np.int64)
-        for s in np.unique(shard).tolist():
-            found[shard == s] = often[s]
+        for s, blob in often.items():
+            found[shard == s] = _numbers(blob)
+        # texts of one class are scored together
+        kind = np.concatenate([model.classes(o, p.num_rows, counts[np.searchsorted(every, h)]) for h, o, p in zip(hashes, owners, parts)])
+        del hashes, owners, parts, shard, told, often
         out = []
-        for p in parts:
-            words = Words(p.column(at))
-            count = np.concatenate([counts[np.searchsorted(every, words.hash)], ends[None, :]])
-            _, _, pair, triple = grams(words)
-            inside = np.ones(len(pair), bool)
-            inside[np.cumsum(words.count + 1) - 1] = False
-            single = np.full(len(pair), int(ends.sum()))
-            single[inside] = count[:-1].sum(1)
-            train = p.column(p.schema.get_field_index("train")).to_numpy(zero_copy_only=False)
-            pair, triple = (found[np.searchsorted(sequences, h)] for h in (pair, triple))
-            score, base, known = model.score(words, count, contexts(words, single, pair, triple, int(ends.sum()), train))
-            out.append(pa.RecordBatch.from_arrays([p.column(p.schema.get_field_index("doc_id")), pa.array(words.count + 1), pa.array(known), pa.array(base), pa.array(score), pa.array(np.diff(words.offsets))], schema=_SCORED_SCHEMA))
+        for c in np.unique(kind).tolist():
+            for b in docs.take(pa.array(np.flatnonzero(kind == c))).combine_chunks().to_batches():
+                for p in chunks(b, limit=SCORED_BYTES):
+                    words = Words(p.column(p.schema.get_field_index("text")))
+                    count = np.concatenate([counts[np.searchsorted(every, words.hash)], ends[None, :]])
+                    pair, triple = (h >> U(63 - keep) for h in grams(words)[2:])
+                    inside = np.ones(len(pair), bool)
+                    inside[np.cumsum(words.count + 1) - 1] = False
+                    single = np.full(len(pair), int(ends.sum()))
+                    single[inside] = count[:-1].sum(1)
+                    train = p.column(p.schema.get_field_index("train")).to_numpy(zero_copy_only=False)
+                    pair, triple = (found[np.searchsorted(sequences, h)] for h in (pair, triple))
+                    score, base, known = model.score(words, count, c, contexts(words, single, pair, triple, int(ends.sum()), train))
+                    out.append(pa.RecordBatch.from_arrays([p.column(p.schema.get_field_index("doc_id")), pa.array(words.count + 1), pa.array(known), pa.array(base), pa.array(score), pa.array(np.diff(words.offsets))], schema=_SCORED_SCHEMA))
         return pa.Table.from_batches(out)
 
     return work
@@ -593,61 +755,62 @@ def score_documents(documents: DataFrame, folds: int = 7, held: int = 2) -> Data
     for k, name in enumerate(names):
         kind = F.when(F.col("lang") == name, k).otherwise(kind)
     docs = docs.select("doc_id", "text", "train", F.when(F.col("train"), kind).otherwise(-1).cast("int").alias("kind"))
-    size = docs.agg(F.sum(F.octet_length("text"))).first()[0]
-    ends = np.zeros(classes, np.int64)
-    for r in docs.where("train").groupBy("kind").agg(F.count("*").alias("n")).collect():
-        ends[r.kind] = r.n
-    groups = max(8, int(size or 0) // GROUP_BYTES)
-    shards = max(8, groups // 2)
+    ends, size = np.zeros(classes, np.int64), 0
+    for r in docs.groupBy("kind").agg(F.count("*").alias("n"), F.sum(F.octet_length("text")).alias("bytes")).collect():
+        size += r.bytes
+        if r.kind >= 0:
+            ends[r.kind] = r.n
+    groups = max(8, size // GROUP_BYTES)
+    shards, keep = max(8, groups // 2), gram_bits(size)
     docs = docs.withColumn("grp", F.pmod(F.xxhash64("doc_id", F.octet_length("text")), F.lit(groups)))
-    code = ByteCode(_typical_bytes(docs))
-    asks = docs.groupBy("grp").applyInArrow(_asks(shards, classes), _ASK)
+    texts = docs.where("train").select("text")
+    code = ByteCode(_byte_counts(texts))
+    tasks = max(1, size // (32 << 20))
+    border = _summed(texts.mapInArrow(_border_counts(code), _SUMS), 2 << BORDER_BITS, 8, 4 * tasks)
+    asks = docs.groupBy("grp").applyInArrow(_asks(shards, classes, keep), _ASK)
     told = durable(asks.groupBy("shard").applyInArrow(_tell(classes), _TOLD))
     # the asks are answered: their shuffle files leave the disk as soon as nothing refers to them
     del asks
     gc.collect()
     spark.sparkContext._jvm.System.gc()
-    tokens, types, distinct = ends.copy(), (ends > 0).astype(np.int64), int(ends.any())
+    tokens, distinct = ends.copy(), int(ends.any())
     for r in told.where("kind = 'total'").groupBy("a").agg(F.sum("tokens").alias("tokens"), F.sum("types").alias("types")).collect():
         if r.a < 0:
             distinct += r.types
         else:
             tokens[r.a] += r.tokens
-            types[r.a] += r.types
     bits = slot_bits(distinct)
-    trained = told.where("kind = 'words'").select("blob")
-    tables = np.zeros(len(CONTEXTS) * 2 << bits, np.uint16)
-    width = len(tables) // SLICES
-    for r in trained.mapInArrow(_bit_counts(code, bits), "a long, b long, blob binary").repartition(SLICES, "a").mapInArrow(_tables(bits), "part long, blob binary").toLocalIterator():
-        tables[r.part * width : (r.part + 1) * width] = np.frombuffer(zlib.decompress(r.blob), "<u2")
-    tables = np.ascontiguousarray(tables.reshape(len(CONTEXTS), 1 << bits, 2).transpose(2, 0, 1))
-    model = Mixer(code, tables, tokens, types, distinct, [])
+    trained = told.where("kind = 'words'").select("a", "blob")
+    counted = trained.mapInArrow(_bit_counts(code, bits, classes), _SUMS)
+    tables = _summed(counted, INSIDE * 2 << bits, SLICES, shards).reshape(INSIDE, 1 << bits)
+    model = Mixer(code, tables, border, tokens, distinct)
     # gate weights: every training word of every shard pulls them
     learning = spark.sparkContext.broadcast(model)
-    sums = np.zeros((len(CONTEXTS) + 1) * len(CONTEXTS) * (len(CONTEXTS) + 1))
-    for r in trained.mapInArrow(_learned(learning), "at int, sum double").groupBy("at").agg(F.sum("sum").alias("sum")).collect():
+    sums = np.zeros(GATES * INSIDE * (INSIDE + 1))
+    for r in trained.mapInArrow(_learned(learning, classes), "at int, sum double").groupBy("at").agg(F.sum("sum").alias("sum")).collect():
         sums[r.at] = r.sum
-    cut = (len(CONTEXTS) + 1) * len(CONTEXTS)
-    model.settle(sums[:cut].reshape(-1, len(CONTEXTS)), sums[cut:].reshape(-1, len(CONTEXTS), len(CONTEXTS)))
+    cut = GATES * INSIDE
+    model.settle(sums[:cut].reshape(GATES, INSIDE), sums[cut:].reshape(GATES, INSIDE, INSIDE))
     shared = spark.sparkContext.broadcast((learning, model.weights, ends))
     answers = told.where("kind in ('answer', 'grams')").select("kind", F.col("a").alias("grp"), "b", "blob")
-    scored = docs.groupBy("grp").cogroup(answers.groupBy("grp")).applyInArrow(lambda d, a: _scores(shared, shards)(d, a), _SCORED)
+    work = _scores(shared, shards, keep)
+    scored = docs.groupBy("grp").cogroup(answers.groupBy("grp")).applyInArrow(lambda d, a: work(d, a), _SCORED)
     per_byte = F.when(F.col("n_bytes") > 0, -F.col("score") * float(np.log2(10)) / F.col("n_bytes"))
     return scored.select("doc_id", F.coalesce(fold("doc_id", folds) == held, F.lit(False)).alias("held_out"), "n_tokens", "n_known", F.lit(int(tokens.sum())).cast("long").alias("train_tokens"), "base_score", "score", per_byte.alias("bits_per_byte"))
 
 
-def _typical_bytes(docs: DataFrame) -> np.ndarray:
-    """Byte counts of all training texts, lower-cased: 256 numbers, which only shape the code."""
+def _byte_counts(texts: DataFrame) -> np.ndarray:
+    """Counts of the lower-cased bytes of all training texts: 256 numbers, which only shape the code."""
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros(256, np.int64)
         for batch in batches:
             for part in chunks(batch):
-                total += np.bincount(Words(part.column(0), hashes=False).bytes, minlength=256)
+                total += np.bincount(_LOWER[string_buffers(part.column(0))[0]], minlength=256)
         yield pa.RecordBatch.from_arrays([pa.array(np.arange(256), pa.int32()), pa.array(total)], names=["byte", "n"])
 
     out = np.zeros(256, np.int64)
-    for r in docs.where("train").select("text").mapInArrow(count, "byte int, n long").groupBy("byte").agg(F.sum("n").alias("n")).collect():
+    for r in texts.mapInArrow(count, "byte int, n long").groupBy("byte").agg(F.sum("n").alias("n")).collect():
         out[r.byte] = r.n
     out[[10, 9, 13]] = 0
     return out
