@@ -119,14 +119,17 @@ def minimize_df(masks: DataFrame) -> DataFrame:
     return a.join(b, inside, "left_anti")
 
 
-def minimize_partitions(masks: DataFrame) -> DataFrame:
+def minimize_partitions(masks: DataFrame, m: int) -> DataFrame:
     """Partition-local minimisation: shrinks a large mask table before it is gathered."""
     import pandas as pd
 
+    words = words_of(m)
+
     def work(frames):
         held: list[int] = []
         for frame in frames:
-            held = minimal_masks([*held, *frame["mask"].tolist()])
-        yield pd.DataFrame({"mask": pd.Series(held, dtype="int64")})
+            held = minimal_masks([*held, *(join_words(r) for r in frame[words].itertuples(index=False))])
+        rows = [split_words(v, m) for v in held]
+        yield pd.DataFrame({w: pd.Series([r[i] for r in rows], dtype="int64") for i, w in enumerate(words)})
 
-    return masks.select("mask").mapInPandas(work, "mask long")
+    return masks.select(*words).mapInPandas(work, ", ".join(f"{w} long" for w in words))

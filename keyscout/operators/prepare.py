@@ -30,15 +30,26 @@ class Relation:
 
 
 def flatten_structs(df: DataFrame) -> DataFrame:
-    """Struct columns replaced by their fields (named parent_field)."""
+    """Struct columns replaced by their fields, named parent_field (with a number behind where that name is taken).
+
+    A null struct gives null fields.
+    """
     while any(isinstance(f.dataType, T.StructType) for f in df.schema.fields):
+        # by position, since two columns may have one name
+        plain = df.toDF(*[f"_f{i}" for i in range(len(df.columns))])
+        taken = {f.name for f in df.schema.fields if not isinstance(f.dataType, T.StructType)}
         out = []
-        for f in df.schema.fields:
-            if isinstance(f.dataType, T.StructType):
-                out += [F.col(f"`{f.name}`.`{g.name}`").alias(f"{f.name}_{g.name}") for g in f.dataType.fields]
-            else:
-                out.append(F.col(f"`{f.name}`"))
-        df = df.select(*out)
+        for i, f in enumerate(df.schema.fields):
+            if not isinstance(f.dataType, T.StructType):
+                out.append(F.col(f"_f{i}").alias(f.name))
+                continue
+            for k, g in enumerate(f.dataType.fields):
+                name, n = f"{f.name}_{g.name}", 2
+                while name in taken:
+                    name, n = f"{f.name}_{g.name}_{n}", n + 1
+                taken.add(name)
+                out.append(F.col(f"_f{i}").getField(g.name).alias(name))
+        df = plain.select(*out)
     return df
 
 
@@ -90,7 +101,8 @@ def encode_columns(df: DataFrame, mode: str = "native", null_policy: str = "null
     df = flatten_structs(df)
     reject_maps(df)
     names = df.columns
-    columns = [F.col(f"`{c}`") for c in names]
+    df = df.toDF(*[f"_f{i}" for i in range(len(names))])
+    columns = [F.col(c) for c in df.columns]
     if cast_to_string:
         columns = [c.cast("string") for c in columns]
     # negative zero becomes zero, so that value comparisons see what keys see

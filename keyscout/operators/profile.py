@@ -12,6 +12,10 @@ from pyspark.sql import types as T
 from keyscout.operators.prepare import Relation
 
 
+#: characters from which a value is counted by its print
+LONG_VALUE = 64
+
+
 @dataclass(frozen=True)
 class ColumnStats:
     index: int
@@ -27,7 +31,8 @@ def column_stats(df: DataFrame, columns: list[str] | None = None) -> DataFrame:
 
     One pass and one shuffle for all columns: cells become (column, typed value) rows
     that are counted before the exchange.  Whole numbers and doubles keep their types;
-    other types travel as their exact string form.  agree_pairs is a decimal, since a
+    other types travel as their exact string form, forms of more than LONG_VALUE characters
+    as their SHA-256 (which no two values are known to share) behind a mark.  agree_pairs is a decimal, since a
     value with billions of rows overflows a long.
     """
     columns = columns or df.columns
@@ -37,7 +42,9 @@ def column_stats(df: DataFrame, columns: list[str] | None = None) -> DataFrame:
         kind, x = kinds[c], F.col(f"`{c}`")
         whole = isinstance(kind, (T.LongType, T.IntegerType, T.ShortType, T.ByteType, T.BooleanType))
         real = isinstance(kind, (T.DoubleType, T.FloatType))
-        text = F.to_json(x) if isinstance(kind, (T.StructType, T.ArrayType)) else x.cast("string")
+        text = F.to_json(x) if isinstance(kind, (T.StructType, T.ArrayType)) else F.hex(x) if isinstance(kind, T.BinaryType) else x.cast("string")
+        if isinstance(kind, (T.StructType, T.ArrayType, T.BinaryType, T.StringType)):
+            text = F.when(F.length(text) > LONG_VALUE, F.concat(F.lit("h"), F.sha2(text, 256))).otherwise(F.concat(F.lit("t"), text))
         cells.append(F.struct(F.lit(i).alias("col_ix"), (x.cast("long") if whole else F.lit(None).cast("long")).alias("whole"), (x.cast("double") if real else F.lit(None).cast("double")).alias("real"), (F.lit(None).cast("string") if whole or real else text).alias("text")))
     counted = df.select(F.explode(F.array(*cells)).alias("cell")).select("cell.*").groupBy("col_ix", "whole", "real", "text").agg(F.count("*").alias("n"))
     n = F.col("n").cast("decimal(19,0)")
@@ -87,9 +94,3 @@ def covered_mask(stats: list[ColumnStats], budget: int) -> int:
 
 def classify_columns(stats: DataFrame, budget: int) -> DataFrame:
     return stats.withColumn("covered", F.col("agree_pairs") <= F.lit(budget))
-
-
-def approximate_cardinality(df: DataFrame, error: float = 0.05) -> DataFrame:
-    """(col, approx_cardinality) sketches, to screen columns far over the budget before exact counts."""
-    one = df.agg(*[F.approx_count_distinct(f"`{c}`", error).alias(c) for c in df.columns])
-    return one.unpivot([], df.columns, "col", "approx_cardinality")

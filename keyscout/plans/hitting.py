@@ -4,12 +4,12 @@ from __future__ import annotations
 
 import itertools
 from collections import deque
-from collections.abc import Iterator, Sequence
+from collections.abc import Callable, Iterable, Iterator, Sequence
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from keyscout.functions.masks import bits, minimal_masks
+from keyscout.functions.masks import bits, join_words, minimal_delta, minimal_masks, split_words, words_of
 from keyscout.plans.lineage import snapshot
 
 
@@ -21,6 +21,14 @@ class _Edges:
         self.all = (1 << len(self.edges)) - 1
         self.through = [sum(1 << e for e, v in enumerate(self.edges) if v >> c & 1) for c in range(m)]
 
+    def state(self, chosen: int) -> tuple[int, tuple]:
+        """(edges missed, (column, edges only it hits) of every chosen column)"""
+        once, more = 0, 0
+        for c in bits(chosen):
+            more |= once & self.through[c]
+            once |= self.through[c]
+        return self.all & ~once, tuple((c, self.through[c] & ~more) for c in bits(chosen))
+
 
 def _children(space: _Edges, node: tuple, choice: str | None) -> Iterator[tuple]:
     chosen, open_, missed, own = node
@@ -72,47 +80,76 @@ def minimal_hitting_sets(edges: Sequence[int], m: int, edge_choice: str | None =
 
 
 def minimal_hitting_sets_df(spark: SparkSession, edges: Sequence[int], m: int) -> DataFrame:
-    """The same tree level by level as a distributed frontier, for very many results: DF(key_mask)."""
+    """The same tree level by level as a distributed frontier, for very many results.
+
+    DF(key_mask) up to 63 columns; beyond, the words key_mask, key_mask1, ... of 63 columns each.
+    """
     import pandas as pd
 
+    words = range(len(words_of(m)))
+    names = ["key_mask" if w == 0 else f"key_mask{w}" for w in words]
     edges = minimal_masks(edges)
-    if edges and edges[0] == 0:
-        return spark.createDataFrame([], "key_mask long")
+    if not edges or edges[0] == 0:
+        return spark.createDataFrame([] if edges else [split_words(0, m)], ", ".join(f"{n} long" for n in names))
     shared = spark.sparkContext.broadcast(edges)
-    schema = "chosen long, open long, done boolean"
+    schema = ", ".join([*(f"chosen{w} long" for w in words), *(f"open{w} long" for w in words), "done boolean"])
+    columns = [c.split()[0] for c in schema.split(", ")]
 
     def step(frames):
         space = _Edges(shared.value, m)
         for frame in frames:
             rows = []
-            for chosen, open_ in zip(frame["chosen"].tolist(), frame["open"].tolist()):
-                hit = [(c, space.through[c]) for c in bits(chosen)]
-                missed = space.all
-                for _, e in hit:
-                    missed &= ~e
-                own = tuple((c, e & ~sum_or(x for d, x in hit if d != c)) for c, e in hit)
-                rows += [(a, o, not u) for a, o, u, _ in _children(space, (chosen, open_, missed, own), "smallest")]
-            yield pd.DataFrame(rows, columns=["chosen", "open", "done"])
-
-    def sum_or(values) -> int:
-        out = 0
-        for v in values:
-            out |= v
-        return out
-
-    if not edges:
-        return spark.createDataFrame([(0,)], "key_mask long")
-    frontier = spark.createDataFrame([(0, (1 << m) - 1, False)], schema)
+            for row in frame.itertuples(index=False):
+                chosen, open_ = join_words(row[: len(words)]), join_words(row[len(words) : 2 * len(words)])
+                missed, own = space.state(chosen)
+                rows += [(*split_words(a, m), *split_words(o, m), not u) for a, o, u, _ in _children(space, (chosen, open_, missed, own), "smallest")]
+            yield pd.DataFrame(rows, columns=columns)
+
+    frontier = spark.createDataFrame([(*split_words(0, m), *split_words((1 << m) - 1, m), False)], schema)
     found = None
     while True:
-        level = snapshot(frontier.repartition(spark.sparkContext.defaultParallelism, "chosen").mapInPandas(step, schema))
-        done = level.where("done").select(F.col("chosen").alias("key_mask"))
+        level = snapshot(frontier.repartition(spark.sparkContext.defaultParallelism, *columns[: len(words)]).mapInPandas(step, schema))
+        done = level.where("done").select(*[F.col(f"chosen{w}").alias(n) for w, n in zip(words, names)])
         found = done if found is None else found.unionByName(done)
         frontier = level.where("not done")
         if not frontier.limit(1).count():
             return found.distinct()
 
 
+def refined_hitting_sets(edges: Sequence[int], m: int, refine: Callable[[int], Iterable[int]]) -> tuple[list[int], list[int]]:
+    """(sets that ``refine`` has nothing against, final edges), depth first, while edges arrive.
+
+    ``refine`` gives new edges that a found set misses.  The search goes on in place: nodes
+    see the new edges when their turn comes, and nodes left because a column hit nothing
+    of its own are parked, since a new edge may be that column's own.
+    """
+    edges = minimal_masks(edges)
+    space, accepted = _Edges(edges, m), []
+    todo, parked = [(0, (1 << m) - 1)], []
+    while todo and edges[:1] != [0]:
+        chosen, open_ = todo.pop()
+        missed, own = space.state(chosen)
+        if not all(e for _, e in own):
+            parked.append((chosen, open_))
+            continue
+        if not missed:
+            new = list(refine(chosen))
+            if not new:
+                accepted.append(chosen)
+                continue
+            edges = minimal_delta(edges, new)
+            space = _Edges(edges, m)
+            todo += [*parked, (chosen, open_)]
+            parked = []
+            continue
+        branch = min((space.edges[e] & open_ for e in bits(missed)), key=int.bit_count)
+        later = branch
+        for c in bits(branch):
+            later &= ~(1 << c)
+            todo.append((chosen | 1 << c, open_ & ~branch | later))
+    return ([] if edges[:1] == [0] else accepted), edges
+
+
 def is_minimal_hitting_set(mask: int, edges: Sequence[int]) -> bool:
     return all(mask & e for e in edges) and all(any(mask & e == 1 << c for e in edges) for c in bits(mask))
 
