@@ -119,7 +119,7 @@ def minimize_df(masks: DataFrame) -> DataFrame:
     return a.join(b, inside, "left_anti")
 
 
-def minimize_partitions(masks: DataFrame, m: int) -> DataFrame:
+def minimize_partitions(masks: DataFrame, m: int = WORD) -> DataFrame:
     """Partition-local minimisation: shrinks a large mask table before it is gathered."""
     import pandas as pd
 
