@@ -9,12 +9,12 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from keyscout.functions.masks import bits, difference_words, minimal_delta, minimal_masks, words_of
+from keyscout.functions.masks import bits, difference_words, join_words, minimal_delta, minimal_masks, words_of
 from keyscout.operators import evidence, validate
 from keyscout.operators.discover import DiscoveryOptions, DiscoveryResult, Report, discover_keys
 from keyscout.operators.prepare import Relation, encode_columns
 from keyscout.operators.profile import relation_stats
-from keyscout.plans.hitting import minimal_hitting_sets
+from keyscout.plans.hitting import minimal_hitting_sets, refined_hitting_sets
 from keyscout.plans.lineage import snapshot
 
 #: rows that an in-memory baseline may take to the driver
@@ -33,10 +33,10 @@ def discover_keys_exhaustive(df: DataFrame) -> DiscoveryResult:
     if relation.n <= 1:
         return DiscoveryResult(relation.names, [0], [], [], report)
     with report.timed("generate"):
-        rows = evidence.gather(all_pair_masks(relation), relation.m)
-    report |= {"pairs": sum(r[2] for r in rows), "distinct_masks": len(rows)}
+        masks, totals = evidence.gather(all_pair_masks(relation), relation.m)
+    report |= {"pairs": sum(pairs for _, pairs in totals.values()), "distinct_masks": sum(n for n, _ in totals.values())}
     full = (1 << relation.m) - 1
-    edges = minimal_masks(r[1] for r in rows if r[1] != full) or [full]
+    edges = minimal_masks(v for v in masks if v != full) or [full]
     with report.timed("enumerate"):
         keys = minimal_hitting_sets(edges, relation.m)
     return DiscoveryResult(relation.names, keys, edges, [], report)
@@ -112,7 +112,7 @@ def discover_keys_pli(df: DataFrame, sampling_exponent: float = 0.3, seed: int =
     def masks_of(pairs: DataFrame) -> set[int]:
         a, b = relation.rows.alias("a"), relation.rows.alias("b")
         joined = pairs.join(a, F.col("x") == F.col("a.rid")).join(b, F.col("y") == F.col("b.rid"))
-        return {r[0] for r in joined.select(*difference_words("a", "b", relation.columns)).groupBy(*words).count().select(words[0]).collect()}
+        return {join_words(r) for r in joined.select(*difference_words("a", "b", relation.columns)).distinct().select(*words).collect()}
 
     seen: set[int] = set()
     pairs = 0
@@ -125,36 +125,25 @@ def discover_keys_pli(df: DataFrame, sampling_exponent: float = 0.3, seed: int =
             sampled = picked.join(tops, "cluster").select("x", F.when(F.col("x") == F.col("cluster"), F.col("top")).otherwise(F.col("cluster")).alias("y"))
             seen |= masks_of(sampled)
             pairs += want
-    edges = minimal_masks(v for v in seen if v != full) or [full]
-    valid: set[int] = set()
     validations = 0
+
+    def collisions(h: int) -> set[int]:
+        nonlocal pairs, validations
+        validations += 1
+        order = sorted(bits(h), key=lambda i: stats[i].agree_pairs)
+        if any(i not in lists for i in order):
+            return set()  # a column without a repeated value
+        part = lists[order[0]]
+        for i in order[1:]:
+            part = intersect_partitions(part, lists[i])
+        # every row against the least one of its cluster
+        new = masks_of(part.where("rid <> cluster").select(F.col("cluster").alias("x"), F.col("rid").alias("y")))
+        pairs += len(new)
+        return new
+
     with report.timed("validate"):
-        while True:
-            fresh = [h for h in minimal_hitting_sets(edges, m, order="depth") if h not in valid]
-            if not fresh or edges == [0]:
-                break
-            grown = False
-            for h in fresh:
-                if any(not h & e for e in edges):
-                    continue  # refined away by an earlier collision
-                validations += 1
-                order = sorted(bits(h), key=lambda i: stats[i].agree_pairs)
-                if any(i not in lists for i in order):
-                    valid.add(h)
-                    continue
-                part = lists[order[0]]
-                for i in order[1:]:
-                    part = intersect_partitions(part, lists[i])
-                want = part.where("rid <> cluster").select(F.col("cluster").alias("x"), F.col("rid").alias("y")).limit(64)
-                new = {v for v in masks_of(want)}
-                pairs += len(new)
-                if new:
-                    edges, grown = minimal_delta([e for e in edges if e != full], new) or [full], True
-                else:
-                    valid.add(h)
-            if not grown:
-                break
-    keys = [] if edges == [0] else minimal_hitting_sets(edges, m)
+        keys, edges = refined_hitting_sets(minimal_masks(v for v in seen if v != full) or [full], m, collisions)
+    keys.sort(key=lambda k: (k.bit_count(), k))
     report |= {"pairs": pairs, "validations": validations, "list_rows": sum(p.count() for p in lists.values())}
     return DiscoveryResult(relation.names, keys, edges, stats, report)
 
@@ -269,8 +258,8 @@ def discover_keys_hybrid(df: DataFrame, switch_threshold: float = 0.1, seed: int
     accepted: set[int] = set()
     while True:
         with report.timed("generate"):
-            rows = evidence.gather(evidence.sample_pair_masks(relation, evidence.supplement_sample(relation, size, seed)), m)
-            edges = minimal_delta([e for e in edges if e != full], [r[1] for r in rows if r[1] != full]) or [full]
+            masks, _ = evidence.gather(evidence.sample_pair_masks(relation, evidence.supplement_sample(relation, size, seed)), m)
+            edges = minimal_delta([e for e in edges if e != full], [v for v in masks if v != full]) or [full]
         while edges != [0]:
             fresh = [h for h in minimal_hitting_sets(edges, m) if h not in accepted]
             if not fresh:

@@ -25,7 +25,7 @@ class DiscoveryOptions:
     fallback_multiplier: int = 5
     sampling: str | int = "sqrt"
     seed: int = 0
-    max_sample_rows: int = 4096
+    max_sample_rows: int | None = None  # a bound on the uniform sample; the method has none
     null_policy: str = "null_equal"
     encoding: str = "native"
     on_duplicates: str = "no_keys"  # or "error", "dedup"
@@ -139,6 +139,17 @@ def discover_keys(df: DataFrame, options: DiscoveryOptions | None = None, relati
     order = validate.anchor_order(stats, free_columns)
     accepted: dict[int, tuple[str, int]] = {}
     anchors: set[int] = set()
+    tasks = int(relation.rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    clusterings = validate.Clusterings(relation, validate.Spread(stats, n, tasks))
+    try:
+        return _rounds(relation, options, report, stats, graph, free_columns, order, accepted, anchors, clusterings)
+    finally:
+        clusterings.release()
+
+
+def _rounds(relation: Relation, options: DiscoveryOptions, report: Report, stats, graph, free_columns: int, order: list[int], accepted: dict[int, tuple[str, int]], anchors: set[int], clusterings: validate.Clusterings) -> DiscoveryResult:
+    """Enumerates, validates and refines until nothing new appears."""
+    names, m = relation.names, relation.m
     while True:
         if graph.edges and graph.edges[0] == 0:
             if options.on_duplicates == "error":
@@ -156,12 +167,19 @@ def discover_keys(df: DataFrame, options: DiscoveryOptions | None = None, relati
             break
         rejected: dict[int, tuple[int, int]] = {}
         with report.timed("validate"):
-            for anchor, masks in validate.plan_batches(check, order):
-                anchors.add(anchor)
-                report["scans"] += 2 if options.validation == "clustered" else len(masks)
-                rejected |= validate.validate_batch(relation, masks, options.validation)
+            batches = validate.plan_batches(check, order)
+            anchors.update(anchor for anchor, _ in batches)
+            if options.validation == "clustered":
+                made, read = clusterings.made, clusterings.read
+                rejected = validate.validate_round(clusterings, check, order)
+                report["scans"] += clusterings.made - made + clusterings.read - read
+            else:
+                for _, masks in batches:
+                    report["scans"] += len(masks) if options.validation == "naive" else 1
+                    rejected |= validate.validate_batch(relation, masks, options.validation)
             accepted |= {c: ("validated", turn) for c in check if c not in rejected}
             if rejected:
+                report["scans"] += 2  # marked rows, and whole rows of those that collide
                 found_masks, pairs = validate.conflict_masks(relation, sorted(rejected), options.pair_mode)
                 report["pairs_phase3"] += pairs
                 graph.absorb(sorted(found_masks))

@@ -40,6 +40,92 @@ def plan_batches(candidates: Iterable[int], order: list[int]) -> list[tuple[int,
     return [(a, sorted(batches[a])) for a in order if a in batches]
 
 
+class Spread:
+    """Whether rows dealt by a column set spread over all tasks, judged from column statistics.
+
+    Columns count as independent: a set has about the product of their cardinalities as values, and
+    its longest run shrinks by every column's share.  Enough is ten values for each task
+    and no run above one task's part of the rows.
+    """
+
+    def __init__(self, stats: list[ColumnStats], n: int, tasks: int):
+        self.stats, self.n, self.tasks = stats, max(1, n), max(1, tasks)
+
+    def enough(self, mask: int) -> bool:
+        values, run = 1, float(self.n)
+        for i in bits(mask):
+            values = min(self.n, values * self.stats[i].cardinality)
+            run *= self.stats[i].longest_run / self.n
+        return values >= min(self.n, 10 * self.tasks) and run <= max(1.0, self.n / self.tasks)
+
+
+def split_batch(masks: list[int], order: list[int], spread: Spread) -> tuple[list[list[int]], list[int]]:
+    """(batches whose shared columns spread the rows, candidates left alone).
+
+    Candidates are sorted by their columns in anchor order, so neighbours share the
+    columns with the shortest runs; a batch ends where one more candidate would leave
+    too little in common.  Candidates that share too little with any neighbour need no
+    clustering: partial aggregation on the map side serves them.
+    """
+    place = {c: k for k, c in enumerate(order)}
+    batches: list[list[int]] = []
+    shared = 0
+    for v in sorted(masks, key=lambda v: sorted(place[c] for c in bits(v))):
+        if batches and spread.enough(shared & v):
+            batches[-1].append(v)
+            shared &= v
+        else:
+            batches.append([v])
+            shared = v
+    return [b for b in batches if len(b) > 1], [b[0] for b in batches if len(b) == 1]
+
+
+class Clusterings:
+    """Clustered copies of a relation's columns, kept for later rounds of one run."""
+
+    def __init__(self, relation: Relation, spread: Spread):
+        self.relation, self.spread = relation, spread
+        self.held: list[tuple[int, int, DataFrame]] = []  # (clustered on, columns, rows)
+        self.made = self.read = 0
+
+    def serving(self, mask: int) -> DataFrame | None:
+        """Rows clustered on a part of the candidate that spreads them, if an earlier batch left them."""
+        for key, columns, rows in self.held:
+            if key & ~mask == 0 and mask & ~columns == 0:
+                return rows
+        return None
+
+    def plan(self, masks: list[int], order: list[int]) -> list[tuple[DataFrame, int]]:
+        """(rows, candidate) of every candidate, over as few new clusterings as spread the rows."""
+        out = [(self.serving(v), v) for v in masks]
+        known = [(rows, v) for rows, v in out if rows is not None]
+        batches, alone = split_batch([v for rows, v in out if rows is None], order, self.spread)
+        for batch in batches:
+            rows = clustered_by(self.relation, batch)
+            self.held.append((shared_columns(batch), reduce(int.__or__, batch), rows))
+            self.made += 1
+            known += [(rows, v) for v in batch]
+        self.read += len(known) + len(alone)
+        return known + [(self.relation.rows, v) for v in alone]
+
+    def release(self) -> None:
+        for _, _, rows in self.held:
+            rows.unpersist()
+        self.held.clear()
+
+
+def validate_round(clusterings: Clusterings, check: list[int], order: list[int]) -> dict[int, tuple[int, int]]:
+    """{rejected candidate: (conflict groups, rows in them)} of one round, PER_JOB candidates to a job."""
+    out: dict[int, tuple[int, int]] = {}
+    planned = [p for _, masks in plan_batches(check, order) for p in clusterings.plan(masks, order)]
+    for s in range(0, len(planned), PER_JOB):
+        part = planned[s : s + PER_JOB]
+        for r in reduce(DataFrame.unionAll, [_verdict(rows, v, p) for p, (rows, v) in enumerate(part)]).collect():
+            if r.n_groups:
+                out[part[r.place][1]] = (r.n_groups, r.n_rows)
+    return out
+
+
 def shared_columns(masks: list[int]) -> int:
     """Columns common to a whole batch: colliding rows agree on all of them, so they may cluster together."""
     return reduce(int.__and__, masks)
@@ -106,9 +192,12 @@ def validate_batch(relation: Relation, masks: list[int], method: str = "clustere
     return out
 
 
+def _verdict(rows: DataFrame, mask: int, place: int) -> DataFrame:
+    return conflict_groups(rows, [f"c{i}" for i in bits(mask)]).agg(F.count("*").alias("n_groups"), F.sum("cnt").alias("n_rows")).select(F.lit(place).alias("place"), "n_groups", "n_rows")
+
+
 def _union(rows: DataFrame, masks: list[int]) -> DataFrame:
-    parts = [conflict_groups(rows, [f"c{i}" for i in bits(v)]).agg(F.count("*").alias("n_groups"), F.sum("cnt").alias("n_rows")).select(F.lit(p).alias("place"), "n_groups", "n_rows") for p, v in enumerate(masks)]
-    return reduce(DataFrame.unionAll, parts)
+    return reduce(DataFrame.unionAll, [_verdict(rows, v, p) for p, v in enumerate(masks)])
 
 
 def _grouping_sets(rows: DataFrame, masks: list[int]) -> DataFrame:

@@ -222,3 +222,27 @@ def test_pairs_are_counted_where_masks_are_minimised(spark, sf, monkeypatch):
     assert set(small.keys) == set(whole.keys)
     assert small.report["per_column"] == whole.report["per_column"] and small.report["pairs_phase1"] == whole.report["pairs_phase1"] > 0
     assert small.report["sample_pairs"] == whole.report["sample_pairs"]
+
+
+def test_batches_spread_the_rows():
+    """A batch ends where its shared columns would hold too few values or too long a run for all tasks."""
+    stats = [profile.ColumnStats(i, f"x{i}", *v) for i, v in enumerate([(20, 0, 400, 0), (20, 0, 400, 0), (20, 0, 400, 0), (20, 0, 400, 0), (5000, 0, 4000, 0)])]
+    spread = validate.Spread(stats, 8000, 8)
+    assert not spread.enough(0b1) and spread.enough(0b11)
+    assert not spread.enough(0b10000)  # one value holds half of the rows
+    masks = [0b00111, 0b01011, 0b10011, 0b11100, 0b11010]
+    batches, alone = validate.split_batch(masks, [0, 1, 2, 3, 4], spread)
+    assert sorted([*sum(batches, []), *alone]) == sorted(masks)
+    assert all(spread.enough(validate.shared_columns(b)) for b in batches) and [0b00111, 0b01011, 0b10011] in map(sorted, batches)
+
+
+def test_clusterings_are_reused(spark, sf):
+    relation = prepare.encode_columns(tables.sf_table(spark, sf, "lineitem"))
+    kept = validate.Clusterings(relation, validate.Spread(profile.relation_stats(relation), relation.n, 4))
+    order = list(range(relation.m))
+    first, second = [0b10011, 0b100011, 0b1000011], [0b110011, 0b1100011]
+    rejected = validate.validate_round(kept, first, order)
+    assert kept.made == 1
+    rejected |= validate.validate_round(kept, second, order)
+    kept.release()
+    assert kept.made == 1 and rejected == validate.validate_batch(relation, first + second, "naive")
