@@ -7,11 +7,11 @@ and languages leave one by one while the penalised likelihood rises.
 
 from __future__ import annotations
 
-import re
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import regex
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -22,7 +22,7 @@ from keyscout.llm.text import U, Words, chunks, mix
 BINS, PER_LANGUAGE, ROUNDS = 1 << 17, 2000, 6
 _LETTERS = np.ones(256, bool)  # blank table: only ASCII letters and bytes of other scripts are inside words
 _LETTERS[65:91] = _LETTERS[97:123] = _LETTERS[128:] = False
-_has_letter = re.compile(r"[^\W\d_]").search
+_has_letter = regex.compile(r"\p{L}").search  # letters only: no digits, fractions or other numerals
 
 
 def _trigrams(words: Words) -> tuple[np.ndarray, np.ndarray]:
@@ -115,7 +115,11 @@ def train_language_model(documents: DataFrame, folds: int = 4, held: int = 2, pe
     """Trigram counts of up to ``per_language`` training documents per language (least id hashes)."""
     rows = documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), F.col("lang").cast("string").alias("lang")).where("text is not null and lang is not null and doc_id is not null").where(fold("doc_id", folds) != held)
     order = Window.partitionBy("lang").orderBy("h", "doc_id")
-    chosen = rows.select("doc_id", "lang", F.xxhash64("doc_id").alias("h")).withColumn("place", F.row_number().over(order)).where(F.col("place") <= per_language).select("doc_id").distinct()
+    # about twice the rows wanted reach the ranking of a language, however many it has
+    sizes = rows.groupBy("lang").agg(F.count("*").alias("lang_rows"))
+    near = rows.select("doc_id", "lang", F.xxhash64("doc_id").alias("h")).join(F.broadcast(sizes), "lang")
+    near = near.where(F.pmod("h", F.lit(1 << 20)) * F.col("lang_rows") <= F.lit((1 << 20) * (2 * per_language + 200)))
+    chosen = near.withColumn("place", F.row_number().over(order)).where(F.col("place") <= per_language).select("doc_id").distinct()
     texts = rows.join(F.broadcast(chosen), "doc_id", "left_semi").select("text", "lang")
     counts = texts.mapInArrow(_learn, _COUNTS).groupBy("lang", "bin").agg(F.sum("n").alias("n")).toPandas()
     languages = sorted(counts["lang"].unique())
