@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from keyscout.llm.cluster import durable
-from keyscout.llm.text import chunks
+from keyscout.llm.text import chunks, unused_names
 
 BLANK = " \t\n\x0b\x0c\r"
 _UPPER = {c: c + 32 for c in range(65, 91)}
@@ -214,23 +214,24 @@ def apply_keep_bitmaps(documents: DataFrame, bitmaps: DataFrame, counts: bool =
     documents = documents.drop("n_lines", "n_dropped") if counts else documents
     names = documents.columns
     added = ["n_lines", "n_dropped"] * counts
+    mark, doc, own, kept = unused_names(names, "mark", "doc", "text", "keep")
 
     def marks(batches):
         for batch in batches:
             texts = batch.column(batch.schema.get_field_index("text")).to_pylist()
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array([_mark(t or "") for t in texts], pa.int64())], names=[*batch.schema.names, "_mark"])
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array([_mark(t or "") for t in texts], pa.int64())], names=[*batch.schema.names, mark])
 
     def cut(batches):
         for batch in batches:
             for part in chunks(batch, limit=16 << 20):
                 at = part.schema.get_field_index("text")
-                done = [_kept_text(t, k) for t, k in zip(part.column(at).to_pylist(), part.column(part.schema.get_field_index("_keep")).to_pylist())]
+                done = [_kept_text(t, k) for t, k in zip(part.column(at).to_pylist(), part.column(part.schema.get_field_index(kept)).to_pylist())]
                 columns = [pa.array([d[0] for d in done], pa.string()) if n == "text" else part.column(part.schema.get_field_index(n)) for n in names]
                 columns += [pa.array([d[1] for d in done], pa.int64()), pa.array([d[2] for d in done], pa.int64())] * counts
                 yield pa.RecordBatch.from_arrays(columns, names=[*names, *added])
 
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in documents.schema.fields)
-    marked = documents.mapInArrow(marks, f"{schema}, `_mark` long")
-    sides = bitmaps.select(F.col("doc_id").alias("_doc"), F.col("mark").alias("_text"), F.col("keep").alias("_keep"))
-    joined = marked.join(sides, (F.col("doc_id") == F.col("_doc")) & (F.col("_mark") == F.col("_text")), "left").drop("_doc", "_text", "_mark")
+    marked = documents.mapInArrow(marks, f"{schema}, `{mark}` long")
+    sides = bitmaps.select(F.col("doc_id").alias(doc), F.col("mark").alias(own), F.col("keep").alias(kept))
+    joined = marked.join(sides, (F.col("doc_id") == F.col(doc)) & (F.col(mark) == F.col(own)), "left").drop(doc, own, mark)
     return joined.mapInArrow(cut, ", ".join([schema, *(f"{n} long" for n in added)]))

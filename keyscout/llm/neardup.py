@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from keyscout.llm.cluster import connected_components, durable
-from keyscout.llm.text import U, chunks, mix, shingle_sets
+from keyscout.llm.text import U, chunks, mix, shingle_sets, unused_names
 
 PERMUTATIONS, ROWS = 63, 5
 BANDS = 2 * PERMUTATIONS // ROWS
@@ -211,11 +211,13 @@ def _tile_pairs(percent: int, exact: bool):
 def keep_first_of_groups(documents: DataFrame, percent: int = 80, width: int = 5) -> DataFrame:
     """One row of every group of near duplicates (its least doc_id), columns as they are.
 
-    Rows with a null ``doc_id`` stay; rows repeated with id and text stay once.
+    Rows with a null ``doc_id`` stay; rows repeated with id and text stay once, whatever
+    their other columns hold.  Of an id with several texts all stay if one is kept.
     """
     found = minhash_near_duplicates(documents, percent, width)
-    first = found.where("kept and doc_id is not null").select(F.col("doc_id").alias("_kept")).distinct()
-    rows = documents.join(first, F.col("doc_id") == F.col("_kept"), "left_semi").dropDuplicates(["doc_id", "text"])
+    (kept,) = unused_names(documents.columns, "kept")
+    first = found.where("kept and doc_id is not null").select(F.col("doc_id").alias(kept)).distinct()
+    rows = documents.join(first, F.col("doc_id") == F.col(kept), "left_semi").dropDuplicates(["doc_id", "text"])
     return rows.unionByName(documents.where("doc_id is null"))
 
 

@@ -58,14 +58,23 @@ def string_buffers(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return raw[at[0] : at[-1]], at - at[0]
 
 
-def chunks(batch: pa.RecordBatch, column: str = "text", limit: int = 1 << 18) -> Iterator[pa.RecordBatch]:
-    """Slices of a batch of at most ``limit`` text bytes each (one row at least)."""
+def unused_names(columns: list[str], *wanted: str) -> list[str]:
+    """``wanted`` behind a prefix of underscores that no name of ``columns`` starts with."""
+    prefix = "_"
+    while any(c.startswith(prefix) for c in columns):
+        prefix += "_"
+    return [prefix + w for w in wanted]
+
+
+def chunks(batch: pa.RecordBatch, column: str = "text", limit: int = 1 << 18, rows: int | None = None) -> Iterator[pa.RecordBatch]:
+    """Slices of a batch of at most ``limit`` text bytes and ``rows`` rows each (one row at least)."""
     if not batch.num_rows:
         return
     _, at = string_buffers(batch.column(batch.schema.get_field_index(column)))
     row = 0
     while row < batch.num_rows:
         end = max(row + 1, int(np.searchsorted(at, at[row] + limit, "right")) - 1)
+        end = end if rows is None else min(end, row + rows)
         yield batch.slice(row, end - row)
         row = end
 
