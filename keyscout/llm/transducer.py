@@ -154,8 +154,8 @@ class SubwordTransducer:
                 below = n + 1
                 break
             else:  # nothing follows: the state is dead, try a shorter piece before it
-                if not path:
-                    raise ValueError(f"no path for {span!r}")
+                if not path:  # no accepted path at all: merging decides
+                    return [i for p in self._merged(span) for i in ([lookup(p)] if p in self.lexicon else [self.byte[b] for b in p.encode()])]
                 end = ends.pop()
                 dead.add((end, path.pop()))
                 below = end - ends[-1]
@@ -246,19 +246,20 @@ def decode_documents(encoded: DataFrame, model: str) -> DataFrame:
 def encoding_digests(documents: DataFrame, model: str) -> DataFrame:
     """(doc_id, n_ids, n_byte_ids, ids_crc32, round_trip): encoding and decoding of every row in one pass.
 
-    ``ids_crc32`` covers the ids as little-endian unsigned 32-bit numbers.
+    ``ids_crc32`` covers the ids as little-endian unsigned 32-bit numbers.  Null and empty
+    texts have no ids; repeated rows and null ids keep a row each.
     """
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         machine = SubwordTransducer.of(model)
         for batch in batches:
-            rows = []
-            for doc, text in zip(batch.column(0).to_pylist(), pc.fill_null(batch.column(1), "").to_pylist()):
-                ids = machine.encode(text)
-                raw = np.array(ids, "<u4")
-                n_bytes = int(np.isin(raw, machine.byte).sum())
-                rows.append((doc, len(ids), n_bytes, zlib.crc32(raw.tobytes()), machine.decode(ids) == text.replace(MARK, " ")))
-            if rows:
+            for part in chunks(batch, limit=4 << 20):
+                rows = []
+                for doc, text in zip(part.column(0).to_pylist(), pc.fill_null(part.column(1), "").to_pylist()):
+                    ids = machine.encode(text)
+                    raw = np.array(ids, "<u4")
+                    n_bytes = int(np.isin(raw, machine.byte).sum())
+                    rows.append((doc, len(ids), n_bytes, zlib.crc32(raw.tobytes()), machine.decode(ids) == text.replace(MARK, " ")))
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.bool_()))], names=["doc_id", "n_ids", "n_byte_ids", "ids_crc32", "round_trip"])
 
     docs = documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
