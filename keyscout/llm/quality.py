@@ -23,6 +23,8 @@ BINS, DIMENSIONS, PER_CLASS, VOTERS = 4096, 48, 1500, 25
 
 #: pseudo-terms of form behind the byte pairs, and their weight beside a byte pair's
 FORMS, FORM_WEIGHT = 6, 12.0
+#: terms in all, and texts whose terms are held at a time
+TERMS, ROWS = BINS + FORMS, 1024
 
 
 def _forms(column: pa.Array) -> np.ndarray:
@@ -49,10 +51,8 @@ def _forms(column: pa.Array) -> np.ndarray:
 
 
 def _counts(column: pa.Array) -> np.ndarray:
-    """(texts, BINS) term weights: byte pairs, and in the last FORMS bins the pseudo-terms of form."""
-    pairs = _pair_counts(column)
-    pairs[:, BINS - FORMS :] = FORM_WEIGHT * _forms(column)
-    return pairs
+    """(texts, TERMS) term weights: byte pairs, then the pseudo-terms of form."""
+    return np.hstack([_pair_counts(column), (FORM_WEIGHT * _forms(column)).astype(np.float32)])
 
 
 def _pair_counts(column: pa.Array) -> np.ndarray:
@@ -90,8 +90,8 @@ class NeighbourVote:
     def _directions(x: np.ndarray) -> np.ndarray:
         """Leading right singular vectors by subspace iteration from a fixed start."""
         if not len(x):
-            return np.zeros((BINS, 1), np.float32)
-        k = min(DIMENSIONS, len(x), BINS)
+            return np.zeros((TERMS, 1), np.float32)
+        k = min(DIMENSIONS, len(x), TERMS)
         q = np.random.default_rng(7).standard_normal((x.shape[1], k + 8)).astype(np.float32)
         for _ in range(4):
             q, _ = np.linalg.qr(x.T @ (x @ q))
@@ -117,14 +117,14 @@ def train_quality_vote(documents: DataFrame, labels: DataFrame, label: str = "qu
 
     def features(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part in chunks(batch):
+            for part in chunks(batch, rows=ROWS):
                 rows = _counts(part.column(1)).astype(np.float16)
                 yield pa.RecordBatch.from_arrays([part.column(0), part.column(2).cast(pa.float64()), part.column(3).cast(pa.float64()), pa.array([r.tobytes() for r in rows], pa.binary())], names=["doc_id", "label", "class_rows", "counts"])
 
     # bounded: per_class rows for each class
     rows = texts.mapInArrow(features, "doc_id long, label double, class_rows double, counts binary").toArrow().sort_by("doc_id")
     y = rows.column("label").to_numpy()
-    counts = np.frombuffer(b"".join(rows.column("counts").to_pylist()), np.float16).reshape(-1, BINS).astype(np.float32)
+    counts = np.frombuffer(b"".join(rows.column("counts").to_pylist()), np.float16).reshape(-1, TERMS).astype(np.float32)
     drawn = {v: (y == v).sum() for v in np.unique(y)}
     weight = np.array([n / drawn[v] for n, v in zip(rows.column("class_rows").to_pylist(), y)])
     return NeighbourVote(counts, y, weight)
@@ -140,7 +140,7 @@ def score_quality(documents: DataFrame, model: NeighbourVote, folds: int = 3, he
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part in chunks(batch):
+            for part in chunks(batch, rows=ROWS):
                 score = np.clip(shared.value.score(_counts(part.column(1))), 0, 1)
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(score, pa.float64())], names=["doc_id", "score"])
 
