@@ -4,19 +4,24 @@ from __future__ import annotations
 
 import tempfile
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 
-def durable(df: DataFrame) -> DataFrame:
-    """Eager checkpoint in the folder the session names in ``spark.checkpoint.dir``.
+def shared_folder(spark: SparkSession) -> str:
+    """The folder ``spark.checkpoint.dir`` names; a temporary one only for a local master that names none."""
+    place = spark.conf.get("spark.checkpoint.dir", None)
+    if place is None and not (spark.sparkContext.master + "[").startswith("local["):
+        raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
+    return (place or tempfile.mkdtemp(prefix="checkpoints")).rstrip("/")
 
-    Only a session that names none (tests) gets a temporary folder.
-    """
+
+def durable(df: DataFrame) -> DataFrame:
+    """Eager checkpoint in the shared folder of the session."""
     spark = df.sparkSession
     context = spark.sparkContext
     if context.getCheckpointDir() is None:
-        context.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="checkpoints"))
+        context.setCheckpointDir(shared_folder(spark))
     return df.checkpoint(eager=True)
 
 
