@@ -8,6 +8,7 @@ import re
 import zlib
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from oracle import compare
 
@@ -15,6 +16,7 @@ from keyscout.llm import oracles, queries
 from keyscout.llm.language import identify_languages, keep_identified, train_language_model
 from keyscout.llm.lines import apply_keep_bitmaps, line_keep_bitmaps
 from keyscout.llm.mixing import score_documents
+from keyscout.llm.neardup import keep_first_of_groups
 from keyscout.llm.packing import Encoder, best_fit, local_search, pack_documents, slots
 from keyscout.llm.quality import score_quality, train_quality_vote
 from keyscout.llm.topk import exact_top_k
@@ -508,3 +510,66 @@ def test_mixtures_equal_a_plain_em(spark, sf):
             best, value = trial, new
         got, _ = model.mixtures(pa.array([text]))
         assert np.allclose(got[0], best, atol=1e-3), text
+
+
+#: names that the operators use inside, as columns of the input
+INSIDE = ["_mark", "_doc", "_text", "_keep", "_kept", "__kept", "mark", "keep", "positions", "key", "hash", "component_id", "kept", "lang_pred", "score"]
+
+
+def _crowded(spark, rows):
+    return spark.createDataFrame([(*r, *range(len(INSIDE))) for r in rows], "doc_id long, text string, " + ", ".join(f"`{n}` int" for n in INSIDE))
+
+
+def test_filters_keep_clashing_columns(spark):
+    long = "a line that is longer than forty characters, and repeated"
+    words = " ".join(f"w{i}" for i in range(60))
+    docs = _crowded(spark, [(i, f"{long}\nown {i}") for i in range(6)] + [(10, words), (11, words), (12, None), (13, "")])
+    cut = apply_keep_bitmaps(docs, line_keep_bitmaps(docs), counts=False)
+    assert cut.columns == docs.columns
+    assert {r.doc_id: r.text for r in cut.collect()} == {i: f"own {i}" for i in range(5)} | {5: f"{long}\nown 5", 10: words, 11: words, 12: "", 13: ""}
+    first = keep_first_of_groups(docs)
+    assert first.columns == docs.columns
+    got = {r.doc_id: r for r in first.collect()}
+    assert 10 in got and 11 not in got and 12 in got and 13 in got
+    assert all([r[n] for n in INSIDE] == list(range(len(INSIDE))) for r in got.values())
+
+
+def test_stage_filters_on_empty_tables(spark, empty):
+    assert apply_keep_bitmaps(empty, line_keep_bitmaps(empty), counts=False).collect() == []
+    assert keep_first_of_groups(empty).collect() == [] and keep_first_of_groups(empty).columns == empty.columns
+
+
+def test_path_falls_back_on_merging():
+    machine = SubwordTransducer(PIECE)
+    want = machine.encode("hello world")
+    machine.spans.clear()
+    machine._side_by_side = lambda a, b: False
+    machine.pairs.clear()
+    assert machine.encode("hello world") == want
+
+
+def test_votes_match_a_plain_count(spark):
+    """Every score is the similarity-weighted share of the nearest labelled vectors, worked out text by text."""
+    from keyscout.llm import quality
+
+    draw = random.Random(3)
+    rows = [(i, " ".join(draw.choice(["good", "fine", "plain", "words"] if i % 2 else ["zz", "qq", "x9", "zz"]) for _ in range(5 + i % 9))) for i in range(90)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    labels = spark.createDataFrame([(i, i % 2) for i, _ in rows], "doc_id long, quality int")
+    model = train_quality_vote(docs, labels, per_class=20)
+    got = {r.doc_id: r.score for r in score_quality(docs, model).collect()}
+    for i, text in rows:
+        terms = quality._counts(pa.array([text]))[0].astype(np.float64) * model.idf
+        y = terms / np.linalg.norm(terms) @ model.basis
+        near = model.vectors @ (y / np.linalg.norm(y))
+        best = sorted(range(len(near)), key=lambda k: -near[k])[: model.voters]
+        vote = {k: max(near[k], 0) ** 8 * model.weights[k] for k in best}
+        assert math.isclose(got[i], sum(v * model.labels[k] for k, v in vote.items()) / sum(vote.values()), abs_tol=1e-3)
+
+
+def test_chunks_bound_rows_and_bytes():
+    from keyscout.llm.text import chunks
+
+    batch = pa.RecordBatch.from_arrays([pa.array(["", "ab", "c" * 50, "", "d"] * 3)], names=["text"])
+    parts = list(chunks(batch, limit=10, rows=2))
+    assert max(p.num_rows for p in parts) == 2 and pa.Table.from_batches(parts).column(0).to_pylist() == batch.column(0).to_pylist()
