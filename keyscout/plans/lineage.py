@@ -17,7 +17,7 @@ def shared_folder(spark: SparkSession) -> str:
     place = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if place:
         return place.rstrip("/")
-    if not spark.sparkContext.master.startswith("local"):
+    if not (spark.sparkContext.master + "[").startswith("local["):
         raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
     place = tempfile.mkdtemp(prefix="keyscout")
     spark.sparkContext.setCheckpointDir(place)
