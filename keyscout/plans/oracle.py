@@ -14,6 +14,12 @@ TABLES: dict[str, list[str]] = {
     "orders": ["o_orderkey", "o_custkey", "o_orderstatus", "o_totalprice", "o_orderdate", "o_orderpriority"],
     "lineitem": ["l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", "l_quantity", "l_extendedprice", "l_discount", "l_tax", "l_returnflag", "l_linestatus", "l_shipdate"],
     "events": ["event_id", "ts", "user_id", "event_type", "value", "props"],
+    "documents": ["doc_id", "text", "lang", "source", "n_chars"],
+    "embeddings": ["vec_id", "embedding", "label"],
+    "pages": ["page_id", "url", "html"],
+    "benchmark": ["item_id", "text"],
+    "labels": ["doc_id", "quality", "toxic"],
+    "conversations": ["conv_id", "turn", "role", "text"],
 }
 
 
@@ -79,6 +85,39 @@ def minimal_keys(source: str, columns: Sequence[str], prefix: str = "") -> str:
     )
 
 
+def keys_by_agreement(source: str, columns: Sequence[str], coarse: Sequence[str], prefix: str) -> str:
+    """key, n_columns of every minimal key, for more columns than all sets of which can be grouped.
+
+    A column set is no key if two rows agree on it.  Sets within the ``coarse`` columns (few values)
+    are grouped one and all; any other set holds a fine column, and the rows that agree on it meet in
+    a join on that column.
+    """
+    m, place = len(columns), {c: i for i, c in enumerate(columns)}
+    cubed = f"SELECT GROUPING_ID({', '.join(coarse)}) AS g, max(n) AS n FROM (SELECT {', '.join(coarse)}, count(*) AS n FROM t GROUP BY ALL) GROUP BY CUBE ({', '.join(coarse)}) HAVING sum(n) > 1"
+    low = " + ".join(f"CASE WHEN (g >> {len(coarse) - 1 - k}) & 1 = 0 THEN {1 << place[c]} ELSE 0 END" for k, c in enumerate(coarse))
+    agree = " + ".join(f"CASE WHEN a.{c} IS NOT DISTINCT FROM b.{c} THEN {1 << i} ELSE 0 END" for i, c in enumerate(columns))
+    parts = [f"SELECT DISTINCT {low} AS mask FROM ({cubed})"]
+    parts += [f"SELECT DISTINCT {agree} AS mask FROM t a JOIN t b ON a.{c} IS NOT DISTINCT FROM b.{c} AND a.rid < b.rid" for c in columns if c not in coarse]
+    less = " AND ".join(f"(key_mask & {1 << i} = 0 OR key_mask - {1 << i} NOT IN (SELECT key_mask FROM h))" for i in range(m))
+    return (
+        f"WITH {prefix}, t AS MATERIALIZED (SELECT *, row_number() OVER () AS rid FROM {source}), g AS MATERIALIZED (SELECT DISTINCT mask FROM ({' UNION ALL '.join(parts)})), "
+        "top AS MATERIALIZED (SELECT mask FROM g x WHERE NOT EXISTS (SELECT 1 FROM g y WHERE (x.mask & y.mask) = x.mask AND x.mask <> y.mask)), "
+        f"h AS MATERIALIZED (SELECT range AS key_mask FROM range({1 << m}) WHERE NOT EXISTS (SELECT 1 FROM top WHERE (range & mask) = range)) "
+        f"SELECT {_rendered(columns, 'key_mask')} AS key, CAST(bit_count(key_mask) AS INTEGER) AS n_columns FROM h WHERE {less}"
+    )
+
+
+def short_keys(source: str, columns: Sequence[str], prefix: str) -> str:
+    """key, n_columns of the minimal keys of one and two columns, for tables whose columns are unique but for two."""
+    cells = " UNION ALL ".join(f"SELECT rid, {i} AS ix, '{c}' AS col, CAST({c} AS VARCHAR) AS v FROM t" for i, c in enumerate(columns))
+    return (
+        f"WITH {prefix}, t AS MATERIALIZED (SELECT *, row_number() OVER () AS rid FROM {source}), cells AS MATERIALIZED ({cells}), "
+        "one AS (SELECT ix, col, count(DISTINCT v) = count(*) AS is_key FROM cells GROUP BY 1, 2), loose AS MATERIALIZED (SELECT cells.* FROM cells JOIN one USING (ix, col) WHERE NOT is_key), "
+        "two AS (SELECT a.col || ',' || b.col AS key FROM loose a JOIN loose b ON a.rid = b.rid AND a.ix < b.ix GROUP BY a.col, b.col HAVING count(DISTINCT (a.v, b.v)) = count(*)) "
+        "SELECT col AS key, CAST(1 AS INTEGER) AS n_columns FROM one WHERE is_key UNION ALL SELECT key, CAST(2 AS INTEGER) FROM two"
+    )
+
+
 def maximal_non_keys(source: str, columns: Sequence[str]) -> str:
     full = (1 << len(columns)) - 1
     return (
