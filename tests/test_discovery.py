@@ -9,12 +9,9 @@ from keyscout.functions.masks import bits, minimal_masks
 from keyscout.operators import baselines, evidence, measures, prepare, profile, validate
 from keyscout.operators.discover import DiscoveryOptions, DuplicateRows, discover_keys, implies_key, is_key, is_minimal_key, rank_keys, why_not_key
 from keyscout.plans.hitting import minimal_hitting_sets
+from keyscout.queries import part_example, running_conflict
 from keyscout.sources import tables
 
-#: the worked ten-row example (fixed values)
-PART = [
-    (1, "a1", "m1", "b1", "t1", 10), (2, "a2", "m1", "b1", "t2", 20), (3, "a3", "m2", "b2", "t1", 30), (4, "a4", "m2", "b2", "t3", 40),
-]
 
 
 def by_definition(rows, m):
@@ -43,10 +40,17 @@ def test_random_relations(spark, seed, n, m, size):
     assert sorted(result.edges) == sorted(minimal_masks(v for v in pairs if v != full) or [full])
 
 
-def test_small_part_example(spark):
-    df = spark.createDataFrame(PART, "PKEY int, NAME string, MFGR string, BRAND string, TYPE string, PRICE int")
-    names = set(discover_keys(df).key_names())
-    assert {("PKEY",), ("NAME",), ("PRICE",), ("MFGR", "TYPE"), ("BRAND", "TYPE")} == names
+def test_worked_example(spark):
+    df = part_example(spark)
+    result = discover_keys(df)
+    assert set(result.key_names()) == {("PKEY",), ("NAME",), ("PRICE",), ("MFGR", "TYPE"), ("BRAND", "TYPE")}
+    assert [(int(s.agree_pairs), s.longest_run) for s in profile.column_stats(df).orderBy("col_ix").collect()] == [(0, 1), (0, 1), (7, 3), (1, 2), (8, 3), (0, 1)]
+    assert sorted(result.edges) == [0b101111, 0b110011] and result.report["rounds"][0]["checked"] == 0
+
+
+def test_running_conflict(spark):
+    rows = running_conflict(spark, "").collect()
+    assert [(r.mask, r.pairs) for r in rows] == [(0b10001, 1)]
 
 
 def test_budgets():
