@@ -173,6 +173,20 @@ def test_baselines_agree(spark, sf):
         assert finder(df).keys == want, finder.__name__
 
 
+def test_all_pairs_are_counted(spark):
+    """Every pair of more rows than could be compared in blocks; few rows against the comparison itself."""
+    rows = random_rows(5, 60, 5, 2) + [(None, None, 0, 0, 1), (None, None, 0, 1, 1)]
+    relation = prepare.encode_columns(spark.createDataFrame(rows + rows[:3], "a int, b int, c int, d int, e int"))
+    want = evidence.tiled_pairs(relation.rows.withColumn("_all", F.lit(0)), ["_all"], relation.columns)
+    assert sorted(map(tuple, baselines.all_pair_masks(relation).collect())) == sorted(map(tuple, want.collect()))
+    n = 400_000
+    many = spark.range(n).select("id", (F.col("id") % 7).alias("x"), F.lit(1).alias("y"))
+    found = {r.mask: r.pairs for r in baselines.all_pair_masks(prepare.encode_columns(many)).collect()}
+    same = sum(k * (k - 1) // 2 for k in ((n - r + 6) // 7 for r in range(7)))
+    assert found == {0b001: same, 0b011: n * (n - 1) // 2 - same}
+    assert baselines.discover_keys_exhaustive(many).keys == [1]
+
+
 def test_stripped_partitions(spark):
     df = spark.createDataFrame([(1, 1), (1, 1), (1, 2), (2, 1), (2, 2)], "a int, b int")
     rows = prepare.encode_columns(df).rows
