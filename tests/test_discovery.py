@@ -173,6 +173,16 @@ def test_baselines_agree(spark, sf):
         assert finder(df).keys == want, finder.__name__
 
 
+@pytest.mark.parametrize("finder", [baselines.discover_keys_prefix_tree, baselines.discover_keys_random_walk])
+def test_searches_beyond_the_driver(spark, finder):
+    """More rows than the driver may hold, and nulls and repeated rows among few."""
+    n = 300_000
+    many = spark.range(n).select((F.col("id") % 1000).alias("a"), (F.col("id") / 1000).cast("int").alias("b"), (F.col("id") % 7).alias("c"), F.col("id").alias("d"))
+    assert finder(many).keys == [0b1000, 0b0011]
+    assert finder(spark.createDataFrame([(None, 1), (None, 2), (1, 1)], "a int, b int")).keys == [0b11]
+    assert finder(spark.createDataFrame([(None, 1), (None, 1), (1, 1)], "a int, b int")).keys == []
+
+
 def test_all_pairs_are_counted(spark):
     """Every pair of more rows than could be compared in blocks; few rows against the comparison itself."""
     rows = random_rows(5, 60, 5, 2) + [(None, None, 0, 0, 1), (None, None, 0, 1, 1)]
