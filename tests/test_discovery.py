@@ -274,3 +274,23 @@ def test_clusterings_are_reused(spark, sf):
     rejected |= validate.validate_round(kept, second, order)
     kept.release()
     assert kept.made == 1 and rejected == validate.validate_batch(relation, first + second, "naive")
+
+
+def test_bounded_validation_is_exact(spark, sf, monkeypatch):
+    """Few groups a candidate, small jobs and one clustering at a time: more rounds, the same keys and masks."""
+    df = tables.sf_table(spark, sf, "lineitem")
+    want = discover_keys(df)
+    held = []
+    make = validate.Clusterings.make
+
+    def watched(self, batch):
+        rows = make(self, batch)
+        held.append(sum(self.cells(c) for _, c, _ in self.held))
+        return rows
+
+    monkeypatch.setattr(validate.Clusterings, "make", watched)
+    for name, value in (("MOST_GROUPS", 2), ("PER_JOB", 5), ("JOB_ROWS", 20_000), ("TIDY_ROWS", 1000), ("MOST_CELLS", 50_000)):
+        monkeypatch.setattr(validate, name, value)
+    got = discover_keys(df, DiscoveryOptions(factor=0.1, sampling=60))
+    assert got.keys == want.keys and sorted(got.edges) == sorted(want.edges)
+    assert max(held, default=0) <= 50_000 and sum(r["rejected"] for r in got.report["rounds"]) > 0
