@@ -5,6 +5,7 @@ import hashlib
 import math
 import random
 import re
+import sys
 import zlib
 
 import numpy as np
@@ -128,6 +129,26 @@ def test_transducer_equals_library(spark, sf, odd):
         assert collections.Counter((r.doc_id, tuple(r.ids)) for r in encoded.collect()) == collections.Counter((r.doc_id, tuple(library.encode(r.text or ""))) for r in frame.select("doc_id", "text").collect())
 
 
+def test_decoding_takes_no_step_for_each_id():
+    machine = SubwordTransducer.of(PIECE)
+    ids, calls = machine.encode("the café is 東 open \U0001f600 " * 500), []
+    sys.setprofile(lambda frame, event, arg: calls.append(event))
+    try:
+        text = machine.decode(ids)
+    finally:
+        sys.setprofile(None)
+    assert text == "the café is 東 open \U0001f600 " * 500 and len(calls) < 100 < len(ids)
+
+
+def test_decoding_parts_bytes_at_ids_without_text():
+    machine = SubwordTransducer.of(PIECE)
+    half = [machine.byte[b] for b in "é".encode()]
+    control = next(i for i in range(len(machine.text)) if i not in machine.raw)
+    assert machine.decode(half) == "é"
+    assert machine.decode([half[0], control, half[1]]) == "\ufffd\ufffd"
+    assert machine.decode([half[0], machine.lexicon["a"], half[1]]) == "\ufffda\ufffd"
+
+
 def test_neighbour_rule_equals_merging():
     machine = SubwordTransducer.of(PIECE)
     draw = random.Random(3)
