@@ -6,14 +6,17 @@ import math
 import random
 import re
 import sys
+import time
 import zlib
 
 import numpy as np
 import pyarrow as pa
 import pytest
 from oracle import compare
+from pyspark.sql import functions as F
 
 from keyscout.llm import oracles, queries
+from keyscout.llm.cluster import durable
 from keyscout.llm.language import identify_languages, keep_identified, train_language_model
 from keyscout.llm.lines import apply_keep_bitmaps, line_keep_bitmaps
 from keyscout.llm.mixing import score_documents
@@ -594,3 +597,20 @@ def test_chunks_bound_rows_and_bytes():
     batch = pa.RecordBatch.from_arrays([pa.array(["", "ab", "c" * 50, "", "d"] * 3)], names=["text"])
     parts = list(chunks(batch, limit=10, rows=2))
     assert max(p.num_rows for p in parts) == 2 and pa.Table.from_batches(parts).column(0).to_pylist() == batch.column(0).to_pylist()
+
+
+def test_a_checkpoint_that_alone_needs_its_exchanges_frees_them(spark):
+    def files():
+        tracker = spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager()
+        names = tracker.getAllFiles()
+        return {names.apply(i).getName() for i in range(names.size()) if names.apply(i).getName().startswith("shuffle_")}
+
+    before = files()
+    frame = spark.range(1000).groupBy((F.col("id") % 10).alias("k")).agg(F.count("*").alias("n"))
+    kept = durable(frame, once=True)
+    end = time.time() + 20
+    while files() - before and time.time() < end:  # files go in the background
+        time.sleep(0.2)
+    assert not files() - before
+    assert kept.count() == 10 and sum(r.n for r in kept.collect()) == 1000
+    assert frame.count() == 10  # the same rows can still be computed
