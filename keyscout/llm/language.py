@@ -16,7 +16,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from keyscout.llm.labelled import fold
-from keyscout.llm.text import U, Words, chunks, mix
+from keyscout.llm.text import U, Words, chunks, make_room, mix
 
 #: bins of hashed trigrams, documents learned from per language, EM rounds per language set
 BINS, PER_LANGUAGE, ROUNDS = 1 << 17, 2000, 6
@@ -43,6 +43,7 @@ _COUNTS = "lang string, bin int, n long"
 
 def _learn(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     total: dict[str, np.ndarray] = {}
+    make_room()
     for batch in batches:
         for part in chunks(batch):
             words = Words(part.column(0), hashes=False, blanks=_LETTERS)
@@ -137,6 +138,7 @@ def keep_identified(documents: DataFrame, model: LanguageModel, least: float = 0
     shared = documents.sparkSession.sparkContext.broadcast(model)
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        make_room()
         for batch in batches:
             for part in chunks(batch):
                 column = part.column(part.schema.get_field_index("text"))
@@ -164,6 +166,7 @@ def identify_languages(documents: DataFrame, model: LanguageModel) -> DataFrame:
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         model = shared.value
+        make_room()
         for batch in batches:
             for part in chunks(batch):
                 column = part.column(part.schema.get_field_index("text"))

@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from keyscout.llm.cluster import connected_components, durable
-from keyscout.llm.text import U, chunks, mix, shingle_sets, unused_names
+from keyscout.llm.text import U, chunks, make_room, mix, shingle_sets, unused_names
 
 PERMUTATIONS, ROWS = 63, 5
 BANDS = 2 * PERMUTATIONS // ROWS
@@ -64,6 +64,7 @@ def _sketch(width: int):
     schema = pa.schema([("doc_id", pa.int64()), ("n_shingles", pa.int64()), ("hi", pa.int64()), ("lo", pa.int64()), ("bands", pa.list_(pa.int64())), ("signature", pa.binary())])
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        make_room()
         for batch in batches:
             for part in chunks(batch):
                 n = part.num_rows
@@ -92,6 +93,7 @@ def _sets(width: int):
     schema = pa.schema([("doc_id", pa.int64()), ("items", pa.binary())])
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        make_room()
         for batch in batches:
             for part in chunks(batch):
                 owner, value = shingle_sets(part.column(1), width)
@@ -118,6 +120,7 @@ def _verify(percent: int):
     schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        make_room()
         for batch in batches:
             keep = np.zeros(batch.num_rows, bool)
             left, right = batch.column(2), batch.column(3)
@@ -193,6 +196,7 @@ def _tile_pairs(percent: int, exact: bool):
                 held.clear()
                 yield from found
 
+        make_room()
         for batch in batches:
             key = np.stack([batch.column(batch.schema.get_field_index(c)).to_numpy() for c in ("key", "ti", "tj")], 1)
             cut = [0, *(np.flatnonzero((key[1:] != key[:-1]).any(1)) + 1).tolist(), batch.num_rows]

@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from keyscout.llm.cluster import durable
-from keyscout.llm.text import chunks
+from keyscout.llm.text import chunks, kept_tables
 
 
 def best_fit(histogram: dict[int, int], capacity: int) -> Counter:
@@ -159,7 +159,8 @@ class Encoder:
     are looked up by such a span.  A span of Latin letters that is not yet known is
     lower-cased, cut by the tokenizer's pattern and merged by the same ranks with a
     word-end byte (0xFF never occurs in UTF-8); every other span goes to the tokenizer.
-    The table of known spans starts afresh when it is full, which bounds memory.
+    The table of known spans starts afresh when it is full, which bounds memory, and when
+    the worker goes over to another operator.
     """
 
     SPANS, LONGEST = 350_000, 64
@@ -200,8 +201,17 @@ class Encoder:
     def of(cls, path: str) -> Encoder:
         if path not in cls._kept:
             cls._kept[path] = cls(path)
+            kept_tables["packing"] = cls._drop
         return cls._kept[path]
 
+    @classmethod
+    def _drop(cls) -> bool:
+        """Known spans are forgotten (and learnt again when needed); the vocabulary stays."""
+        full = [e for e in cls._kept.values() if e.known]
+        for e in full:
+            e._clear()
+        return bool(full)
+
     def _learn(self, spans: set[str]) -> None:
         rest, names, ids, ends = [], [], [], []
         merge, pieces, longest = self.merge, self.pieces, self.LONGEST

@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 
 from keyscout.llm.boosting import BoostedTrees, Isotonic
 from keyscout.llm.labelled import class_sample, fold, sample_texts
-from keyscout.llm.text import U, Words, chunks, mix, string_buffers
+from keyscout.llm.text import U, Words, chunks, make_room, mix, string_buffers
 
 #: labelled documents per class, lexicon size, bytes of word beginnings, words around a pronoun
 PER_CLASS, TERMS, STEMS, NEAR = 4000, 1500, (4, 5, 6), 4
@@ -159,6 +159,7 @@ def train_toxicity(documents: DataFrame, labels: DataFrame, label: str = "toxic"
     texts = sample_texts(documents, class_sample(labels, label, per_class, folds, held))
 
     def terms(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        make_room()
         for batch in batches:
             for part in chunks(batch):
                 words = Words(part.column(1), blanks=_MARKS)
@@ -180,6 +181,7 @@ def train_toxicity(documents: DataFrame, labels: DataFrame, label: str = "toxic"
     shared = documents.sparkSession.sparkContext.broadcast(lexicon)
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        make_room()
         for batch in batches:
             for part in chunks(batch):
                 x = features(part.column(1), shared.value)
@@ -205,6 +207,7 @@ def keep_below(documents: DataFrame, model: ToxicityModel, most: float = 0.7) ->
     shared = documents.sparkSession.sparkContext.broadcast(model)
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        make_room()
         for batch in batches:
             for part in chunks(batch):
                 yield part.filter(pa.array(shared.value.score(part.column(part.schema.get_field_index("text"))) < most))
@@ -224,6 +227,7 @@ def score_toxicity(documents: DataFrame, model: ToxicityModel) -> DataFrame:
     names = base.columns
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        make_room()
         for batch in batches:
             for part in chunks(batch):
                 score = shared.value.score(part.column(part.schema.get_field_index("text")))

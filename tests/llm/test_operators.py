@@ -20,7 +20,7 @@ from keyscout.llm.cluster import durable
 from keyscout.llm.language import identify_languages, keep_identified, train_language_model
 from keyscout.llm.lines import apply_keep_bitmaps, line_keep_bitmaps
 from keyscout.llm.mixing import score_documents
-from keyscout.llm.neardup import keep_first_of_groups
+from keyscout.llm.neardup import _sketch, keep_first_of_groups
 from keyscout.llm.packing import Encoder, best_fit, local_search, pack_documents, slots
 from keyscout.llm.quality import score_quality, train_quality_vote
 from keyscout.llm.topk import exact_top_k
@@ -614,3 +614,13 @@ def test_a_checkpoint_that_alone_needs_its_exchanges_frees_them(spark):
     assert not files() - before
     assert kept.count() == 10 and sum(r.n for r in kept.collect()) == 1000
     assert frame.count() == 10  # the same rows can still be computed
+
+
+def test_workers_forget_the_tables_of_an_operator_they_have_left():
+    encode, texts = Encoder.of(WORD), ["some words that the packing operator learns", "日本 words"]
+    first = [ids.tolist() for ids in encode(texts)]
+    assert encode.known
+    batch = pa.RecordBatch.from_arrays([pa.array([1]), pa.array(["another operator's text"])], names=["doc_id", "text"])
+    assert sum(b.num_rows for b in _sketch(5)(iter([batch]))) == 1
+    assert not encode.known and encode.size == 0
+    assert [ids.tolist() for ids in encode(texts)] == first
