@@ -1,10 +1,13 @@
-"""Near-duplicate vectors through one small-world graph per shard (operator 9).
-
-Equal vectors collapse to a class first.  Every class asks every shard; a query's beam
-widens until its last member lies below the bound, and all beams of a task widen until
-audits against brute force find nothing missing.  Links are confirmed by cosine in
-double precision; a task gives link counts and a spanning forest of its links, so what
-leaves it is linear in its queries however dense a group is.
+"""Near-duplicate vectors: every row hung on its nearest nodes of a small-world graph (operator 9).
+
+The graph's nodes are a bounded sample of the rows, thinned so that none is within twice
+the bound of another: a dense group has one node, however large it is.  Every row walks
+the graph once and hangs on the nearest nodes that its beam ends with; rows on a common
+node are compared.  An audit beforehand compares a sample of rows with all rows by brute
+force and sets how many nodes a row hangs on; where no number of them reaches the least
+recall, all rows hang on one.  Links are confirmed by cosine in double precision and count
+under the least common node alone.  A task gives link counts and a spanning forest of its
+links, so what leaves it is linear in its rows however dense a group is.
 """
 
 from __future__ import annotations
@@ -13,178 +16,349 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Row
 from pyspark.sql import functions as F
 
 from keyscout.llm.cluster import connected_components, durable
 from keyscout.llm.hnsw import SmallWorld
 
-#: least shards, most vectors of one shard, queries of one task beside a shard, first beam, audited queries
-SHARDS, SHARD_ROWS, TASK_ROWS, BEAM, AUDITED = 6, 250_000, 250_000, 40, 96
-#: queries searched at once
+#: rows for each node of the graph, least and most nodes, highest cosine between two nodes
+NODE_ROWS, LEAST_NODES, MOST_NODES, APART = 4096, 64, 8192, 0.8
+#: beam of a walk, nodes that a row hangs on at first and at most, recall that ends the widening, recall below which all rows are compared
+BEAM, CELLS, MOST_CELLS, GOAL, LEAST_RECALL = 24, 4, 8, 0.98, 0.9
+#: audited rows, rows that tell the sizes of cells, rows of a part of a large cell, most groups of copies collapsed beforehand
+AUDITED, SIZED, PART, HEAVY = 512, 8192, 65_536, 20_000
+#: rows walked or compared at once
 BATCH = 1024
 
 
-def _usable(column: str) -> F.Column:
-    x = F.col(column)
-    finite = F.forall(x, lambda v: v.isNotNull() & ~F.isnan(v) & (F.abs(v) < float("inf")))
-    return F.coalesce(x.isNotNull() & finite & F.exists(x, lambda v: v != 0), F.lit(False))
+def _lists(column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(values, first place and length of every list; length -1: null, empty, zero, or with null or non-finite components)."""
+    start = column.offsets.to_numpy()
+    start, size = start[:-1].astype(np.int64), np.diff(start).astype(np.int64)
+    values = column.values.slice(start[0], start[-1] + size[-1] - start[0]) if len(start) else column.values
+    start -= start[0] if len(start) else 0
+    flat = values.to_numpy(zero_copy_only=False)  # nulls become nan
+    bad, some = (np.r_[0, np.cumsum(x)] for x in (~np.isfinite(flat), flat != 0))
+    good = column.is_valid().to_numpy(zero_copy_only=False) & (bad[start + size] == bad[start]) & (some[start + size] > some[start])
+    return flat, start, np.where(good, size, -1)
 
 
-def _matrix(column: pa.Array) -> np.ndarray:
-    raw = [np.frombuffer(v.as_buffer(), np.float64) for v in column]
-    return np.stack(raw) if raw else np.zeros((0, 0))
+def _by_length(batch: pa.RecordBatch) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+    """(length, places in the batch, matrix; negative zero made zero) of the usable vectors with an id."""
+    flat, start, size = _lists(batch.column(1))
+    size[batch.column(0).is_null().to_numpy(zero_copy_only=False)] = -1
+    for shape in np.unique(size[size >= 0]).tolist():
+        rows = np.flatnonzero(size == shape)
+        yield shape, rows, flat[start[rows, None] + np.arange(shape)] + flat.dtype.type(0)
 
 
 def _unit(x: np.ndarray) -> np.ndarray:
+    x = x.astype(np.float64)
     x = x / np.abs(x).max(1, keepdims=True)  # no overflow of squares
     return x / np.sqrt((x * x).sum(1, keepdims=True))
 
 
-_PACK = "vec_id long, shape int, vector binary, hi long, lo long"
+def _prints(x: np.ndarray) -> np.ndarray:
+    """A 128-bit print of every row's bytes."""
+    import xxhash
 
+    raw, width = x.tobytes(), x.shape[1] * x.itemsize
+    return np.frombuffer(b"".join(xxhash.xxh3_128_digest(raw[i : i + width]) for i in range(0, len(raw), width)), np.int64).reshape(-1, 2)
 
-def _packed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Vectors as bytes of doubles (negative zero made zero) with a 128-bit print."""
-    import xxhash
 
-    for batch in batches:
-        raws = [(np.array(v, np.float64) + 0.0).tobytes() for v in batch.column(1).to_pylist()]
-        prints = np.frombuffer(b"".join(xxhash.xxh3_128_digest(r) for r in raws), np.int64).reshape(-1, 2)
-        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([len(r) // 8 for r in raws], pa.int32()), pa.array(raws, pa.binary()), pa.array(np.ascontiguousarray(prints[:, 0])), pa.array(np.ascontiguousarray(prints[:, 1]))], names=["vec_id", "shape", "vector", "hi", "lo"])
+def _binary(x: np.ndarray) -> pa.Array:
+    """The rows' bytes."""
+    x = np.ascontiguousarray(x)
+    offsets = np.arange(len(x) + 1, dtype=np.int32) * np.int32(x.shape[1] * x.itemsize)
+    return pa.Array.from_buffers(pa.binary(), len(x), [None, pa.py_buffer(offsets), pa.py_buffer(x)])
 
 
-_NODE = "shape int, shard int, vec_id long, copies long, vector binary, level int, links binary"
+def _matrix(column: pa.Array | pa.ChunkedArray, dtype: type) -> np.ndarray:
+    if isinstance(column, pa.ChunkedArray):
+        column = pa.concat_arrays(column.chunks)
+    _, offsets, data = column.buffers()
+    at = np.frombuffer(offsets, np.int32)[column.offset : column.offset + len(column) + 1]
+    return np.frombuffer(data, np.uint8)[at[0] : at[-1]].view(dtype).reshape(len(column), -1)
 
 
-def _build(table: pa.Table) -> pa.Table:
-    table = table.sort_by("vec_id")
-    graph = SmallWorld.build(_unit(_matrix(table.column("vector").combine_chunks())))
-    keep = table.select(["shape", "shard", "vec_id", "copies", "vector"])
-    return keep.append_column("level", pa.array(graph.level, pa.int32())).append_column("links", pa.array(graph.packed(), pa.binary()))
+_MARKS = "vec_id long, shape int, hi long, lo long, drawn int, vector binary"
 
 
-class _Forest:
-    """Union-find over ids that remembers the links that joined two trees."""
-
-    def __init__(self):
-        self.root: dict[int, int] = {}
-        self.links: list[tuple[int, int]] = []
-
-    def find(self, v: int) -> int:
-        while (up := self.root.setdefault(v, v)) != v:
-            self.root[v] = v = self.root[up]
-        return v
-
-    def join(self, a: int, b: int) -> None:
-        x, y = self.find(a), self.find(b)
-        if x != y:
-            self.root[x] = y
-            self.links.append((a, b))
-
-
-def _linked(graph: SmallWorld, unit: np.ndarray, q: np.ndarray, least: float, width: int) -> list[np.ndarray]:
-    """Positions of the shard with cosine >= least for every query; a full beam of links widens."""
-    n = len(unit)
-    out: list[np.ndarray] = [np.zeros(0, np.int64)] * len(q)
-    todo = np.arange(len(q))
-    width = min(width, n)
-    while len(todo):
-        again = []
-        for s in range(0, len(todo), BATCH):
-            rows = todo[s : s + BATCH]
-            ids, sims = graph.search(q[rows], width)
-            full = (sims[:, -1] >= least - 1e-3) & (width < n)
-            r, c = np.nonzero((ids >= 0) & (sims >= least - 1e-5))
-            exact = np.einsum("nd,nd->n", q[rows[r]], unit[ids[r, c]]) >= least
-            r, found = r[exact], ids[r, c][exact]
-            cut = np.searchsorted(r, np.arange(len(rows) + 1))
-            for i, row in enumerate(rows):
-                out[row] = found[cut[i] : cut[i + 1]]
-            again.append(rows[full])
-        todo = np.concatenate(again)
-        width = min(4 * width, n)
+def _marks(share: float):
+    """Every row's length (-1: not usable) and print, with the vectors of a share of the rows."""
+    schema = pa.schema([("vec_id", pa.int64()), ("shape", pa.int32()), ("hi", pa.int64()), ("lo", pa.int64()), ("drawn", pa.int32()), ("vector", pa.binary())])
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            shapes, both, vectors = np.full(batch.num_rows, -1, np.int32), np.zeros((batch.num_rows, 2), np.int64), [None] * batch.num_rows
+            drawn = np.zeros(batch.num_rows, np.int32)
+            for shape, rows, x in _by_length(batch):
+                shapes[rows], both[rows] = shape, _prints(x)
+                # the draw follows the print and the id, so it is the same in every run
+                mixed = (both[rows, 0].view(np.uint64) ^ batch.column(0).take(pa.array(rows)).to_numpy().astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) * np.uint64(0xD6E8FEB86659FD93)
+                drawn[rows] = (mixed >> np.uint64(33)).astype(np.int32)
+                for i, row in zip(*(a.tolist() for a in (np.flatnonzero(drawn[rows] < share * 2.0**31), rows[drawn[rows] < share * 2.0**31]))):
+                    vectors[row] = x[i].tobytes()
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(shapes), pa.array(both[:, 0].copy()), pa.array(both[:, 1].copy()), pa.array(drawn), pa.array(vectors, pa.binary())], schema=schema)
+
+    return work
+
+
+def thinned(unit: np.ndarray, most: int) -> np.ndarray:
+    """Places of at most ``most`` rows, none with a cosine above APART to one before it."""
+    kept: list[int] = []
+    for s in range(0, len(unit), BATCH):
+        block = unit[s : s + BATCH]
+        free = (block @ unit[kept].T <= APART).all(1) if kept else np.ones(len(block), bool)
+        among, own = block @ block.T > APART, []
+        for i in np.flatnonzero(free).tolist():
+            if not among[i, own].any():
+                own.append(i)
+        kept += [s + i for i in own]
+        if len(kept) >= most:
+            break
+    return np.array(kept[:most], np.int64)
+
+
+def hung(graph: SmallWorld, unit: np.ndarray, cells: int) -> np.ndarray:
+    """(rows, cells): the nearest nodes that a walk of every row ends with, nearest first; -1 where there are no more."""
+    out = np.full((len(unit), cells), -1, np.int32)
+    width = min(BEAM, len(graph.x))
+    for s in range(0, len(unit), BATCH):
+        ids = graph.search(unit[s : s + BATCH], width)[0][:, :cells]
+        out[s : s + BATCH, : ids.shape[1]] = ids
     return out
 
 
 def _exact(unit: np.ndarray, q: np.ndarray, least: float) -> list[np.ndarray]:
-    """The same by products with every member, block by block."""
+    """Places of ``unit`` with cosine >= least for every query, by products with every row, block by block."""
     out: list[list[np.ndarray]] = [[np.zeros(0, np.int64)] for _ in q]
     for s in range(0, len(q), BATCH):
         for b in range(0, len(unit), 8192):
             r, c = np.nonzero(q[s : s + BATCH] @ unit[b : b + 8192].T >= least - 1e-5)
             same = np.einsum("nd,nd->n", q[s + r], unit[b + c]) >= least
-            for i, j in zip((s + r[same]).tolist(), (b + c[same]).tolist()):
-                out[i].append(np.array([j]))
+            r, c = r[same], b + c[same]
+            cut = np.searchsorted(r, np.arange(len(q[s : s + BATCH]) + 1))
+            for i in np.unique(r).tolist():
+                out[s + i].append(c[cut[i] : cut[i + 1]])
     return [np.concatenate(o) for o in out]
 
 
-_FOUND = "a long, b long, links long"
+def needed(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """How many nodes each of two rows must hang on to share one, for pairs of rows' nodes (nearest first); their number + 1: more."""
+    k = a.shape[1]
+    rank = np.maximum(np.arange(k)[:, None], np.arange(k)[None, :])
+    same = (a[:, :, None] == b[:, None, :]) & (a >= 0)[:, :, None]
+    return np.where(same, rank, k).min((1, 2)) + 1
+
+
+def _audit(shared, least: float):
+    """Of the links of the audited rows: how many nodes would find them."""
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = np.zeros(MOST_CELLS + 2, np.int64)
+        for batch in batches:
+            ids = batch.column(0)
+            for shape, rows, x in _by_length(batch):
+                if shape not in shared.value:
+                    continue
+                graph, asked, q, lists = shared.value[shape]
+                unit, own = _unit(x), ids.take(pa.array(rows)).to_numpy()
+                near = np.flatnonzero((unit.astype(np.float32) @ q.T.astype(np.float32)).max(1) >= least - 1e-4)
+                if not len(near):
+                    continue
+                found = _exact(unit[near], q, least)
+                r, c = np.repeat(np.arange(len(q)), [len(f) for f in found]), np.concatenate(found)
+                other = own[near[c]] != asked[r]
+                walked = hung(graph, unit[near], MOST_CELLS)
+                for s in range(0, len(r), 65_536):
+                    ok = other[s : s + 65_536]
+                    total += np.bincount(needed(lists[r[s : s + 65_536][ok]], walked[c[s : s + 65_536][ok]]), minlength=len(total))
+        yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(total)), pa.int32()), pa.array(total)], names=["cells", "n"])
+
+    return work
+
+
+_HUNG = "shape int, cell int, tile long, vec_id long, copies long, cells binary, vector binary"
+
+
+def _hang(shared, heavy, cells: int):
+    """Rows with each of their cells and tiles; of a group of very many copies its least id alone, with their number."""
+    schema = pa.schema([("shape", pa.int32()), ("cell", pa.int32()), ("tile", pa.int64()), ("vec_id", pa.int64()), ("copies", pa.int64()), ("cells", pa.binary()), ("vector", pa.binary())])
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for batch in (whole.slice(s, 4096) for s in range(0, whole.num_rows, 4096)):
+                for shape, rows, x in _by_length(batch):
+                    ids, copies = batch.column(0).take(pa.array(rows)).to_numpy(), np.zeros(len(rows), np.int64)
+                    if heavy.value:
+                        named = [heavy.value.get((shape, *p)) for p in _prints(x).tolist()]
+                        keep = np.array([n is None or n[0] == i for n, i in zip(named, ids.tolist())])
+                        copies = np.array([0 if n is None else n[1] for n in named], np.int64)[keep]
+                        ids, x = ids[keep], x[keep]
+                    if not len(ids):
+                        continue
+                    graph, parts = shared.value[shape]
+                    lists = np.zeros((len(ids), 1), np.int32) if graph is None else np.sort(hung(graph, _unit(x), cells), 1)
+                    at, k = np.nonzero(lists >= 0)
+                    cell = lists[at, k]
+                    # a large cell: its rows are dealt in parts, every two of which meet in a tile
+                    n = parts[cell]
+                    own = ((ids[at].astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(33)).astype(np.int64) % n
+                    again = np.repeat(np.arange(len(at)), n)
+                    other = np.arange(len(again)) - np.repeat(np.cumsum(n) - n, n)
+                    own = own[again]
+                    tile = np.minimum(own, other) << 40 | np.maximum(own, other) << 20 | own
+                    at, cell = at[again], cell[again]
+                    for s in range(0, len(at), 32_768):
+                        a = at[s : s + 32_768]
+                        yield pa.RecordBatch.from_arrays([pa.array(np.full(len(a), shape, np.int32)), pa.array(cell[s : s + 32_768]), pa.array(tile[s : s + 32_768]), pa.array(ids[a]), pa.array(copies[a]), _binary(lists[a]), _binary(x[a])], schema=schema)
+
+    return work
+
 
+class _Forest:
+    """Components of a tile's classes, and the links that joined two of them."""
 
-def _search(least: float):
-    schema = pa.schema([("a", pa.int64()), ("b", pa.int64()), ("links", pa.int64())])
+    def __init__(self, n: int):
+        self.label, self.links = np.arange(n), []
 
-    def answer(members: list[pa.RecordBatch], asked: pa.Table, state: dict) -> pa.RecordBatch:
-        if "graph" not in state:
-            nodes = pa.Table.from_batches(members)
-            nodes = nodes.sort_by("vec_id")
-            unit = _unit(_matrix(nodes.column("vector").combine_chunks()))
-            state |= {"unit": unit, "ids": nodes.column("vec_id").to_numpy(), "copies": nodes.column("copies").to_numpy(), "width": BEAM}
-            state["graph"] = SmallWorld.unpacked(unit, nodes.column("level").to_numpy(), nodes.column("links").to_pylist())
-        unit, ids, copies = state["unit"], state["ids"], state["copies"]
-        own = asked.column("vec_id").to_numpy()
-        q = _unit(_matrix(asked.column("vector").combine_chunks()))
+    def join(self, r: np.ndarray, c: np.ndarray) -> None:
+        """Links r[i] - c[i]; each round joins every component with one neighbour, as long as links lead out of one."""
         while True:
-            found = _linked(state["graph"], unit, q, least, state["width"])
-            # audit: half of the queries with links beside their own, half at random
-            rich = np.flatnonzero([len(f) > 1 for f in found])
-            draw = np.random.default_rng(state["width"])
-            audit = np.unique(np.r_[draw.permutation(rich)[: AUDITED // 2], draw.permutation(len(q))[: AUDITED // 2]])
-            truth = (q[audit] @ unit.T >= least).sum(1)
-            if all(len(found[i]) >= t for i, t in zip(audit, truth)):
-                break
-            if state["width"] >= len(unit):  # no beam helps: exact products
-                found = _exact(unit, q, least)
-                break
-            state["width"] *= 2
-        forest, counts = _Forest(), np.zeros(len(own), np.int64)
-        for i, f in enumerate(found):
-            f = f[ids[f] != own[i]]
-            counts[i] = copies[f].sum()
-            for v in ids[f].tolist():
-                forest.join(int(own[i]), v)
-        a = [*own.tolist(), *(x for x, _ in forest.links)]
-        b = [*([None] * len(own)), *(y for _, y in forest.links)]
-        return pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64()), pa.array([*counts.tolist(), *([None] * len(forest.links))], pa.int64())], schema=schema)
+            a, b = self.label[r], self.label[c]
+            out = a != b
+            if not out.any():
+                return
+            r, c, a, b = r[out], c[out], a[out], b[out]
+            first = np.union1d(*(np.unique(x, return_index=True)[1] for x in (a, b)))
+            roots: dict[int, int] = {}
+
+            def find(v: int) -> int:
+                while (up := roots.setdefault(v, v)) != v:
+                    roots[v] = v = roots[up]
+                return v
+
+            for i in first.tolist():
+                x, y = find(int(a[i])), find(int(b[i]))
+                if x != y:
+                    roots[max(x, y)] = min(x, y)
+                    self.links.append((int(r[i]), int(c[i])))
+            old = np.array(list(roots))
+            to = np.arange(len(self.label))
+            to[old] = [find(v) for v in old.tolist()]
+            self.label = to[self.label]
+
+
+def _earlier(lists: np.ndarray, r: np.ndarray, c: np.ndarray, cell: int) -> np.ndarray:
+    """Whether two rows share a node below the cell's."""
+    out = np.zeros(len(r), bool)
+    k = lists.shape[1]
+    below = np.where((lists >= 0) & (lists < cell), lists, -1)
+    left, right = [below[r, i] for i in range(k)], [below[c, i] for i in range(k)]
+    for x in left:
+        for y in right:
+            out |= (x == y) & (x >= 0)
+    return out
+
 
+_FOUND = "a long, b long, links long"
+_FOUND_SCHEMA = pa.schema([("a", pa.int64()), ("b", pa.int64()), ("links", pa.int64())])
+
+
+def _compared(table: pa.Table, cell: int, i: int, j: int, least: float, dtype: type) -> pa.RecordBatch:
+    """Links among a cell's rows (or between two parts of it) that no lower cell has, counted per id, and a forest of them."""
+    ids, copies = table.column("vec_id").to_numpy(), table.column("copies").to_numpy()
+    own = table.column("tile").to_numpy() & 0xFFFFF
+    x, lists = _matrix(table.column("vector"), dtype), _matrix(table.column("cells"), np.int32)
+    # equal rows collapse to a class; the rows of part i come first
+    order = np.lexsort((ids, own))
+    ids, copies, own, x, lists = ids[order], copies[order], own[order], x[order], lists[order]
+    joined = np.concatenate([x.view(np.uint8).reshape(len(x), -1), lists.view(np.uint8).reshape(len(x), -1), own.astype(np.int32)[:, None].view(np.uint8)], 1)
+    _, first, kind = np.unique(_prints(np.ascontiguousarray(joined)), axis=0, return_index=True, return_inverse=True)
+    rank = np.argsort(np.argsort(first, kind="stable"), kind="stable")  # classes in order of their first rows
+    kind, first = rank[kind.ravel()], np.sort(first)
+    size = np.bincount(kind)
+    np.maximum.at(size, kind, copies)  # a collapsed group brings its number along
+    unit = _unit(x[first])
+    near, lists, names = unit.astype(np.float32), lists[first], ids[first]
+    cut = len(first) if i == j else int(np.searchsorted(own[first], i, "right"))
+    slack = max(1e-5, 2.5e-7 * x.shape[1])  # of products in single precision
+    counts, forest = np.zeros(len(first), np.int64), _Forest(len(first))
+    for s in range(0, cut, BATCH):
+        e = min(s + BATCH, cut)
+        base = s if i == j else cut
+        for b in range(base, len(first), 8192):
+            product = near[s:e] @ near[b : b + 8192].T
+            hit = np.flatnonzero(product.ravel() >= least - slack)
+            for h in (hit[v : v + 1_000_000] for v in range(0, len(hit), 1_000_000)):
+                r, c = s + h // product.shape[1], b + h % product.shape[1]
+                sure = product.ravel()[h] >= least + slack
+                ok = c > r if i == j else np.ones(len(r), bool)
+                close = np.flatnonzero(ok & ~sure)
+                for v in (close[w : w + 65_536] for w in range(0, len(close), 65_536)):
+                    ok[v] = np.einsum("nd,nd->n", unit[r[v]], unit[c[v]]) >= least
+                r, c = r[ok], c[ok]
+                new = ~_earlier(lists, r, c, cell)
+                r, c = r[new], c[new]
+                counts += np.bincount(r, size[c], len(counts)).astype(np.int64) + np.bincount(c, size[r], len(counts)).astype(np.int64)
+                forest.join(r, c)
+    if i == j:  # copies are linked with each other, in their lowest cell
+        lowest = np.where(lists >= 0, lists, np.iinfo(np.int32).max).min(1) == cell
+        counts += np.where(lowest, size - 1, 0)
+    some = np.flatnonzero(counts[kind] > 0)
+    # each id of a class once, tied to the class's first
+    pair = np.unique(np.stack([kind[some], ids[some]], 1), axis=0)
+    tied = pair[pair[:, 1] != names[pair[:, 0]]]
+    a = np.concatenate([pair[:, 1], tied[:, 1], names[[l[0] for l in forest.links]] if forest.links else tied[:0, 1]])
+    b = np.concatenate([names[tied[:, 0]], names[[l[1] for l in forest.links]] if forest.links else tied[:0, 1]])
+    none = pa.nulls(len(pair), pa.int64())
+    columns = [pa.array(a), pa.concat_arrays([none, pa.array(b)]), pa.concat_arrays([pa.array(counts[pair[:, 0]]), pa.nulls(len(b), pa.int64())])]
+    return pa.RecordBatch.from_arrays(columns, schema=_FOUND_SCHEMA)
+
+
+def _compare(least: float, dtype: type):
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        """Rows come sorted: the members of (shard, part) first, then its queries."""
-        now, members, asked, state = None, [], [], {}
+        """Rows come sorted by cell and tile."""
+        now, held = None, []
 
-        def flush():
-            if asked and members:  # a shard may hold no vector of this length
-                yield answer(members, pa.Table.from_batches(asked), state)
-            asked.clear()
+        def answer() -> pa.RecordBatch:
+            return _compared(pa.Table.from_batches(held), now[1], now[2] >> 20, now[2] & 0xFFFFF, least, dtype)
 
         for batch in batches:
-            key = np.stack([batch.column(batch.schema.get_field_index(c)).to_numpy() for c in ("shape", "shard", "part", "kind")], 1)
+            key = np.stack([batch.column(0).to_numpy(), batch.column(1).to_numpy(), batch.column(2).to_numpy() >> 20], 1)
             cut = [0, *(np.flatnonzero((key[1:] != key[:-1]).any(1)) + 1).tolist(), batch.num_rows]
             for s, e in zip(cut[:-1], cut[1:]):
                 if s == e:
                     continue
-                place, kind = tuple(key[s][:3]), key[s][3]
-                if place != now:
-                    yield from flush()
-                    now, members, state = place, [], {}
-                (asked if kind else members).append(batch.slice(s, e - s))
-                if sum(b.num_rows for b in asked) >= 8192:
-                    yield from flush()
-        yield from flush()
+                if (place := tuple(key[s].tolist())) != now:
+                    if held:
+                        yield answer()
+                    now, held = place, []
+                held.append(batch.slice(s, e - s))
+        if held:
+            yield answer()
 
     return work
 
 
+def _planned(drawn: list[Row], n: int, dtype: type) -> tuple[SmallWorld | None, np.ndarray, np.ndarray]:
+    """(graph or None for few rows, unit vectors and ids of the drawn rows) of one length."""
+    unit, ids = _unit(np.stack([np.frombuffer(r.vector, dtype) for r in drawn])), np.array([r.vec_id for r in drawn])
+    nodes = thinned(unit, _nodes(n))
+    return (SmallWorld.build(unit[nodes]) if len(nodes) > 1 else None), unit, ids
+
+
+def _nodes(n: int) -> int:
+    return min(max(n // NODE_ROWS, min(LEAST_NODES, n // 16)), MOST_NODES)
+
+
+def _parts(rows: np.ndarray) -> np.ndarray:
+    """Parts that cells of so many rows are dealt in."""
+    return np.where(rows > 1.5 * PART, np.ceil(rows / PART), 1).astype(np.int64)
+
+
 def near_duplicate_vectors(vectors: DataFrame, least: float = 0.95, id_col: str = "vec_id", vector_col: str = "embedding") -> DataFrame:
     """(vec_id, n_links, component_id, kept) for every row.
 
@@ -194,24 +368,61 @@ def near_duplicate_vectors(vectors: DataFrame, least: float = 0.95, id_col: str
     vectors of their own.  An empty table gives an empty result; other columns are
     ignored.
     """
-    rows = vectors.select(F.col(id_col).cast("long").alias("vec_id"), F.col(vector_col).cast("array<double>").alias("vector"))
-    packed = durable(rows.where(_usable("vector") & F.col("vec_id").isNotNull()).mapInArrow(_packed, _PACK))
-    size = packed.groupBy("shape", "hi", "lo").agg(F.min("vec_id").alias("vec_id"), F.count("*").alias("copies"))
-    classes = durable(size.join(packed.select("shape", "hi", "lo", "vec_id", "vector"), ["shape", "hi", "lo", "vec_id"]).dropDuplicates(["shape", "hi", "lo"]))
-    total = classes.count()
-    shards, parts = max(SHARDS, -(-total // SHARD_ROWS)), max(1, -(-total // TASK_ROWS))
-    placed = classes.withColumn("shard", F.pmod(F.xxhash64("hi", "lo"), F.lit(shards)).cast("int")).select("shape", "shard", "vec_id", "copies", "vector")
-    nodes = durable(placed.groupBy("shape", "shard").applyInArrow(_build, _NODE))
-
-    members = nodes.select("*", F.explode(F.sequence(F.lit(0), F.lit(parts - 1))).alias("part")).withColumn("kind", F.lit(0))
-    asks = nodes.select("shape", "vec_id", "copies", "vector", F.lit(0).alias("level"), F.lit(None).cast("binary").alias("links"), F.pmod(F.xxhash64("vec_id"), F.lit(parts)).cast("int").alias("part"), F.lit(1).alias("kind"), F.explode(F.sequence(F.lit(0), F.lit(shards - 1))).alias("shard"))
-    order = ["shape", "shard", "part", "kind"]
-    both = members.unionByName(asks.select(members.columns)).repartition("shape", "shard", "part").sortWithinPartitions(*order)
-    found = durable(both.mapInArrow(_search(least), _FOUND))
-    links = found.where("links is not null").groupBy(F.col("a").alias("vec_id")).agg(F.sum("links").alias("links"))
-    labels = connected_components(found.where("b is not null").select("a", "b"))
-    whole = classes.select("shape", "hi", "lo", "vec_id", "copies").join(links, "vec_id", "left").join(labels.withColumnRenamed("node", "vec_id"), "vec_id", "left")
-    whole = whole.select(F.col("shape").alias("s"), F.col("hi").alias("h"), F.col("lo").alias("l"), (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("n_links"), F.coalesce("component", "vec_id").alias("component_id"))
-    good = packed.select("vec_id", "shape", "hi", "lo").join(whole, (F.col("shape") == F.col("s")) & (F.col("hi") == F.col("h")) & (F.col("lo") == F.col("l"))).select("vec_id", "n_links", "component_id")
-    rest = rows.where(~(_usable("vector") & F.col("vec_id").isNotNull())).select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"))
-    return good.unionByName(rest).withColumn("kept", F.coalesce(F.col("vec_id") == F.col("component_id"), F.lit(True)))
+    spark = vectors.sparkSession
+    single = dict(vectors.dtypes)[vector_col] == "array<float>"
+    dtype = np.float32 if single else np.float64
+    rows = vectors.select(F.col(id_col).cast("long").alias("vec_id"), F.col(vector_col).cast("array<float>" if single else "array<double>").alias("vector"))
+    n = rows.count()
+    marks = durable(rows.mapInArrow(_marks(max(2 * _nodes(n), SIZED, AUDITED) / max(n, 1)), _MARKS))
+    usable = marks.where("shape >= 0")
+    sizes = {r.shape: r.n for r in usable.groupBy("shape").agg(F.count("*").alias("n")).collect()}
+    groups = usable.groupBy("shape", "hi", "lo").agg(F.min("vec_id").alias("first"), F.count("*").alias("copies")).where(F.col("copies") >= max(1000, n // HEAVY))
+    heavy = {(r.shape, r.hi, r.lo): (r.first, r.copies) for r in groups.collect()}
+    drawn: dict[int, list[Row]] = {}
+    for r in marks.where("vector is not null").select("shape", "hi", "lo", "vec_id", "drawn", "vector").collect():
+        drawn.setdefault(r.shape, []).append(r)
+    plans = {}
+    for shape, own in drawn.items():
+        own.sort(key=lambda r: (r.drawn, r.vec_id))
+        plans[shape] = _planned(own, sizes[shape], dtype)
+
+    # audit: how many nodes a row must hang on
+    asked = {s: (graph, ids[:AUDITED], unit[:AUDITED], hung(graph, unit[:AUDITED], MOST_CELLS)) for s, (graph, unit, ids) in plans.items() if graph}
+    need = np.zeros(MOST_CELLS + 2, np.int64)
+    if asked:
+        shared = spark.sparkContext.broadcast(asked)
+        for r in rows.mapInArrow(_audit(shared, least), "cells int, n long").groupBy("cells").agg(F.sum("n").alias("n")).collect():
+            need[r.cells] = r.n
+    recall = np.cumsum(need) / max(1, need.sum())
+    cells = CELLS
+    while need.any() and cells < MOST_CELLS and recall[cells] < GOAL:
+        cells += 1
+    exact = need.any() and recall[cells] < LEAST_RECALL  # the graph does not serve these vectors: all are compared
+
+    # sizes of the cells, from the drawn rows
+    placed = {}
+    for shape, count in sizes.items():
+        graph, unit, _ = plans.get(shape, (None, None, None))
+        light = count - sum(copies - 1 for key, (_, copies) in heavy.items() if key[0] == shape)
+        if graph is None or exact:
+            placed[shape] = None, _parts(np.array([light]))
+            continue
+        some = np.array([i for i, r in enumerate(drawn[shape][:SIZED]) if (shape, r.hi, r.lo) not in heavy], np.int64)
+        lists = hung(graph, unit[some], cells)
+        share = np.bincount(lists[lists >= 0], minlength=len(graph.x)) / max(1, len(some))
+        placed[shape] = graph, _parts(share * light)
+    work = _hang(spark.sparkContext.broadcast(placed), spark.sparkContext.broadcast(heavy), cells)
+    dealt = rows.mapInArrow(work, _HUNG).repartition("shape", "cell", F.shiftright("tile", 20)).sortWithinPartitions("shape", "cell", "tile")
+    found = durable(dealt.mapInArrow(_compare(least, dtype), _FOUND), once=True)
+
+    links = found.where("links is not null").groupBy(F.col("a").alias("alias")).agg(F.sum("links").alias("links"))
+    labels = connected_components(found.where("b is not null").select("a", "b")).withColumnRenamed("node", "alias")
+    whole = marks.select("vec_id", "shape", "hi", "lo")
+    if heavy:
+        rest = spark.createDataFrame([(*key, first) for key, (first, _) in heavy.items()], "s int, h long, l long, first long")
+        whole = whole.join(F.broadcast(rest), (F.col("shape") == F.col("s")) & (F.col("hi") == F.col("h")) & (F.col("lo") == F.col("l")), "left")
+    else:
+        whole = whole.withColumn("first", F.lit(None).cast("long"))
+    whole = whole.select("vec_id", F.when(F.col("shape") >= 0, F.coalesce("first", "vec_id")).alias("alias"))
+    whole = whole.join(links, "alias", "left").join(labels, "alias", "left")
+    return whole.select("vec_id", F.coalesce("links", F.lit(0)).cast("long").alias("n_links"), F.coalesce("component", "alias", "vec_id").alias("component_id")).withColumn("kept", F.coalesce(F.col("vec_id") == F.col("component_id"), F.lit(True)))

@@ -624,3 +624,60 @@ def test_workers_forget_the_tables_of_an_operator_they_have_left():
     assert sum(b.num_rows for b in _sketch(5)(iter([batch]))) == 1
     assert not encode.known and encode.size == 0
     assert [ids.tolist() for ids in encode(texts)] == first
+
+
+# vectors hung on the nodes of a graph
+
+
+def test_vectors_hang_on_few_nodes(spark):
+    """The work on a row does not grow with the table: it walks one graph and meets the rows of a few nodes, each link counted once."""
+    from keyscout.llm import vectors as v
+    from keyscout.llm.hnsw import SmallWorld
+
+    rng = np.random.default_rng(8)
+    x = rng.standard_normal((6000, 64))
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    z = rng.standard_normal((600, 64))
+    z -= (z * x[:600]).sum(1, keepdims=True) * x[:600]
+    z /= np.linalg.norm(z, axis=1, keepdims=True)
+    c = rng.uniform(0.952, 0.99, (600, 1))
+    x[-600:] = c * x[:600] + np.sqrt(1 - c * c) * z
+    x[1000:1300] = x[1000] + 0.015 * rng.standard_normal((300, 64))
+    x = x.astype(np.float32)
+    unit = v._unit(x)
+    nodes = v.thinned(unit, 300)
+    assert len(nodes) == 300 and (unit[nodes] @ unit[nodes].T - 2 * np.eye(300)).max() <= v.APART  # one node in the dense group at most
+    lists = v.hung(SmallWorld.build(unit[nodes]), unit, v.CELLS)
+    met = np.bincount(lists[lists >= 0], minlength=300)
+    assert (met[np.maximum(lists, 0)].sum(1) < len(x) // 4).mean() > 0.95
+    frame = spark.createDataFrame(list(enumerate(x.tolist())), "vec_id long, embedding array<float>")
+    near = unit @ unit.T >= 0.95
+    got = {r.vec_id: r.n_links for r in v.near_duplicate_vectors(frame.repartition(4)).collect()}
+    true = near.sum(1) - 1
+    assert len(got) == len(x) and all(got[i] <= true[i] for i in range(len(x)))
+    assert sum(got.values()) >= 0.99 * true.sum() and np.mean([got[i] >= 1 for i in np.flatnonzero(true)]) > 0.97
+
+
+def test_vector_copies_and_tiles(spark, monkeypatch):
+    """Very many copies collapse beforehand, repeated rows count, and a large cell is compared in tiles."""
+    from keyscout.llm import vectors as v
+
+    rng = np.random.default_rng(9)
+    rows = [(i, x) for i, x in enumerate(rng.standard_normal((700, 8)).tolist())]
+    rows += [(1000 + i, rows[3][1]) for i in range(1200)] + [rows[3], rows[5]]
+    rows += [(5000 + i, (np.array(rows[7][1]) + 0.05 * rng.standard_normal(8)).tolist()) for i in range(40)]
+    unit = np.array([x for _, x in rows])
+    unit /= np.linalg.norm(unit, axis=1, keepdims=True)
+    near = unit @ unit.T >= 0.95
+    low = ids = np.array([i for i, _ in rows])
+    while not (low == (new := np.array([low[n].min() for n in near]))).all():
+        low = new
+    want = collections.Counter()
+    for i, n in zip(ids.tolist(), near.sum(1).tolist()):
+        want[i] = n - 1
+    frame = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    monkeypatch.setattr(v, "PART", 60)
+    monkeypatch.setattr(v, "LEAST_NODES", 0)  # no graph: one cell of many parts
+    got = v.near_duplicate_vectors(frame).collect()
+    assert len(got) == len(rows)
+    assert {r.vec_id: (r.n_links, r.component_id) for r in got} == {int(i): (want[i], int(c)) for i, c in zip(ids, low)}
