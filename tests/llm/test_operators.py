@@ -626,6 +626,24 @@ def test_workers_forget_the_tables_of_an_operator_they_have_left():
     assert [ids.tolist() for ids in encode(texts)] == first
 
 
+def test_words_share_their_beginnings():
+    """A beginning that several words have is looked up once, and every word's decisions are those of it spelled alone."""
+    from keyscout.llm.mixing import ByteCode, Decisions, _joined, beginnings
+
+    rng = random.Random(5)
+    words = {"".join(rng.choice("abc") for _ in range(rng.randint(1, 14))).encode() + b" " for _ in range(900)} | {b"a ", b"a\0 ", b"\0 ", b"abcdefgh ", b"abcdefghi ", b"abcdefghij "}
+    spelled = [*rng.sample(sorted(words), len(words)), b"\xff"]
+    raw, at = _joined(spelled)
+    code = ByteCode(np.bincount(raw, minlength=256))
+    chosen, place = beginnings(raw, at)
+    whole, shared = Decisions(raw, at, code, 16), Decisions(raw, at, code, 16, chosen)
+    assert len(chosen) < 0.6 * len(raw) and len(shared.bit) < 0.6 * len(whole.bit)
+    size = code.size[raw]
+    first = np.cumsum(size[chosen]) - size[chosen]
+    rows = np.concatenate([np.arange(f, f + n) for f, n in zip(first[place].tolist(), size.tolist())])
+    assert (shared.slots[:, rows] == whole.slots).all() and (shared.bit[rows] == whole.bit).all() and (shared.in_class(3)[rows] == whole.in_class(3)).all()
+
+
 # vectors hung on the nodes of a graph
 
 
