@@ -644,6 +644,93 @@ def test_words_share_their_beginnings():
     assert (shared.slots[:, rows] == whole.slots).all() and (shared.bit[rows] == whole.bit).all() and (shared.in_class(3)[rows] == whole.in_class(3)).all()
 
 
+def ranking_code(words):
+    from keyscout.llm.mixing import ByteCode, _joined, two_before
+
+    raw, at = _joined(words)
+    return ByteCode.ranking(two_before(raw, at), raw.astype(np.int64), np.ones(len(raw), np.int64))
+
+
+def test_bytes_are_spelled_by_rank():
+    """Ranks after the two bytes before take fewer decisions than bytes, and all next bytes' probabilities still sum to one."""
+    from keyscout.llm.mixing import BORDER_BITS, INSIDE, ByteCode, Decisions, Mixer, _joined, border_slots, borders, levels, two_before
+    from keyscout.llm.text import Words
+
+    rng = random.Random(3)
+    words = ["".join(rng.choice("aab" if i % 2 else "xyyz") for i in range(rng.randint(1, 9))).encode() + b" " for _ in range(400)] + [b"\xff"]
+    raw, at = _joined(words)
+    assert [(b & 255, b >> 8) for b in two_before(*_joined([b"abc", b"d", b"ef"])).tolist()] == [(0, 0), (97, 0), (98, 97), (0, 0), (0, 0), (101, 0)]
+    code, plain = ranking_code(words), ByteCode(np.bincount(raw, minlength=256))
+    assert all(sorted(r) == list(range(256)) for r in code.rank.tolist())
+    assert code.size[code.symbols(raw, at)].sum() < 0.8 * plain.size[raw].sum()
+    d = Decisions(raw, at, code, 16)
+    counts = np.zeros((INSIDE, 2, 1 << 16), np.int64)
+    for k in range(INSIDE):
+        np.add.at(counts[k], (d.bit, d.slots[k] if k < INSIDE - 1 else d.in_class(0)), 1)
+    model = Mixer(code, np.stack([levels(c) for c in counts]), np.zeros(1 << BORDER_BITS, np.uint16), np.array([len(words)]), len(set(words)))
+    one = np.arange(256, dtype=np.uint8)
+    assert abs(np.exp(model.spelled(one, np.arange(257))).sum() - 1) < 1e-4
+    for head in (b"x", b"xa", b"xay", b"q\0"):
+        longer = model.spelled(np.concatenate([np.r_[np.frombuffer(head, np.uint8), v] for v in one]).astype(np.uint8), np.arange(257) * (len(head) + 1))
+        shorter = model.spelled(np.frombuffer(head, np.uint8), np.array([0, len(head)]))
+        assert abs(np.exp(longer - shorter).sum() - 1) < 1e-4
+    # the border's decisions are those of the first bytes
+    text = Words(pa.array(["xay b x", ""]))
+    first = [b"x", b"b", b"x", b"\xff", b"\xff"]
+    assert border_slots(*borders(text), code)[2].tolist() == [int(code.size[code.symbols(*_joined([b]))[0]]) for b in first]
+
+
+def test_shared_beginnings_learn_as_if_spelled_alone(monkeypatch):
+    """Counts and gates' inputs of training words in classes, each beginning spelled once, are those of every word spelled by itself."""
+    from keyscout.llm import mixing as m
+
+    rng = np.random.default_rng(8)
+    words = sorted({bytes(rng.integers(97, 101, rng.integers(1, 12)).astype(np.uint8)) for _ in range(700)})
+    words = [words[i] for i in rng.permutation(len(words))]
+    counts = rng.integers(0, 4, (len(words), 3)) + np.eye(3, dtype=np.int64)[rng.integers(0, 3, len(words))]
+    code = ranking_code([w + b" " for w in words])
+    d = m.Decisions(*m._joined([w + b" " for w in words]), code, 16)
+    want = np.zeros((m.INSIDE, 1 << 16, 2), np.int64)
+    for c in range(3):
+        often = np.repeat(counts[:, c], d.each)
+        for k in range(m.INSIDE):
+            np.add.at(want[k], (d.slots[k] if k < m.INSIDE - 1 else d.in_class(c), d.bit), often)
+    caught, spelled, plain = [], [], m.Decisions
+
+    def counted(raw, at, *rest):
+        spelled.append(len(plain(raw, at, *rest).bit))
+        return plain(raw, at, *rest)
+
+    monkeypatch.setattr(m, "_sliced", lambda cells, slices: caught.append(cells.copy()))
+    monkeypatch.setattr(m, "Decisions", counted)
+    batch = pa.RecordBatch.from_arrays([pa.array([len(words)]), pa.array([m._joined_words(words, counts)], pa.binary())], names=["a", "blob"])
+    list(m._bit_counts(code, 16, 3)(iter([batch])))
+    assert (caught[0].reshape(want.shape) == want).all() and spelled[0] < 0.7 * len(d.bit)
+    model = m.Mixer(code, np.stack([m.levels(t.T) for t in want]), np.zeros(1 << m.BORDER_BITS, np.uint16), counts.sum(0), len(words))
+    kind = np.repeat(counts.argmax(1), d.each)
+    x = np.stack([np.where(d.bit, m._LEFT[1][state], -m._LEFT[0][state]) for state in (model.tables[k][d.slots[k] if k < m.INSIDE - 1 else d.in_class(kind)] for k in range(m.INSIDE))], 1)
+    gate, often = 2 * (x[:, :-1] != 0).sum(1) + (x[:, -1] != 0), np.repeat(counts.sum(1), d.each)
+    for g, (v, n) in enumerate(model._by_gate([w + b" " for w in words], counts)):
+        assert np.isclose(n.sum(), often[gate == g].sum()) and np.allclose(n @ v, often[gate == g] @ x[gate == g], rtol=1e-4, atol=1e-2)
+
+
+def test_places_and_planes_of_numbers():
+    from keyscout.llm.mixing import _numbers, _planes, _repeats, ranked
+
+    rng = np.random.default_rng(2)
+    for bits in (1, 20, 44, 62, 64):
+        x = rng.integers(0, 1 << min(bits, 63), 3000).astype(np.uint64)[rng.integers(0, 3000, 5000)] << np.uint64(bits == 64)
+        values, inverse = ranked(x, bits)
+        assert (values == np.unique(x)).all() and (values[inverse] == x).all()
+        owner = rng.integers(0, 5, len(x))
+        often = collections.Counter(zip(owner.tolist(), x.tolist()))
+        assert _repeats(owner, x).tolist() == [often[k] for k in zip(owner.tolist(), x.tolist())]
+    assert [len(a) for a in ranked(np.zeros(0, np.uint64), 64)] == [0, 0] and ranked(np.array([7]), 3)[1].tolist() == [0]
+    for x in (np.zeros(0, np.int64), np.arange(9000) % 7, rng.integers(0, 1 << 40, 9000), np.array([255]), np.array([1 << 40, 0])):
+        assert _numbers(_planes(x)).tolist() == x.tolist()
+    assert len(_planes(rng.integers(0, 256, 9000))) < 9050
+
+
 # vectors hung on the nodes of a graph
 
 
