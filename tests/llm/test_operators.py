@@ -339,6 +339,15 @@ def test_word_order_counts_and_long_words_cost(spark):
     assert in_order > shuffled + 0.8 and own < in_order - 0.8
 
 
+def test_tokens_after_a_very_long_word_are_scored():
+    """A word whose probability is below the smallest double leaves the weights that follow the words before as numbers."""
+    from keyscout.llm.mixing import TRUST, _followed
+
+    trust = TRUST[None].copy()
+    whole, rest = _followed(np.array([[0, 0], [0.5, 0.2]]), np.ones((2, 2, 4), np.float32), np.array([-1e5, -2.0]), np.zeros(2, np.int64), np.array([0]), trust, np.array([0]))
+    assert np.isfinite(whole).all() and np.isfinite(rest).all() and np.isfinite(trust).all() and whole[0] < -1e5 < whole[1]
+
+
 def test_contexts_against_a_plain_count():
     from keyscout.llm.mixing import contexts
     from keyscout.llm.text import Words
